@@ -20,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from density_peaks.llm.common import cut, encoded
@@ -207,9 +207,12 @@ def solve(items: DataFrame, most: int, epochs: int, islands: int) -> DataFrame:
             pdf["bin"] = labels(evolve(length, most, seed & 0x7FFFFFFF, elite), len(pdf))
         return pdf[["block", "island", "item", "length", "bin"]]
 
+    def at(epoch: int):
+        return lambda pdf: island(pdf, epoch)
+
     schema = "block long, island int, item long, length long, bin long"
     state = items.withColumn("island", F.explode(F.sequence(F.lit(0), F.lit(islands - 1)))).withColumn("bin", F.lit(-1).cast("long"))
-    state = state.groupBy("block", "island").applyInPandas(lambda p: island(p, 0), schema)
+    state = state.groupBy("block", "island").applyInPandas(at(0), schema)
     for epoch in range(1, epochs):
         state = cut(state)
         # the best of each island goes one island on; a block that meets its bound needs no further epoch
@@ -218,7 +221,7 @@ def solve(items: DataFrame, most: int, epochs: int, islands: int) -> DataFrame:
         if open_.isEmpty():
             break
         moved = state.join(open_.select("block"), "block", "left_semi").withColumn("island", ((F.col("island") + 1) % islands).cast("int"))
-        moved = moved.groupBy("block", "island").applyInPandas(lambda p, e=epoch: island(p, e), schema)
+        moved = moved.groupBy("block", "island").applyInPandas(at(epoch), schema)
         state = moved.unionByName(state.join(open_.select("block"), "block", "left_anti"))
     state = cut(state)
     best = state.groupBy("block", "island").agg(F.max("bin").alias("bins")).groupBy("block").agg(F.min_by("island", F.struct("bins", "island")).alias("island"))
@@ -249,8 +252,6 @@ def pack(docs: DataFrame, path: str, most: int = SEQUENCE, islands: int = ISLAND
         first = first.join(poor, "sequence_id", "left_anti").select("item", "length", "sequence_id").unionByName(second.select("item", "length", "sequence_id"))
     seats = first.select("item", "length", "sequence_id")
     # a sequence holds at most `most` pieces, so its window is small
-    from pyspark.sql import Window
-
     before = Window.partitionBy("sequence_id").orderBy("item").rowsBetween(Window.unboundedPreceding, -1)
     seats = seats.withColumn("offset", F.coalesce(F.sum("length").over(before), F.lit(0))).select("item", "sequence_id", "offset")
     packed = rest.join(seats, "item")
