@@ -14,7 +14,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from density_peaks.llm.common import cut, word_count
+from density_peaks.llm.common import cut, whole, word_count
 
 #: Steps of the ranking whose word sums are added up before the last step is ranked row by row.
 STEPS = 4096
@@ -53,12 +53,12 @@ def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.
     docs needs doc_id, text, source; other columns are ignored. Sources in code point
     order, null last, weigh weights in turn. weight, if given, is a positive column of
     docs by which the expected copies of a document differ from its source's rate.
-    Returns doc_id, size, source, source_size, target, copies, taken for each row. A
+    Returns doc_id, text_hash, size, source, source_size, target, copies, taken for each row. A
     document without words is size 0 and takes 0 words; rows repeated whole are drawn as
     separate documents with the same number u; an empty table gives no rows.
     """
     own = F.lit(1.0) if weight is None else F.coalesce(weight.cast("double"), F.lit(1.0))
-    sizes = cut(docs.select("doc_id", F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), own.alias("own")))
+    sizes = cut(docs.select("doc_id", F.col("source").cast("string").alias("source"), F.xxhash64(whole(F.col("text"))).alias("text_hash"), word_count(F.col("text")).alias("size"), own.alias("own")))
     targets = source_targets(sizes, weights, share, most)
     mean = sizes.groupBy("source").agg((F.sum(F.col("own") * F.col("size")) / F.greatest(F.sum("size"), F.lit(1))).alias("mean_own"))
     plan = targets.alias("t").join(mean.alias("m"), F.expr("t.source <=> m.source")).select("t.*", "m.mean_own")
@@ -90,7 +90,7 @@ def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.
     others = others.withColumn("extra", F.when(F.col("step").isNotNull() & (F.col("cut_step").isNull() | (F.col("step") < F.col("cut_step"))), 1).otherwise(0))
     out = at_cut.drop("upto").unionByName(others)
     copies = (F.col("whole") + F.col("extra")).cast("int")
-    return out.select("doc_id", "size", "source", "source_size", "target", copies.alias("copies"), (F.col("size") * copies).cast("long").alias("taken"))
+    return out.select("doc_id", "text_hash", "size", "source", "source_size", "target", copies.alias("copies"), (F.col("size") * copies).cast("long").alias("taken"))
 
 
 SQL = """

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from density_peaks.llm import exact_dedup, mixing, packing, secrets, sharding, token_counts
+from density_peaks.llm import exact_dedup, mixing, near_dedup, packing, quality, secrets, sharding, substring_dedup, token_counts, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,6 +20,15 @@ def tokenizer(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = substring_dedup.substring_dedup(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
+
+
+def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(_table(spark, sf_dir, "documents")).drop("text_hash")
+
+
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.dedup(_table(spark, sf_dir, "documents"))
 
@@ -29,6 +38,10 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.withColumn("over_limit", F.col("n_tokens") > 512)
 
 
+def op5_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicates(_table(spark, sf_dir, "documents")).drop("text_hash")
+
+
 def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -37,6 +50,10 @@ def op7_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_spans(_table(spark, sf_dir, "documents"))
 
 
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(_table(spark, sf_dir, "pages"))
+
+
 def op9_resharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     # the layout before: twelve shards by a hash of the text; the layout after: sixteen of equal bytes
     old = F.pmod(F.xxhash64(F.coalesce(F.col("text"), F.lit(""))), F.lit(12))
@@ -49,11 +66,22 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_substring_dedup": op1_substring_dedup,
+    "op2_quality_rules": op2_quality_rules,
     "op3_exact_dedup": op3_exact_dedup,
     "op4_token_counts": op4_token_counts,
+    "op5_near_dedup": op5_near_dedup,
     "op6_mixing": op6_mixing,
     "op7_secrets": op7_secrets,
+    "op8_warc": op8_warc,
     "op9_resharding": op9_resharding,
     "op10_packing": op10_packing,
 }
-ORACLES: dict[str, str] = {"op3_exact_dedup": exact_dedup.SQL, "op6_mixing": mixing.SQL}
+ORACLES: dict[str, str] = {
+    "op1_substring_dedup": substring_dedup.SQL,
+    "op2_quality_rules": quality.SQL,
+    "op3_exact_dedup": exact_dedup.SQL,
+    "op5_near_dedup": near_dedup.SQL,
+    "op6_mixing": mixing.SQL,
+    "op8_warc": warc.SQL,
+}
