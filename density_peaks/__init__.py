@@ -1,0 +1 @@
+"""Density-peak clustering on Spark: index a set of points once, ask for any cutoff."""
