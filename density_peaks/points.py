@@ -38,8 +38,8 @@ _SAME = {
 _TWO = {
     "P_orders": (
         ("orders",),
-        "SELECT o_orderkey AS id, CAST(datediff(o_orderdate, DATE'1995-01-01') AS DOUBLE) AS x, o_totalprice / 200e0 AS y FROM orders WHERE o_orderkey % 3 = 0",
-        "SELECT o_orderkey AS id, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS DOUBLE) AS x, o_totalprice / 200e0 AS y FROM orders WHERE o_orderkey % 3 = 0",
+        "SELECT o_orderkey AS id, CAST(datediff(o_orderdate, DATE'1995-01-01') AS DOUBLE) AS x, o_totalprice / 200e0 AS y FROM orders",
+        "SELECT o_orderkey AS id, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS DOUBLE) AS x, o_totalprice / 200e0 AS y FROM orders",
     ),
     "P_events": (
         ("events",),
