@@ -29,7 +29,7 @@ WINDOW, GRAM, SLOTS, PARTS = 20, 6, 1 << 16, 3
 #: A slot is hot above this multiple of a part's mean words.
 HOT = 1.0
 #: Bytes of text that are cut into super-k-mers at once.
-PORTION = 24_000_000
+PORTION = 4_000_000
 NO_ID = -(1 << 63)
 
 _STRIDE = np.uint64(0x9FB21C651E98DF25)
