@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from density_peaks.llm.common import Words, cut, encoded, mix64, portions, width
 
 #: Words of a window and of a gram; slots by which minimisers are weighed; parts a shuffle partition.
-WINDOW, GRAM, SLOTS, PARTS = 20, 6, 1 << 16, 3
+WINDOW, GRAM, SLOTS, PARTS = 20, 4, 1 << 16, 3
 #: A slot is hot above this multiple of a part's mean words.
 HOT = 1.0
 #: Bytes of text that are cut into super-k-mers at once.
@@ -178,7 +178,8 @@ def super_kmers(docs: DataFrame, window: int, gram: int, parts: int, hot: np.nda
                 d = doc[at[0]]
                 put(-1 - int(tags[d] ^ ids[d]) % parts, int(ids[d]), int(tags[d]), merged(place[at], place[at] + (end - begin)[at] + window - 1))
         once = np.flatnonzero(first)
-        once = once[np.argsort(where[once], kind="stable")]
+        # strings of one minimiser lie side by side, which packs them tighter
+        once = once[np.lexsort((key[once], where[once]))]
         for at in np.split(once, np.flatnonzero(np.diff(where[once])) + 1):
             if len(at):
                 put(int(where[at[0]]), None, None, packed([strings[i] for i in at], ids[doc[at]], tags[doc[at]], place[at]))
