@@ -63,7 +63,7 @@ def size_report(idx: DataFrame, widths: list[float]) -> DataFrame:
     """w, bins, dense_bins: bins that hold entries, and all bins up to each list's last, for several widths."""
     one = None
     for w in widths:
-        b = F.transform("dists", lambda d, w=w: F.floor(d / F.lit(float(w))))
+        b = F.expr(f"transform(dists, d -> floor(d / {float(w)!r}D))")
         row = idx.agg(F.sum(F.size(F.array_distinct(b))).cast("long").alias("bins"), F.sum(F.coalesce(F.array_max(b) + 1, F.lit(0))).cast("long").alias("dense_bins"))
         row = row.select(F.lit(float(w)).alias("w"), "bins", "dense_bins")
         one = row if one is None else one.unionByName(row)

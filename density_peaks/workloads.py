@@ -4,11 +4,11 @@ QUERIES holds the Spark plans, ORACLES the DuckDB SQL of those that SQL can expr
 and parameters are those of FIXTURES.md over whole tables.
 """
 
-from __future__ import annotations
-
 from collections.abc import Callable, Sequence
 from functools import reduce
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -597,8 +597,6 @@ def _(spark, sf):
 
 @query("pair_scores_udaf", _truth_sql(BLOB, D_BLOB, 15).replace("SELECT tp, fp, fn,", "SELECT tp,").replace("round(precision, 6) AS precision, round(recall, 6) AS recall, round(f1, 6) AS f1", "round(precision, 6) AS precision, round(recall, 6) AS recall").replace("tp::DECIMAL(38,0) AS tp", "tp::BIGINT AS tp"))
 def _(spark, sf):
-    import pandas as pd
-
     @F.pandas_udf("long")
     def pairs_in(n: pd.Series) -> int:
         return int((n * (n - 1) // 2).sum())
@@ -843,9 +841,6 @@ def _(spark, sf):
 
 @query("bisect_udf", rho_sql(PART, D_PART))
 def _(spark, sf):
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("long")
     def below(dists: pd.Series) -> pd.Series:
         return dists.map(lambda d: int(np.searchsorted(d, D_PART, "left")))
