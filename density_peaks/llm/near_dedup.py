@@ -1,12 +1,12 @@
 """MinHash near-dedup with sequential Bayesian verification of banded candidates.
 
 Texts with equal shingle sets form one class, so copies meet once. Bands of the classes'
-signatures put them into buckets; a bucket proposes links to one pivot a round and never
-all its pairs. A proposed pair's signatures are compared batch by batch; it is dropped as
+signatures put them into buckets; a bucket proposes links to two pivots and not all its
+pairs. A proposed pair's signatures are compared batch by batch; it is dropped as
 soon as the posterior probability of enough similarity falls under a chosen bound, and
-survivors are verified on their whole shingle sets. Buckets whose members already hang
-together are done. After a few pivots, the members of buckets that are still apart are
-paired across their parts where their set sizes allow a link.
+survivors are verified on their whole shingle sets. Buckets whose members then hang
+together are done. In the others, members of different parts are paired where their set
+sizes allow a link.
 """
 
 from __future__ import annotations
@@ -26,8 +26,8 @@ from density_peaks.llm.common import Words, cut, encoded, mix64, portions, whole
 SHINGLE, PERCENT, BANDS, ROWS = 4, 80, 30, 5
 #: Hashes compared at once, and the posterior probability under which a pair is dropped.
 STEP, MISS = 30, 1e-5
-#: Pivots that each bucket tries before its parts are paired.
-PIVOTS = 3
+#: Up to so many ids of 8 bytes are broadcast to the scan that makes whole sets; more are joined by a shuffle.
+MOST_BROADCAST = 2_000_000
 
 SETS = "doc_id long, text_hash long, n_shingles long, digest binary, signature binary"
 _rng = np.random.default_rng(20240229)
@@ -60,18 +60,20 @@ def shingle_sets(texts: list[bytes], size: int) -> list[np.ndarray]:
 
 
 def signatures(sets: list[np.ndarray]) -> np.ndarray:
-    """Minimum of each hash function over each set, as uint32; empty sets get no meaning."""
+    """Low 16 bits of the minimum of each hash function over each set; empty sets get no meaning.
+
+    Two different minima agree in these bits once in 65536 times, which only keeps a pair.
+    """
     sizes = np.array([max(1, len(s)) for s in sets])
     values = np.concatenate([s if len(s) else np.zeros(1, dtype=np.uint64) for s in sets])
     at = np.concatenate(([0], np.cumsum(sizes)[:-1]))
-    out = np.empty((len(sets), BANDS * ROWS), dtype="<u4")
+    out = np.empty((len(sets), BANDS * ROWS), dtype="<u2")
     work = np.empty_like(values)
     with np.errstate(over="ignore"):
         for k in range(BANDS * ROWS):
             np.multiply(values, _A[k], out=work)
             work += _B[k]
-            work >>= np.uint64(32)
-            out[:, k] = np.minimum.reduceat(work, at)
+            out[:, k] = np.minimum.reduceat(work, at) >> np.uint64(32) & np.uint64(0xFFFF)
     return out
 
 
@@ -118,7 +120,7 @@ def prune(pairs: DataFrame, percent: int) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            one, two = (np.frombuffer(b"".join(b.column(c).to_pylist()), dtype="<u4").reshape(b.num_rows, -1) for c in ("sa", "sb"))
+            one, two = (np.frombuffer(b"".join(b.column(c).to_pylist()), dtype="<u2").reshape(b.num_rows, -1) for c in ("sa", "sb"))
             alive, matches = np.arange(b.num_rows), np.zeros(b.num_rows, dtype=np.int64)
             for n, m in need.items():
                 matches[alive] += (one[alive, n - STEP : n] == two[alive, n - STEP : n]).sum(axis=1)
@@ -134,51 +136,46 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = encoded(b.column("text"))
-            sets = [s.tobytes() for lo, hi in portions(texts, 500_000) for s in shingle_sets(texts[lo:hi], size)]
-            digests = [hashlib.blake2b(s, digest_size=16).digest() for s in sets]
-            yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(sets, pa.binary())], names=["digest", "set"])
+            for lo, hi in portions(texts, 500_000):  # small batches out, as sets are larger than texts
+                sets = shingle_sets(texts[lo:hi], size)
+                digests = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
+                ends = np.concatenate(([0], np.cumsum([len(s) for s in sets]))).astype(np.int32)
+                values = pa.array(np.concatenate(sets).view(np.int64), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), values)], names=["digest", "set"])
 
     ids = wanted.select(F.col("first_doc").alias("id")).distinct()
+    if wanted.count() <= MOST_BROADCAST:
+        ids = F.broadcast(ids)
     own = docs.select("doc_id", "text").join(ids, F.col("doc_id").eqNullSafe(F.col("id")), "left_semi")
-    sets = own.select("text").mapInArrow(run, "digest binary, set binary").dropDuplicates(["digest"])
+    sets = own.select("text").mapInArrow(run, "digest binary, set array<long>").dropDuplicates(["digest"])
     return wanted.select("cls", "digest").join(sets, "digest").select("cls", "set")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs whose whole sets are similar enough: a, b."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            linked = []
-            for x, y in zip(b.column("ta").to_pylist(), b.column("tb").to_pylist(), strict=True):
-                x, y = np.frombuffer(x, dtype="<u8"), np.frombuffer(y, dtype="<u8")
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                linked.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield b.select(["a", "b"]).filter(pa.array(linked, pa.bool_()))
-
+    """Pairs whose whole sets are similar enough: a, b. Sets are intersected in the JVM."""
     one = sets.select(F.col("cls").alias("a"), F.col("set").alias("ta"))
     two = sets.select(F.col("cls").alias("b"), F.col("set").alias("tb"))
-    return pairs.join(two, "b").join(one, "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
+    met = pairs.join(two, "b").join(one, "a").select("a", "b", F.size(F.array_intersect("ta", "tb")).alias("both"), (F.size("ta") + F.size("tb")).alias("sizes"))
+    return met.where(100 * F.col("both") >= percent * (F.col("sizes") - F.col("both"))).select("a", "b")
 
 
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """cls, label of each class in a link: label is the smallest class that it reaches.
 
-    Each round hooks every label to the smallest label next to it and then halves all
-    paths, so the number of rounds grows with the logarithm of a chain's length.
+    A round gives each class the smallest label beside it and then that label's own label,
+    so rounds grow with the logarithm of a chain's length; stars take two.
     """
     edges = cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    parent = cut(edges.groupBy(F.col("a").alias("cls")).agg(F.least(F.min("b"), F.col("a")).alias("label")))
+    label = cut(edges.groupBy(F.col("a").alias("cls")).agg(F.least(F.min("b"), F.col("a")).alias("label")))
     for _ in range(rounds):
-        up = parent.select(F.col("cls").alias("label"), F.col("label").alias("top"))
-        parent = parent.join(up, "label", "left").select("cls", F.coalesce("top", "label").alias("label"))
-        ends = edges.join(parent.select(F.col("cls").alias("b"), F.col("label").alias("lb")), "b").join(parent.select(F.col("cls").alias("a"), F.col("label").alias("la")), "a")
-        hooks = ends.where("lb < la").groupBy(F.col("la").alias("label")).agg(F.min("lb").alias("hook"))
-        parent_next = cut(parent.join(hooks, "label", "left").select("cls", F.coalesce("hook", "label").alias("label"), F.col("hook").isNotNull().alias("moved")))
-        moved = not parent_next.where("moved").isEmpty()
-        parent = parent_next.select("cls", "label")
-        if not moved:
-            return parent
+        beside = edges.join(label.select(F.col("cls").alias("b"), "label"), "b").groupBy(F.col("a").alias("at")).agg(F.min("label").alias("least"))
+        # labels of labels: what the smallest label beside a class has itself been given
+        up = label.select(F.col("cls").alias("least"), F.col("label").alias("top"))
+        near = label.join(beside, F.col("cls") == F.col("at")).select("cls", "label", F.least("label", "least").alias("least"))
+        label = cut(near.join(up, "least", "left").select("cls", F.least("least", "top").alias("label"), (F.least("least", "top") < F.col("label")).alias("moved")))
+        if label.where("moved").isEmpty():
+            return label.select("cls", "label")
+        label = label.select("cls", "label")
     raise RuntimeError("labels did not settle")
 
 
@@ -195,7 +192,7 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     classes = cut(classes.join(rows.select(F.col("row").alias("cls"), "signature", F.col("n_shingles").alias("n")), "cls"))
 
     # bands, then only buckets of two or more classes
-    keys = [F.xxhash64(F.lit(k), F.substring(F.col("signature"), 4 * ROWS * k + 1, 4 * ROWS)) for k in range(BANDS)]
+    keys = [F.xxhash64(F.lit(k), F.substring(F.col("signature"), 2 * ROWS * k + 1, 2 * ROWS)) for k in range(BANDS)]
     bands = classes.select("cls", "n", F.explode(F.array(*keys)).alias("key"))
     shared = bands.groupBy("key").agg(F.min("cls").alias("low"), F.max("cls").alias("high")).where("low < high").select("key")
     members = cut(bands.join(shared, "key", "left_semi").select("key", "cls", "n"))
@@ -208,30 +205,21 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
         return verify(prune(pairs, percent), sets, percent)
 
     fits = lambda x, y: (100 * F.least(x, y) >= percent * F.greatest(x, y))
-    links, label, tried = None, None, 0
-    while True:
-        held = members.withColumn("label", F.col("cls")) if label is None else members.join(label, "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-        if tried:  # buckets whose members hang together are done
-            apart = held.groupBy("key").agg(F.min("label").alias("l"), F.max("label").alias("h")).where("l < h").select("key")
-            held = members = cut(held.join(apart, "key", "left_semi"))
-            members = members.drop("label")
-            if held.isEmpty():
-                break
-        if tried < PIVOTS:
-            turn = F.struct((F.col("cls") if not tried else F.xxhash64("cls", F.lit(tried))).alias("turn"), F.col("cls"), F.col("label"), F.col("n"))
-            pivot = held.groupBy("key").agg(F.min(turn).alias("p")).select("key", F.col("p.cls").alias("a"), F.col("p.label").alias("la"), F.col("p.n").alias("na"))
-            pairs = held.join(pivot, "key").where((F.col("cls") != F.col("a")) & (F.col("label") != F.col("la")) & fits(F.col("n"), F.col("na")))
-            pairs = pairs.select(F.least("a", "cls").alias("a"), F.greatest("a", "cls").alias("b")).distinct()
-        else:
-            two = held.select("key", F.col("cls").alias("b"), F.col("label").alias("lb"), F.col("n").alias("nb"))
-            pairs = held.select("key", F.col("cls").alias("a"), "label", "n").join(two, "key").where((F.col("a") < F.col("b")) & (F.col("label") != F.col("lb")) & fits(F.col("n"), F.col("nb")))
-            pairs = pairs.select("a", "b").distinct()
-        found = cut(proved(pairs))
-        links = found if links is None else links.unionByName(found)
-        label = components(links)
-        tried += 1
-        if tried > PIVOTS:
-            break
+    # two pivots a bucket, its smallest and largest class, so that proposals grow with members
+    ends = members.groupBy("key").agg(F.min(F.struct("cls", "n")).alias("low"), F.max(F.struct("cls", "n")).alias("high"))
+    ends = ends.select("key", F.explode(F.array("low", "high")).alias("p")).select("key", F.col("p.cls").alias("a"), F.col("p.n").alias("na"))
+    pairs = members.join(ends, "key").where((F.col("cls") != F.col("a")) & fits(F.col("n"), F.col("na")))
+    links = cut(proved(pairs.select(F.least("a", "cls").alias("a"), F.greatest("a", "cls").alias("b")).distinct()))
+    label = components(links)
+    # buckets whose members now hang together are done; the parts of others are paired across
+    held = members.join(label, "cls", "left").withColumn("label", F.coalesce("label", "cls"))
+    apart = held.groupBy("key").agg(F.min("label").alias("l"), F.max("label").alias("h")).where("l < h").select("key")
+    held = cut(held.join(apart, "key", "left_semi"))
+    other = held.select("key", F.col("cls").alias("b"), F.col("label").alias("lb"), F.col("n").alias("nb"))
+    pairs = held.select("key", F.col("cls").alias("a"), "label", "n").join(other, "key").where((F.col("a") < F.col("b")) & (F.col("label") != F.col("lb")) & fits(F.col("n"), F.col("nb")))
+    more = cut(proved(pairs.select("a", "b").distinct().join(links, ["a", "b"], "left_anti")))
+    if not more.isEmpty():
+        label = components(links.unionByName(more))
 
     top = classes.select("cls", "digest", "first_doc").join(label, "cls", "left").withColumn("label", F.coalesce("label", "cls"))
     least = top.groupBy("label").agg(F.min("first_doc").alias("component_id"))
