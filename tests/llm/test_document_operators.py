@@ -134,6 +134,13 @@ def test_packing(spark, sf, hard, none, name):
     assert len(seats) <= -(-total // 2048) + 2
 
 
+def test_word_ids_are_the_library_s():
+    own = packing.WordIds(tokenizer("word_bpe_49k.json"))
+    texts = ["Ünï!! ÉTÉ... Σίσυφος, ΟΔΥΣΣΕΥΣ. don't's 'S !!! #$%a_b_ x-y-z a1b2 İstanbul. ﬁ ǅ; é. Ḱó,, ½. a²! ªº? K. ẞ!", "’quoted’ “x” — y…", "a\x00b \x1c c\u2028d\xa0e\u3000f\x85g \x1f"]
+    for t in texts:
+        assert own.ids(t) == np.array(own.library.encode(t, add_special_tokens=False).ids, dtype="<u4").tobytes()
+
+
 def test_packing_blocks(spark, sf, monkeypatch):
     monkeypatch.setattr(packing, "BLOCK", 40)
     got = packing.pack(documents(spark, sf), tokenizer("word_bpe_49k.json")).collect()
