@@ -24,6 +24,15 @@ BREAK = "\r\n\r\n"
 LEAST = 1000
 
 
+#: Tables of at most so many rows, each under 200 bytes, are broadcast; larger ones are joined by a shuffle.
+MOST_BROADCAST = 300_000
+
+
+def _sent(df: DataFrame) -> DataFrame:
+    """Marks a table whose counted rows are few enough for broadcast."""
+    return F.broadcast(df) if df.count() <= MOST_BROADCAST else df
+
+
 def _id(page: Column) -> Column:
     h = F.md5(F.concat_ws(":", F.lit("page"), F.coalesce(page.cast("string"), F.lit("null"))))
     return F.concat(F.lit("<urn:uuid:"), F.concat_ws("-", *[F.substring(h, a, n) for a, n in ((1, 8), (9, 4), (13, 4), (17, 4), (21, 12))]), F.lit(">"))
@@ -39,7 +48,7 @@ def records(pages: DataFrame) -> DataFrame:
     p = pages.select(F.col("page_id").cast("long").alias("page_id"), F.regexp_replace(whole(F.col("url")), r"[\r\n]+", "").alias("url"), body.alias("body"))
     p = p.withColumn("size", F.octet_length("body").cast("long")).withColumn("digest", F.sha1(F.col("body").cast("binary"))).withColumn("strong", F.sha2("body", 256))
     groups = p.where(F.col("size") >= LEAST).groupBy("strong").agg(F.max("page_id").alias("first_id"), F.count(F.lit(1)).alias("n")).where("n > 1").select("strong", "first_id")
-    p = p.join(groups, "strong", "left")
+    p = p.join(_sent(cut(groups)), "strong", "left")
     again = F.col("first_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first_id")) & (F.col("size") >= LEAST)
     p = p.withColumn("record_type", F.when(again, "revisit").otherwise("response")).withColumn("refers_to", F.when(again, F.col("first_id")))
     line = lambda name, value: F.concat(F.lit(f"{name}: "), value, F.lit("\r\n"))
@@ -156,7 +165,7 @@ def reachable(c: DataFrame, rounds: int = 48) -> DataFrame:
 
 
 def read_archives(spark: SparkSession, path: str) -> DataFrame:
-    """The records of all archives below path: file, offset, header, payload (binary).
+    """The records of all archives below path: file, header, payload (binary).
 
     Bytes before the first record of a file, and after a broken one, belong to no record.
     """
@@ -165,11 +174,15 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
     kept = cut(reachable(c))
     c = c.select("file", "split", "seq", "offset", "length", "header", "head", "content")
     sound = kept.join(c, ["file", "offset"])
-    # a payload is whole in its own segment unless a magic lies inside it
-    whole_ = sound.where(F.col("length") >= F.col("head") + F.col("content"))
-    one = segs.join(whole_.select("split", "seq", "file", "offset", "header", "head", "content"), ["file", "split", "seq"])
+    # a payload is whole in its own segment unless a magic lies inside it; what is not is the exception
+    usual = sound.where(F.col("length") >= F.col("head") + F.col("content")).select("file", "split", "seq", "offset")
+    others = cut(c.join(usual, ["file", "split", "seq"], "left_anti").select("file", "split", "seq"))
+    one = segs.join(_sent(others), ["file", "split", "seq"], "left_anti")
+    header = F.substring_index("body", BREAK, 1)
+    head = F.octet_length("header") + len(BREAK)
+    one = one.withColumn("header", header).withColumn("head", head).withColumn("content", _field(F.col("header"), "Content-Length").cast("int"))
     body = F.col("body").cast("binary")
-    one = one.select("file", "offset", "header", F.expr("substring(cast(body as binary), cast(head + 1 as int), cast(content as int))").alias("payload"))
+    one = one.select("file", "header", F.expr("substring(cast(body as binary), cast(head + 1 as int), content)").alias("payload"))
     broken = cut(sound.where(F.col("length") < F.col("head") + F.col("content")).select("file", F.col("offset").alias("start"), "successor", F.col("header").alias("own"), F.col("head").alias("skip"), F.col("content").alias("size")))
     if broken.isEmpty():
         return one
@@ -177,7 +190,7 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
     parts = c.join(broken, "file").where((F.col("offset") >= F.col("start")) & (F.col("offset") < F.col("successor"))).select("file", "split", "seq", "offset", "start", "own", "skip", "size")
     held = segs.join(parts, ["file", "split", "seq"]).groupBy("file", "start", "own", "skip", "size").agg(F.sort_array(F.collect_list(F.struct("offset", body.alias("b")))).alias("all"))
     joined = F.aggregate(F.slice(F.col("all"), 2, F.greatest(F.size("all") - 1, F.lit(1))), F.element_at("all", 1)["b"], lambda x, y: F.concat(x, F.lit(MAGIC).cast("binary"), y["b"]))
-    held = held.withColumn("raw", joined).select("file", F.col("start").alias("offset"), F.col("own").alias("header"), F.expr("substring(raw, cast(skip + 1 as int), cast(size as int))").alias("payload"))
+    held = held.withColumn("raw", joined).select("file", F.col("own").alias("header"), F.expr("substring(raw, cast(skip + 1 as int), cast(size as int))").alias("payload"))
     return one.unionByName(held)
 
 
