@@ -5,8 +5,8 @@ signatures put them into buckets; a bucket proposes links to two pivots and not
 pairs. A proposed pair's signatures are compared batch by batch; it is dropped as
 soon as the posterior probability of enough similarity falls under a chosen bound, and
 survivors are verified on their whole shingle sets. Buckets whose members then hang
-together are done. In the others, members of different parts are paired where their set
-sizes allow a link.
+together are done. In the others, members of different parts meet: one by one in small
+buckets, and in blocks of bounded size, which list no pairs, in large ones.
 """
 
 from __future__ import annotations
@@ -16,6 +16,7 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,6 +27,8 @@ from density_peaks.llm.common import Words, cut, encoded, mix64, portions, whole
 SHINGLE, PERCENT, BANDS, ROWS = 4, 80, 30, 5
 #: Hashes compared at once, and the posterior probability under which a pair is dropped.
 STEP, MISS = 30, 1e-5
+#: Buckets of at most so many members pair them one by one; larger ones meet in blocks of at most so many members and shingles.
+SMALL, BLOCK, BLOCK_SHINGLES = 6, 1024, 2_000_000
 #: Up to so many ids of 8 bytes are broadcast to the scan that makes whole sets; more are joined by a shuffle.
 MOST_BROADCAST = 2_000_000
 
@@ -130,6 +133,47 @@ def prune(pairs: DataFrame, percent: int) -> DataFrame:
     return pairs.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
+def meet(members: DataFrame, sets: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) that join different labels within buckets, without a row for each pair.
+
+    members: key, cls, label, n, blocks. A bucket's members are dealt into blocks, and each
+    two blocks meet in a task of their own, so a task holds a bounded number of members. A
+    member is compared with all that do not hang together with it yet: signatures step by
+    step, then whole sets from the likeliest on. Every two members meet, so no link that
+    would join two parts is lost; links within a part are not needed.
+    """
+    need = fewest_matches(percent)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.drop_duplicates("cls").sort_values("cls")
+        cls, n = pdf["cls"].to_numpy(), pdf["n"].to_numpy()
+        sign = np.frombuffer(b"".join(pdf["signature"]), dtype="<u2").reshape(len(pdf), -1)
+        held = [np.asarray(x) for x in pdf["set"]]
+        root, size = np.unique(pdf["label"].to_numpy(), return_inverse=True, return_counts=True)[1:]
+        order = np.argsort(size[root], kind="stable")  # those that hang together with few come first
+        open_ = np.ones(len(pdf), dtype=bool)
+        found = []
+        for a in order:
+            open_[a] = False
+            b = np.flatnonzero(open_ & (root != root[a]) & (100 * np.minimum(n, n[a]) >= percent * np.maximum(n, n[a])))
+            matches = np.zeros(len(b), dtype=np.int64)
+            for k, least in need.items():
+                matches += (sign[b, k - STEP : k] == sign[a, k - STEP : k]).sum(axis=1)
+                b, matches = b[matches >= least], matches[matches >= least]
+            for x in b[np.argsort(-matches, kind="stable")]:
+                if root[x] != root[a]:
+                    both = len(np.intersect1d(held[a], held[x], assume_unique=True))
+                    if 100 * both >= percent * (n[a] + n[x] - both):
+                        found.append((min(cls[a], cls[x]), max(cls[a], cls[x])))
+                        root[root == root[x]] = root[a]
+        return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+
+    dealt = members.withColumn("own", F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), (F.col("blocks") - 1).cast("int"))))
+    dealt = dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "cls", "label", "n")
+    rows = dealt.join(classes.select("cls", "signature"), "cls").join(sets, "cls")
+    return rows.groupBy("key", "i", "j").applyInPandas(run, "a long, b long")
+
+
 def whole_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     """cls, set: the whole shingle sets of the wanted classes (cls, first_doc, digest), one row each."""
 
@@ -211,13 +255,16 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT
     pairs = members.join(ends, "key").where((F.col("cls") != F.col("a")) & fits(F.col("n"), F.col("na")))
     links = cut(proved(pairs.select(F.least("a", "cls").alias("a"), F.greatest("a", "cls").alias("b")).distinct()))
     label = components(links)
-    # buckets whose members now hang together are done; the parts of others are paired across
+    # buckets whose members now hang together are done; in others the parts meet
     held = members.join(label, "cls", "left").withColumn("label", F.coalesce("label", "cls"))
-    apart = held.groupBy("key").agg(F.min("label").alias("l"), F.max("label").alias("h")).where("l < h").select("key")
-    held = cut(held.join(apart, "key", "left_semi"))
-    other = held.select("key", F.col("cls").alias("b"), F.col("label").alias("lb"), F.col("n").alias("nb"))
-    pairs = held.select("key", F.col("cls").alias("a"), "label", "n").join(other, "key").where((F.col("a") < F.col("b")) & (F.col("label") != F.col("lb")) & fits(F.col("n"), F.col("nb")))
-    more = cut(proved(pairs.select("a", "b").distinct().join(links, ["a", "b"], "left_anti")))
+    apart = held.groupBy("key").agg(F.min("label").alias("l"), F.max("label").alias("h"), F.count(F.lit(1)).alias("g"), F.sum("n").alias("s")).where("l < h")
+    blocks = F.ceil(F.greatest(F.col("g") / BLOCK, F.col("s") / BLOCK_SHINGLES)).cast("long").alias("blocks")
+    held = cut(held.join(apart.select("key", "g", blocks), "key"))
+    few = held.where(F.col("g") <= SMALL)
+    other = few.select("key", F.col("cls").alias("b"), F.col("label").alias("lb"), F.col("n").alias("nb"))
+    pairs = few.select("key", F.col("cls").alias("a"), "label", "n").join(other, "key").where((F.col("a") < F.col("b")) & (F.col("label") != F.col("lb")) & fits(F.col("n"), F.col("nb")))
+    more = proved(pairs.select("a", "b").distinct().join(links, ["a", "b"], "left_anti"))
+    more = cut(more.unionByName(meet(held.where(F.col("g") > SMALL).select("key", "cls", "label", "n", "blocks"), sets, classes, percent)))
     if not more.isEmpty():
         label = components(links.unionByName(more))
 
