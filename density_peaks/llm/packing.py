@@ -29,7 +29,9 @@ from density_peaks.llm.common import cut, encoded
 SEQUENCE, END, BLOCK, ISLANDS, EPOCHS = 2048, 0, 8192, 2, 2
 #: Solutions of an island, and generations between migrations.
 POPULATION, GENERATIONS = 4, 4
-REMEMBERED = 700_000
+REMEMBERED = 1_400_000
+#: ASCII punctuation that, after letters, is a pre-token of its own; the apostrophe is not, as it may begin one with letters.
+MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 _READY: dict[str, WordIds] = {}
@@ -53,7 +55,8 @@ class WordIds:
         self.known: dict[str, bytes] = {}
 
     def ids(self, text: str) -> bytes:
-        if any(s in text for s in self.special):
+        # four control characters separate words for Python but not for the library
+        if any(s in text for s in self.special) or any(c in text for c in "\x1c\x1d\x1e\x1f"):
             return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
         words = text.split()
         try:
@@ -70,14 +73,13 @@ class WordIds:
         stems: set[str] = set()
         split = {}
         for w in fresh:
-            low = w.lower() if w.isascii() else w
-            # a full stop or comma after a letter is a pre-token of its own
-            if low[-1] in ".," and len(low) > 1 and low[-2].isalpha() and low.isascii():
-                split[w] = (low[:-1], low[-1])
-                stems.update(split[w])
+            stem = w.rstrip(MARKS)
+            low = stem.lower() if stem.isascii() else stem  # of other letters the library takes the lower case
+            if stem.isalpha():
+                split[w] = (low, w[len(stem) :]) if len(stem) < len(w) else (low,)
             else:
-                split[w] = (low,)
-                stems.add(low)
+                split[w] = (w,)
+            stems.update(split[w])
         todo = [s for s in stems if s not in known]
         for s, e in zip(todo, self.library.encode_batch_fast(todo, add_special_tokens=False), strict=True):
             known[s] = np.array(e.ids, dtype="<u4").tobytes()
@@ -85,13 +87,18 @@ class WordIds:
             known[w] = b"".join(known[p] for p in parts)
 
 
+def word_ids(path: str) -> WordIds:
+    """The worker's own WordIds of a file; it outlives tasks, as this module's table is not sent with them."""
+    if path not in _READY:
+        _READY[path] = WordIds(path)
+    return _READY[path]
+
+
 def pieces(docs: DataFrame, path: str, most: int = SEQUENCE) -> DataFrame:
     """The pieces of each row's ids with the end id: doc_id, piece, start, length, ids_crc32."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if path not in _READY:
-            _READY[path] = WordIds(path)
-        own, end = _READY[path], np.array([END], dtype="<u4").tobytes()
+        own, end = word_ids(path), np.array([END], dtype="<u4").tobytes()
         for b in batches:
             out: tuple[list, ...] = ([], [], [], [], [])
             for doc, t in zip(b.column("doc_id").to_pylist(), encoded(b.column("text")), strict=True):
