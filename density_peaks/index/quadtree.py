@@ -28,8 +28,8 @@ def morton(pts: DataFrame, region: tuple[float, float, float], depth: int) -> Da
     return out.withColumn("key", reduce(lambda a, b: a + b, bits).cast("long")).drop("cx", "cy")
 
 
-def _number(key: Column, level: Column, depth: int) -> Column:
-    """The node at a level that a key lies under."""
+def _number(depth: int) -> Column:
+    """The node at column level that column key lies under."""
     return F.expr(f"shiftleft(1L, 2 * level) + shiftright(key, 2 * ({depth} - level))")
 
 
@@ -49,7 +49,7 @@ def build(pts: DataFrame, capacity: int = 32, max_depth: int = 16) -> Tree:
 def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, float, float]) -> Tree:
     per_key = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("nc"), *boxes(PLANE))
     level = F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level")
-    every = per_key.select("*", level).withColumn("node", _number(F.col("key"), F.col("level"), depth))
+    every = per_key.select("*", level).withColumn("node", _number(depth))
     counts = cut(every.groupBy("node", "level").agg(F.sum("nc").cast("long").alias("nc"), *merged(PLANE)))
     full = counts.where((F.col("nc") > capacity) & (F.col("level") < depth)).select(F.col("node").alias("parent"))
     with_parent = counts.withColumn("parent", F.when(F.col("level") > 0, F.shiftright("node", 2)))
@@ -71,25 +71,25 @@ def insert(tree: Tree, new: DataFrame) -> Tree:
     capacity, depth, region = (tree.meta[k] for k in ("capacity", "depth", "region"))
     fresh = morton(points(new), region, depth)
     level = F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level")
-    paths = fresh.select("*", level).withColumn("node", _number(F.col("key"), F.col("level"), depth))
+    paths = fresh.select("*", level).withColumn("node", _number(depth))
     leaves = tree.nodes.where("is_leaf").select(F.col("node").alias("leaf"))
     routed = cut(paths.join(leaves, paths["node"] == leaves["leaf"]).select("leaf", "id", "x", "y"))
     # quadrants that were empty have no node yet: they become leaves of their deepest known ancestor
     lost = fresh.join(routed.select("id"), "id", "left_anti")
     known = tree.nodes.select("node", F.col("level").alias("known_level"))
-    deep = lost.select("*", level).withColumn("node", _number(F.col("key"), F.col("level"), depth)).join(known, "node").groupBy("id", "key", "x", "y").agg(F.max("known_level").alias("l"))
-    made = deep.withColumn("level", F.col("l") + 1).withColumn("leaf", _number(F.col("key"), F.col("level"), depth)).select("leaf", "id", "x", "y")
+    deep = lost.select("*", level).withColumn("node", _number(depth)).join(known, "node").groupBy("id", "key", "x", "y").agg(F.max("known_level").alias("l"))
+    made = deep.withColumn("level", F.col("l") + 1).withColumn("leaf", _number(depth)).select("leaf", "id", "x", "y")
     all_points = cut(tree.leaf_points.unionByName(routed).unionByName(made))
     sizes = all_points.groupBy("leaf").count()
     over = cut(sizes.where(F.col("count") > capacity).select("leaf"))
     # only points of overfull leaves are keyed again and split further
     keyed = morton(all_points.join(over, "leaf", "left_semi"), region, depth)
     per_key = keyed.groupBy("leaf", "key").agg(F.count(F.lit(1)).alias("nc"))
-    below = per_key.select("*", level).withColumn("node", _number(F.col("key"), F.col("level"), depth)).where(F.length(F.bin("node")) > F.length(F.bin("leaf")))
+    below = per_key.select("*", level).withColumn("node", _number(depth)).where(F.length(F.bin("node")) > F.length(F.bin("leaf")))
     counts = cut(below.groupBy("leaf", "node", "level").agg(F.sum("nc").alias("nc")))
     full = counts.where((F.col("nc") > capacity) & (F.col("level") < depth)).select(F.col("node").alias("up")).unionByName(over.select(F.col("leaf").alias("up")))
     split = counts.withColumn("up", F.shiftright("node", 2)).join(full, "up", "left_semi").where((F.col("nc") <= capacity) | (F.col("level") == depth))
-    new_leaf = keyed.select("*", level).withColumn("node", _number(F.col("key"), F.col("level"), depth)).join(split.select("node"), "node").select("id", F.col("node").alias("leaf"), "x", "y")
+    new_leaf = keyed.select("*", level).withColumn("node", _number(depth)).join(split.select("node"), "node").select("id", F.col("node").alias("leaf"), "x", "y")
     at_bottom = over.where(F.length(F.bin("leaf")) == 2 * depth + 1)
     stay = all_points.join(over, "leaf", "left_anti").unionByName(all_points.join(at_bottom, "leaf", "left_semi"))
     moved = cut(stay.select("leaf", "id", "x", "y").unionByName(new_leaf.join(stay.select("id"), "id", "left_anti").select("leaf", "id", "x", "y")))

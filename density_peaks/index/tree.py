@@ -51,11 +51,10 @@ def merged(space: Space) -> list[Column]:
 
 def report(tree: Tree) -> DataFrame:
     """level, nodes, objects, coverage (area of boxes), overlap (area that siblings share) of each level."""
-    space, nodes = tree.space, tree.nodes
+    nodes = tree.nodes
     area = lambda lo, hi: F.aggregate(F.array(*[F.greatest(b - a, F.lit(0.0)) for a, b in zip(lo, hi, strict=True)]), F.lit(1.0), lambda s, v: s * v)
     per = nodes.groupBy("level").agg(F.count(F.lit(1)).alias("nodes"), F.sum("nc").alias("objects"), F.sum(area(tree.lo(), tree.hi())).alias("coverage"))
     two = nodes.select("parent", F.col("node").alias("o_node"), *[F.col(b).alias(f"o_{b}") for b in tree.bounds])
     both = nodes.where("parent is not null").join(two, "parent").where("node < o_node")
     shared = area([F.greatest(a, b) for a, b in zip(tree.lo(), tree.lo("o_"), strict=True)], [F.least(a, b) for a, b in zip(tree.hi(), tree.hi("o_"), strict=True)])
-    del space
     return per.join(both.groupBy("level").agg(F.sum(shared).alias("overlap")), "level", "left").select("level", "nodes", "objects", "coverage", F.coalesce("overlap", F.lit(0.0)).alias("overlap"))

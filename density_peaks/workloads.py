@@ -890,19 +890,15 @@ def _(spark, sf):
     return streaming.replay(streaming.cell_density(streaming.events(spark, sf), 6.0, 10.0), "complete")
 
 
-def _centers(spark, sf):
-    return cut(pipeline_centers(spark, sf))
-
-
-def pipeline_centers(spark: SparkSession, sf: str) -> DataFrame:
-    """Five centers of the events: the densest corner of each event type."""
+def _centers(spark: SparkSession, sf: str) -> DataFrame:
+    """A center for each event type: the mean of its events, under its smallest id."""
     e = pts(spark, sf, "P_events").join(table(spark, sf, "events").select(F.col("event_id").alias("id"), "event_type"), "id")
     return e.groupBy("event_type").agg(F.min("id").alias("id"), F.round(F.avg("x"), 3).alias("x"), F.round(F.avg("y"), 3).alias("y")).select("id", "x", "y")
 
 
 @query("stream_label", f"WITH p AS ({points.sql('P_events')}), c AS (SELECT min(p.id) AS id, round(avg(x), 3) AS x, round(avg(y), 3) AS y FROM p JOIN events ON event_id = p.id GROUP BY event_type) SELECT p.id AS event_id, arg_min(c.id, {{'a': sqrt((p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y)), 'b': c.id}}) AS cluster FROM p, c GROUP BY p.id")
 def _(spark, sf):
-    return streaming.replay(streaming.label(streaming.events(spark, sf), _centers(spark, sf)))
+    return streaming.replay(streaming.label(streaming.events(spark, sf), cut(_centers(spark, sf))))
 
 
 @query("stream_sessions", "WITH e AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e) SELECT user_id, epoch_us(min(ts)) AS start_us, epoch_us(max(ts) + INTERVAL 6 HOUR) AS end_us, count(*) AS n FROM s GROUP BY user_id, k")
