@@ -27,8 +27,8 @@ def _only(docs: DataFrame, rows: DataFrame, mark=None) -> DataFrame:
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the base rules and the line-frequency rule keep, whole and unchanged."""
-    return _only(docs, quality.judge(docs).where("kept").select("doc_id", "text_hash")).select(docs.columns)
+    """Documents that the base rules and the line-frequency rule keep, without the boilerplate lines of their source."""
+    return quality.clean(docs)
 
 
 def exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -3,7 +3,7 @@
 Normalised lines are hashed; for each host the distinct documents that hold a line are
 counted, copies of one text counting once. Lines above the limits are boilerplate of the
 host. A document that loses more than half of its words with them is depleted and is
-rejected, as one that fails the base rules.
+rejected, as one that fails the base rules; from the others these lines are removed.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -35,6 +36,11 @@ def signed(h: int) -> int:
     return h - (1 << 64) if h >> 63 else h
 
 
+def line_hash(own: list[bytes]) -> int:
+    """The hash of a normalised line from its words."""
+    return signed(xxhash.xxh3_64_intdigest(b" ".join(own).lower()))
+
+
 def _sums(flags: np.ndarray, ends: np.ndarray) -> np.ndarray:
     total = np.concatenate(([0], np.cumsum(flags, dtype=np.int64)))[np.concatenate(([0], ends))]
     return np.diff(total)
@@ -85,7 +91,7 @@ def measures(docs: DataFrame, host: str) -> DataFrame:
                         if own := line.split():
                             repeats += line in seen
                             seen.add(line)
-                            h = signed(xxhash.xxh3_64_intdigest(b" ".join(own).lower()))
+                            h = line_hash(own)
                             held[h] = held.get(h, 0) + len(own)
                     columns[3].append(repeats)
                     columns[5].append(list(held))
@@ -106,6 +112,18 @@ def frequent_lines(m: DataFrame, least: int = LINE_DOCS, percent: int = LINE_SHA
     return counts.join(hosts, "host").where(100 * F.col("n_docs") > percent * F.col("host_docs")).select("host", "line", "n_docs")
 
 
+def _verdicts(docs: DataFrame, host: str) -> DataFrame:
+    """The columns of judge(), the host, and the hashes of the boilerplate lines that a row holds (null: none)."""
+    m = cut(measures(docs, host).withColumn("row", F.monotonically_increasing_id()))
+    lines = m.select("row", F.coalesce("host", F.lit("\x00")).alias("host"), F.explode(F.arrays_zip("lines", "line_words")).alias("l"))
+    lines = lines.select("row", "host", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"))
+    boilerplate = lines.join(frequent_lines(m).select("host", "line"), ["host", "line"], "left_semi")
+    removed = boilerplate.groupBy("row").agg(F.sum("words").alias("removed"), F.collect_list("line").alias("removed_lines"))
+    out = m.drop("lines", "line_words").join(removed, "row", "left").withColumn("n_removed_words", F.coalesce("removed", F.lit(0)).cast("long"))
+    failed = (F.col("n_words") < FEWEST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
+    return out.withColumn("base_failed", failed).withColumn("kept", ~failed & (2 * F.col("n_removed_words") <= F.col("n_words")))
+
+
 def judge(docs: DataFrame, host: str = "source") -> DataFrame:
     """The measures and the verdict of each row of docs.
 
@@ -115,14 +133,37 @@ def judge(docs: DataFrame, host: str = "source") -> DataFrame:
     base rules; a null host is a host of its own; repeated rows are judged each and count
     once for a line; no rows give none.
     """
-    m = cut(measures(docs, host).withColumn("row", F.monotonically_increasing_id()))
-    lines = m.select("row", F.coalesce("host", F.lit("\x00")).alias("host"), F.explode(F.arrays_zip("lines", "line_words")).alias("l"))
-    lines = lines.select("row", "host", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"))
-    removed = lines.join(frequent_lines(m).select("host", "line"), ["host", "line"], "left_semi").groupBy("row").agg(F.sum("words").alias("removed"))
-    out = m.drop("lines", "line_words").join(removed, "row", "left").withColumn("n_removed_words", F.coalesce("removed", F.lit(0)).cast("long"))
-    failed = (F.col("n_words") < FEWEST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
-    out = out.withColumn("base_failed", failed).withColumn("kept", ~failed & (2 * F.col("n_removed_words") <= F.col("n_words")))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_words", "base_failed", "kept", "text_hash")
+    return _verdicts(docs, host).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_words", "base_failed", "kept", "text_hash")
+
+
+def _without(texts: pd.Series, lines: pd.Series) -> pd.Series:
+    """Texts without the lines of the given hashes; null where no lines are given."""
+
+    def rest(t: bytes, gone: set[int]) -> bytes:
+        return b"\n".join(x for x in t.split(b"\n") if not ((own := x.split()) and line_hash(own) in gone))
+
+    return pd.Series([None if g is None else rest(bytes(t), set(g)) for t, g in zip(texts, lines, strict=True)], dtype=object)
+
+
+def clean(docs: DataFrame, host: str = "source") -> DataFrame:
+    """The rows of docs that judge() keeps, with the boilerplate lines of their host removed from text.
+
+    Blank lines and all other lines stay as they are and in their order. A column n_chars,
+    if there is one, follows the text. Rows without such lines are returned unchanged.
+    """
+    v = _verdicts(docs, host).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_mark"), F.col("host").alias("kept_host"), F.col("removed_lines").alias("kept_without"))
+    v = v.dropDuplicates(["kept_id", "kept_mark", "kept_host"])
+    own = docs.withColumn("kept_own", F.xxhash64(whole(F.col("text"))))
+    same = own["doc_id"].eqNullSafe(F.col("kept_id")) & (F.col("kept_own") == F.col("kept_mark")) & own[host].cast("string").eqNullSafe(F.col("kept_host"))
+    out = own.join(v, same)
+    # only texts that lose lines travel to Python
+    without = F.pandas_udf(_without, "binary")
+    held = F.when(F.col("kept_without").isNotNull(), F.col("text").cast("binary"))
+    out = out.withColumn("text", F.coalesce(without(held, F.col("kept_without")).cast("string"), F.col("text")))
+    if "n_chars" in docs.columns:
+        kind = docs.schema["n_chars"].dataType
+        out = out.withColumn("n_chars", F.when(F.col("kept_without").isNotNull(), F.char_length("text").cast(kind)).otherwise(F.col("n_chars")))
+    return out.select(docs.columns)
 
 
 SQL = r"""

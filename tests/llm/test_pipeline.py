@@ -59,6 +59,27 @@ def test_stages_follow_the_definitions(spark, sf):
     assert Counter(r.doc_id for r in five.where("piece = 0").collect()) == Counter(r.doc_id for r in four.collect())
 
 
+def test_quality_stage_removes_boilerplate_lines(spark, sf):
+    words = lambda k: " ".join(f"t{k}x{j}" for j in range(60))
+    foot = "All rights  reserved by the site"
+    rows = []
+    for k in range(40):  # in source a the line is in 12 of 40 texts, in source b in 5 of 40, without a source in 12 of 40
+        rows.append((k, f"{words(k)}\n\n {foot.upper()}\r\nlast line {k}" if k < 12 else words(k), "a"))
+        rows.append((100 + k, f"{words(k)}\n{foot}" if k < 5 else words(k), "b"))
+        rows.append((200 + k, f"{foot}\n{words(k)}\n{foot}" if k < 12 else words(k), None))
+    rows += [(0, rows[0][1], "a"), (0, rows[0][1], "b")]  # a row twice, and its id and text under another source
+    docs = spark.createDataFrame([(*r, len(r[1])) for r in rows], "doc_id long, text string, source string, n_chars int")
+    want = Counter()
+    for i, t, s in rows:
+        if s == "a" and i < 12:
+            t = f"{words(i)}\n\nlast line {i}"
+        if s is None and i < 212:
+            t = words(i - 200)
+        want[i, t, s, len(t)] += 1
+    got = dict(corpus_pipeline.STAGES)["quality_rules"](spark, docs.repartition(3), sf)
+    assert got.schema == docs.schema and keyed(got) == want
+
+
 def test_stages_take_hard_rows_and_none(spark, sf, hard, none):
     docs = hard.withColumnRenamed("source_size", "lang")
     for name, stage in corpus_pipeline.STAGES:
