@@ -1,8 +1,8 @@
 """Minimum-cost-flow resharding: the block transfers that move the fewest bytes.
 
 Documents fall into blocks by a hash of their text within their old shard, so equal texts
-share a block unless the block outgrows its limit; then it is split by a hash of the
-id. The driver sees block sums only, whose number is bounded by parameters. A flow from
+share a block. A block that outgrows its limit is split by a second hash of the text; only
+a single text that outgrows the limit alone is split by a hash of the id. The driver sees block sums only, whose number is bounded by parameters. A flow from
 old shard sizes to new capacities, free within a shard and costing a byte for each byte
 moved, says how much goes where; whole blocks then fill these flows.
 """
@@ -129,6 +129,7 @@ def reshard(docs: DataFrame, old_shard, shards: int = 16, capacities: list[int]
         F.crc32(text.cast("binary")).alias("text_crc32"),
         F.coalesce(old_shard.cast("int"), F.lit(0)).alias("old_shard"),
         F.pmod(F.xxhash64(text, F.lit("block")), F.lit(BLOCKS)).cast("int").alias("block"),
+        F.xxhash64(text, F.lit("text")).alias("text_hash"),
         F.xxhash64(F.coalesce("doc_id", F.lit(-1)), F.lit("part")).alias("part_hash"),
     )
     d = cut(d)
@@ -136,12 +137,25 @@ def reshard(docs: DataFrame, old_shard, shards: int = 16, capacities: list[int]
     total = sum(r.size for r in sums)
     capacity = capacities or [total // shards + (i < total % shards) for i in range(shards)]
     limit = max(1, total // (shards * GRAIN))
-    parts = [(r.old_shard, r.block, math.ceil(r.size / limit)) for r in sums if r.size > limit]
     spark = docs.sparkSession
-    hot = spark.createDataFrame(parts, "old_shard int, block int, parts int")
-    # both maps hold a row a block at most: BLOCKS an old shard and shards * GRAIN parts of large ones
-    d = d.join(F.broadcast(hot), ["old_shard", "block"], "left")
-    d = d.withColumn("part", F.pmod("part_hash", F.coalesce("parts", F.lit(1))).cast("int")).drop("parts", "part_hash")
+    rest = {(r.old_shard, r.block): r.size for r in sums if r.size > limit}
+    outgrown = spark.createDataFrame(list(rest), "old_shard int, block int")
+    # texts that outgrow the limit alone: at most total / limit of them
+    texts = d.join(F.broadcast(outgrown), ["old_shard", "block"], "left_semi").groupBy("old_shard", "block", "text_hash").agg(F.sum("size").alias("size")).where(F.col("size") > limit).collect()
+    for r in texts:
+        rest[r.old_shard, r.block] -= r.size
+    parts = {k: max(1, math.ceil(size / limit)) for k, size in rest.items()}
+    begin, large = dict(parts), []
+    for r in sorted(texts, key=lambda r: (r.old_shard, r.block, r.text_hash)):
+        n = math.ceil(r.size / limit)
+        large.append((r.old_shard, r.block, r.text_hash, begin[r.old_shard, r.block], n))
+        begin[r.old_shard, r.block] += n
+    hot = spark.createDataFrame([(*k, n) for k, n in parts.items()], "old_shard int, block int, parts int")
+    alone = spark.createDataFrame(large, "old_shard int, block int, text_hash long, begin int, pieces int")
+    # the maps hold a row a block at most: BLOCKS an old shard and shards * GRAIN parts or texts of large ones
+    d = d.join(F.broadcast(hot), ["old_shard", "block"], "left").join(F.broadcast(alone), ["old_shard", "block", "text_hash"], "left")
+    by_text = F.pmod("text_hash", F.coalesce("parts", F.lit(1)))
+    d = d.withColumn("part", F.coalesce(F.col("begin") + F.pmod("part_hash", F.col("pieces")), by_text).cast("int")).drop("parts", "begin", "pieces", "part_hash", "text_hash")
     found = d.groupBy("old_shard", "block", "part").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).collect()
     where = place_blocks([((r.old_shard, r.block, r.part), r.old_shard, r.size) for r in found], list(capacity))
     filled, rows = defaultdict(int), []

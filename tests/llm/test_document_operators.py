@@ -238,6 +238,21 @@ def test_min_cost_flow():
         sharding.min_cost_flow([5], [4], lambda i, j: 1)
 
 
+def test_resharding_keeps_equal_texts_beside_a_hot_one(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(sharding, "BLOCKS", 1)
+    rows = [(i, "hot text " * 20) for i in range(400)] + [(1000 + 3 * k + j, f"group {k}") for k in range(200) for j in range(3)]
+    got = sharding.reshard(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), F.lit(0), 4).collect()
+    assert Counter(r.doc_id for r in got) == Counter(i for i, _ in rows)
+    groups, load = defaultdict(set), Counter()
+    for r in got:
+        load[r.shard] += r.size
+        groups[(r.doc_id - 1000) // 3 if r.doc_id >= 1000 else "hot"].add(r.shard)
+    assert len(groups.pop("hot")) == 4 and all(len(g) == 1 for g in groups.values())
+    assert max(load.values()) - min(load.values()) <= 0.1 * sum(load.values()) / 4
+
+
 def test_rewrite(spark, sf, tmp_path):
     from pyspark.sql import functions as F
 
