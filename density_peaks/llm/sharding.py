@@ -175,8 +175,34 @@ def affected(plan: DataFrame) -> DataFrame:
     return moved.select(F.explode(F.array("old_shard", "shard")).alias("shard")).distinct()
 
 
-def rewrite(docs: DataFrame, plan: DataFrame, path: str) -> None:
-    """Writes the new content of affected shards below path, a folder shard=N each; others stay as they are."""
-    keep = plan.join(affected(plan), "shard", "left_semi").select(F.col("doc_id").alias("plan_id"), "shard", "slot")
-    rows = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("plan_id"))).drop("plan_id")
-    rows.repartition("shard", F.floor(F.col("slot") / 100_000)).sortWithinPartitions("shard", "slot").write.partitionBy("shard").mode("overwrite").parquet(path)
+def rewrite(docs: DataFrame, plan: DataFrame, path: str, old_shard=None) -> None:
+    """Writes the new content of affected shards below path, a folder shard=N each; others stay as they are.
+
+    plan: what reshard() returns for docs. Each row of docs takes one seat of the plan of its
+    doc_id, size and checksum, and of its old shard if that Column is given, so repeated ids
+    and rows are written as often as docs holds them. An affected shard that ends empty
+    loses its folder. path may be the folder that docs was read from.
+    """
+    text = whole(F.col("text"))
+    old = F.lit(0) if old_shard is None else F.coalesce(old_shard.cast("int"), F.lit(0))
+    keys = ["seat_id", "seat_null", "seat_size", "seat_crc", "seat_old"]
+
+    def keyed(size, crc, own) -> list:
+        return [v.alias(k) for k, v in zip(keys, (F.coalesce("doc_id", F.lit(0)), F.isnull("doc_id"), size, crc, own), strict=True)]
+
+    hit = affected(plan).select(F.col("shard").cast("int").alias("shard"))
+    seats = plan.select(*keyed(F.col("size"), F.col("text_crc32"), F.lit(0) if old_shard is None else F.col("old_shard")), F.struct("shard", "slot").alias("seat"))
+    seats = seats.groupBy(keys).agg(F.array_sort(F.collect_list("seat")).alias("seats"))
+    rows = docs.select(F.struct(*[c for c in docs.columns if c not in ("shard", "slot")]).alias("own"), *keyed((F.octet_length(text) + 1).cast("long"), F.crc32(text.cast("binary")), old))
+    rows = rows.withColumn("seat_row", F.row_number().over(Window.partitionBy(keys).orderBy("seat_size")))
+    rows = rows.join(seats, keys).withColumn("seat", F.element_at("seats", F.col("seat_row"))).select("own.*", "seat.shard", "seat.slot")
+    # as many rows as there are shards
+    changed = {r.shard for r in hit.collect()}
+    gone = changed - {r.shard for r in plan.select("shard").distinct().collect()}
+    rows = rows.where(F.col("shard").isin(sorted(changed)))
+    rows = rows.repartition("shard", F.floor(F.col("slot") / 100_000)).sortWithinPartitions("shard", "slot")
+    rows.write.partitionBy("shard").mode("overwrite").option("partitionOverwriteMode", "dynamic").parquet(path)
+    spark = docs.sparkSession
+    for n in gone:
+        folder = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/shard={n}")
+        folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)

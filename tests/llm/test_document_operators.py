@@ -265,5 +265,24 @@ def test_rewrite(spark, sf, tmp_path):
     assert {(r.doc_id, r.shard) for r in back.collect()} == want
 
 
+def test_rewrite_of_repeated_ids_beside_an_untouched_shard(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    path = str(tmp_path / "shards")
+    rows = [(1, "a", "x", 0), (1, "a", "y", 0), (1, "b", "z", 1), (None, "a", "n", 1), (None, None, "m", 0), (3, "c", "u", 2), (4, "d", "v", 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, old int")
+    docs.withColumn("slot", F.lit(0).cast("long")).withColumn("shard", F.col("old")).write.partitionBy("shard").parquet(path)
+    # shards 0 and 1 change places, shard 3 is emptied into shard 1, shard 2 is not touched
+    d = docs.withColumn("to", F.expr("array(1, 0, 2, 1)[old]"))
+    size = (F.octet_length(F.coalesce("text", F.lit(""))) + 1).cast("long")
+    crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    plan = d.select("doc_id", size.alias("size"), crc.alias("text_crc32"), F.col("old").alias("old_shard"), F.col("to").alias("shard"), F.monotonically_increasing_id().alias("slot"))
+    source = spark.read.parquet(path)
+    sharding.rewrite(source, plan, path, F.col("old"))
+    spark.catalog.refreshByPath(path)
+    got = Counter((r.doc_id, r.text, r.source, r.old, r.shard) for r in spark.read.parquet(path).collect())
+    assert got == Counter((*r, [1, 0, 2, 1][r[3]]) for r in rows)
+
+
 def test_hard_rows_are_as_meant():
     assert len(HARD) == 15
