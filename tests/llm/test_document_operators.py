@@ -166,6 +166,18 @@ def test_genetic_algorithm_beats_its_seed():
     assert packing.fitness(best, length, 1000) >= packing.fitness(seed, length, 1000)
 
 
+def test_registered_settings_save_sequences():
+    length = np.random.default_rng(0).integers(400, 1000, 2000)
+    falling = packing.best_fit(np.argsort(-length, kind="stable"), length, [], packing.SEQUENCE)
+    assert len(falling) > packing.bound(length, packing.SEQUENCE)
+    best = [packing.evolve(length, packing.SEQUENCE, 31 * i) for i in range(packing.ISLANDS)]
+    for epoch in range(1, packing.EPOCHS):
+        best = [packing.evolve(length, packing.SEQUENCE, 31 * i + epoch, best[i - 1]) for i in range(packing.ISLANDS)]
+    found = min(best, key=len)
+    assert sorted(x for b in found for x in b) == list(range(2000)) and all(length[b].sum() <= packing.SEQUENCE for b in found)
+    assert len(found) < len(falling)
+
+
 @pytest.mark.parametrize("name", ["table", "hard", "none"])
 def test_mixing(spark, sf, hard, none, name):
     df = {"table": documents(spark, sf), "hard": hard, "none": none}[name]
