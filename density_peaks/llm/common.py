@@ -16,6 +16,7 @@ UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 _IS_SPACE = np.zeros(256, dtype=bool)
 _IS_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _POWERS = np.cumprod(np.full(64, 0x9E3779B97F4A7C15 | 1, dtype=np.uint64))
+_OTHER_POWERS = np.cumprod(np.full(64, 0xC2B2AE3D27D4EB4F, dtype=np.uint64))
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -71,10 +72,11 @@ class Words:
     """The words of many texts at once: byte ranges, a 64-bit hash each, and the words of each text.
 
     texts are bytes. start[i] and end[i] are the byte range of word i in data; first[d]
-    and first[d + 1] are the range of words of text d.
+    and first[d + 1] are the range of words of text d. check, if asked for, is a second
+    hash that tells words of equal hash apart.
     """
 
-    def __init__(self, texts: list[bytes], hashes: bool = True):
+    def __init__(self, texts: list[bytes], hashes: bool = True, check: bool = False):
         self.data = b"\n".join(texts) + b"\n"
         raw = np.frombuffer(self.data, dtype=np.uint8)
         space = _IS_SPACE[raw]
@@ -84,9 +86,10 @@ class Words:
         self.start, self.end = edge[0::2], edge[1::2]
         ends = np.cumsum(np.fromiter((len(t) + 1 for t in texts), dtype=np.int64, count=len(texts)))
         self.first = np.concatenate(([0], np.searchsorted(self.start, ends)))
-        self.hash = self._hash(raw, space) if hashes else None
+        self.hash = self._hash(raw, space, _POWERS) if hashes else None
+        self.check = self._hash(raw, space, _OTHER_POWERS) if check else None
 
-    def _hash(self, raw: np.ndarray, space: np.ndarray) -> np.ndarray:
+    def _hash(self, raw: np.ndarray, space: np.ndarray, powers: np.ndarray) -> np.ndarray:
         if not len(self.start):
             return np.empty(0, dtype=np.uint64)
         length = self.end - self.start
@@ -94,7 +97,7 @@ class Words:
         at = np.concatenate(([0], np.cumsum(length)[:-1]))
         place = np.arange(len(keep)) - np.repeat(at, length)
         with np.errstate(over="ignore"):
-            code = (raw[keep].astype(np.uint64) + np.uint64(1)) * _POWERS[place & 63]
+            code = (raw[keep].astype(np.uint64) + np.uint64(1)) * powers[place & 63]
             code ^= (place >> 6).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
             total = np.add.reduceat(code, at)
         return mix64(total ^ length.astype(np.uint64))

@@ -134,11 +134,40 @@ def test_packing(spark, sf, hard, none, name):
     assert len(seats) <= -(-total // 2048) + 2
 
 
-def test_word_ids_are_the_library_s():
+def ids_of(own, texts):
+    flat, many = own.ids([t.encode() for t in texts])
+    return [x[:-1].tolist() for x in np.split(flat, np.cumsum(many)[:-1])]
+
+
+WORDY = [
+    "Ünï!! ÉTÉ... Σίσυφος, ΟΔΥΣΣΕΥΣ. don't's 'S !!! #$%a_b_ x-y-z a1b2 İstanbul. ﬁ ǅ; é. Ḱó,, ½. a²! ªº? K. ẞ!",
+    "’quoted’ “x” — y…",
+    "a\x00b \x1c c\u2028d\xa0e\u3000f\x85g \x1f e \u0301 <|endoftext|> x<|startoftext|>Y",
+    "",
+    "été ETE ete! ete? " * 50,
+    "w" * 300 + " " + "W" * 300 + ".",
+]
+
+
+def test_word_ids_are_the_library_s(monkeypatch):
+    own = packing.WordIds(tokenizer("word_bpe_49k.json"))
+    want = [own.library.encode(t, add_special_tokens=False).ids for t in WORDY]
+    assert own.by_words and ids_of(own, WORDY) == want and ids_of(own, WORDY[::-1]) == want[::-1]
+    monkeypatch.setattr(packing, "REMEMBERED", 3)
+    assert ids_of(own, WORDY) == want and ids_of(own, WORDY[:1]) == want[:1]
+
+
+def test_words_of_equal_hash_go_to_the_library():
     own = packing.WordIds(tokenizer("word_bpe_49k.json"))
-    texts = ["Ünï!! ÉTÉ... Σίσυφος, ΟΔΥΣΣΕΥΣ. don't's 'S !!! #$%a_b_ x-y-z a1b2 İstanbul. ﬁ ǅ; é. Ḱó,, ½. a²! ªº? K. ẞ!", "’quoted’ “x” — y…", "a\x00b \x1c c\u2028d\xa0e\u3000f\x85g \x1f"]
-    for t in texts:
-        assert own.ids(t) == np.array(own.library.encode(t, add_special_tokens=False).ids, dtype="<u4").tobytes()
+    ids_of(own, WORDY)
+    own.check[: len(own.check) // 2] ^= np.uint64(1)
+    assert ids_of(own, WORDY) == [own.library.encode(t, add_special_tokens=False).ids for t in WORDY]
+
+
+def test_a_file_with_other_rules_goes_to_the_library():
+    own = packing.WordIds(tokenizer("byte_bpe_50k.json"))
+    assert not own.by_words
+    assert ids_of(own, WORDY) == [own.library.encode(t, add_special_tokens=False).ids for t in WORDY]
 
 
 def test_packing_blocks(spark, sf, monkeypatch):
@@ -151,31 +180,94 @@ def test_packing_blocks(spark, sf, monkeypatch):
     assert len(load) <= 1.06 * sum(load.values()) / 2048 + 1
 
 
-def test_genetic_algorithm_beats_its_seed():
-    # triples that fill a bin exactly, which falling best fit does not find
+def whole_packing(p, length, most):
+    assert len(p.label) == len(length) and (np.bincount(p.label, weights=length) == p.load).all()
+    return p.load.min() > 0 and p.load.max() <= most
+
+
+def test_best_fit_takes_the_fullest_bin_with_room():
+    rng = np.random.default_rng(2)
+    for _ in range(30):
+        length, most = rng.integers(1, 60, 200), 60
+        order, bins, label = rng.permutation(200), [], {}
+        for x in order.tolist():
+            fits = [b for b in bins if sum(b) + length[x] <= most]
+            if not fits:
+                bins.append(fits := [])
+                fits = [bins[-1]]
+            max(fits, key=sum).append(int(length[x]))
+        got = packing.fitted(order, length, most)
+        assert whole_packing(got, length, most) and sorted(got.load) == sorted(map(sum, bins))
+
+
+def test_crossover_keeps_given_bins_whole():
+    rng = np.random.default_rng(4)
+    length = rng.integers(100, 900, 300)
+    a, b = (packing.fitted(rng.permutation(300), length, 1000) for _ in range(2))
+    child = packing.crossover(a, b, length, 1000, rng)
+    sets = lambda p: {frozenset(np.flatnonzero(p.label == k).tolist()) for k in range(len(p))}
+    assert whole_packing(child, length, 1000) and len(sets(child) & sets(b)) >= len(b) // 7
+    assert whole_packing(packing.mutate(child, length, 1000, rng), length, 1000)
+
+
+def least_bins(length, most):
+    """The fewest bins by trying all placements."""
+    best = [len(length)]
+
+    def put(k, load):
+        if len(load) >= best[0]:
+            return
+        if k == len(length):
+            best[0] = len(load)
+            return
+        for b in range(len(load)):
+            if load[b] + length[k] <= most and load[b] not in load[:b]:
+                put(k + 1, [*load[:b], load[b] + length[k], *load[b + 1 :]])
+        put(k + 1, [*load, length[k]])
+
+    put(0, [])
+    return best[0]
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_genetic_search_meets_the_optimum_of_small_cases(seed):
+    length = np.random.default_rng(seed).integers(200, 700, 11)
+    people, _ = packing.evolve(length, 1000, seed, generations=60)
+    assert whole_packing(people[0], length, 1000) and len(people[0]) == least_bins(sorted(length.tolist(), reverse=True), 1000)
+
+
+def test_islands_cross_migrate_and_beat_falling_best_fit(spark):
+    # blocks on which falling best fit misses the bound: triples that fill a bin exactly, and pieces of a third of a sequence on
     rng = np.random.default_rng(5)
-    items = []
-    for _ in range(20):
-        a, b = rng.integers(380, 490, 2)
-        items += [a, b, 1000 - a - b]
-    length = np.array(items)
-    seed = packing.best_fit(np.argsort(-length, kind="stable"), length, [], 1000)
-    best = packing.evolve(length, 1000, 3, generations=150)
-    assert sorted(x for b in best for x in b) == list(range(60))
-    assert all(length[b].sum() <= 1000 for b in best)
-    assert packing.fitness(best, length, 1000) >= packing.fitness(seed, length, 1000)
-
-
-def test_registered_settings_save_sequences():
-    length = np.random.default_rng(0).integers(400, 1000, 2000)
-    falling = packing.best_fit(np.argsort(-length, kind="stable"), length, [], packing.SEQUENCE)
-    assert len(falling) > packing.bound(length, packing.SEQUENCE)
-    best = [packing.evolve(length, packing.SEQUENCE, 31 * i) for i in range(packing.ISLANDS)]
-    for epoch in range(1, packing.EPOCHS):
-        best = [packing.evolve(length, packing.SEQUENCE, 31 * i + epoch, best[i - 1]) for i in range(packing.ISLANDS)]
-    found = min(best, key=len)
-    assert sorted(x for b in found for x in b) == list(range(2000)) and all(length[b].sum() <= packing.SEQUENCE for b in found)
-    assert len(found) < len(falling)
+    a, b = rng.integers(380, 490, (2, 100))
+    blocks = {0: np.concatenate((a, b, 1000 - a - b)), 1: rng.integers(200, 500, 1500), 2: np.full(40, 25)}
+    rows = [(k, i, int(x)) for k, v in blocks.items() for i, x in enumerate(v)]
+    items = spark.createDataFrame(rows, "block long, item long, length long").repartition(4)
+    state = packing.evolved(items, 1000, packing.EPOCHS, packing.ISLANDS).collect()
+    by = {k: [r for r in state if r.block == k] for k in blocks}
+    for k in (0, 1):
+        plain = len(packing.fitted(packing.falling(blocks[k]), blocks[k], 1000))
+        assert plain > packing.bound(blocks[k], 1000)
+        assert len(by[k]) == packing.ISLANDS and min(r.bins for r in by[k]) < plain
+        assert all(r.generations == packing.EPOCHS * packing.GENERATIONS and r.migrants == packing.EPOCHS - 1 for r in by[k] if r.bins > r.least)
+    assert all(r.bins == r.least == 1 and r.migrants == 0 for r in by[2])
+    got = packing.solve(items, 1000, packing.EPOCHS, packing.ISLANDS).collect()
+    load, seen = Counter(), Counter()
+    for r in got:
+        load[r.block, r.bin] += r.length
+        seen[r.block, r.item, r.length] += 1
+    assert seen == Counter(rows) and max(load.values()) <= 1000
+    for k in blocks:
+        assert sum(x[0] == k for x in load) == min(r.bins for r in by[k])
+
+
+def test_registered_query_crosses_on_the_table(spark, sf):
+    p = packing.pieces(documents(spark, sf), tokenizer("word_bpe_49k.json")).where("length < 2048")
+    items = p.selectExpr("0L as block", "monotonically_increasing_id() as item", "length")
+    state = packing.evolved(items, packing.SEQUENCE, packing.EPOCHS, packing.ISLANDS).collect()
+    assert len(state) == packing.ISLANDS and sum(r.generations for r in state) > 0
+    length = np.array([r.length for r in items.collect()])
+    assert min(r.bins for r in state) <= len(packing.fitted(packing.falling(length), length, packing.SEQUENCE))
 
 
 @pytest.mark.parametrize("name", ["table", "hard", "none"])
