@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from density_peaks.llm import exact_dedup, mixing, near_dedup, packing, quality, secrets, sharding, substring_dedup, token_counts, warc
-from density_peaks.llm.common import cut, shared_dir
+from density_peaks.llm.common import shared_dir
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -59,10 +59,9 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_resharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     # the layout before: twelve shards by a hash of the text; the layout after: sixteen of equal bytes
     old = F.pmod(F.xxhash64(F.coalesce(F.col("text"), F.lit(""))), F.lit(12))
-    docs = _table(spark, sf_dir, "documents")
-    plan = cut(sharding.reshard(docs, old, 16))
-    sharding.rewrite(docs, plan, f"{shared_dir(spark).rstrip('/')}/resharding-{uuid.uuid4().hex}", old)
-    return plan.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard")
+    path = f"{shared_dir(spark).rstrip('/')}/resharding-{uuid.uuid4().hex}"
+    rows = sharding.reshard_files(_table(spark, sf_dir, "documents"), old, path, 16)
+    return rows.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard")
 
 
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,9 +2,11 @@
 
 Documents fall into blocks by a hash of their text within their old shard, so equal texts
 share a block. A block that outgrows its limit is split by a second hash of the text; only
-a single text that outgrows the limit alone is split by a hash of the id. The driver sees block sums only, whose number is bounded by parameters. A flow from
-old shard sizes to new capacities, free within a shard and costing a byte for each byte
-moved, says how much goes where; whole blocks then fill these flows.
+a single text that outgrows the limit alone is split by a hash of the id. The driver sees
+block sums only, whose number is bounded by parameters. A flow from old shard sizes to new
+capacities, free within a shard and costing a byte for each byte moved, says how much goes
+where; whole blocks then fill these flows. A row's new shard follows from its own columns
+and these small tables, so its text is shuffled once, when affected shards are rewritten.
 """
 
 from __future__ import annotations
@@ -12,14 +14,18 @@ from __future__ import annotations
 import heapq
 import math
 from collections import defaultdict
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
 from density_peaks.llm.common import cut, whole
 
 #: Blocks of each old shard, and how many blocks an even new shard is made of at least.
 BLOCKS, GRAIN = 512, 64
+#: Most bytes of a part of a block, whatever the shards hold, and bytes of a new file.
+PART_BYTES, FILE_BYTES = 4 << 30, 256 << 20
 
 
 def min_cost_flow(supply: list[int], capacity: list[int], cost) -> dict[tuple[int, int], int]:
@@ -113,31 +119,52 @@ def place_blocks(blocks: list[tuple], capacity: list[int]) -> dict:
     return where
 
 
-def reshard(docs: DataFrame, old_shard, shards: int = 16, capacities: list[int] | None = None) -> DataFrame:
-    """A new shard and slot for each document, moving as few bytes as the new capacities allow.
+@dataclass
+class Layout:
+    """Where each part of a block goes, as tables of a row a block or part at most.
 
-    docs needs doc_id and text; old_shard is an integer Column of docs (null: shard 0).
-    capacities: bytes for each new shard, equal shares of all by default. Size is UTF-8
-    bytes plus 1, so a null or empty text has size 1. Returns doc_id, size, text_crc32,
-    old_shard, shard, slot for each row; slots of a shard run from 0 without gaps. Rows
-    repeated whole get slots of their own. No rows give no rows; other columns are ignored.
+    hot: old_shard, block, parts (of blocks that are split); alone: old_shard, block,
+    text_hash, begin, pieces (of texts split by id); placed: old_shard, block, part, shard,
+    base (its first slot there), file. moved: bytes that change shards; affected: shards
+    that lose or gain rows; emptied: those of them that end without rows.
     """
+
+    hot: DataFrame
+    alone: DataFrame
+    placed: DataFrame
+    moved: int
+    affected: set[int]
+    emptied: set[int]
+
+
+def _keyed(docs: DataFrame, old_shard: Column) -> dict[str, Column]:
+    """What decides a row's block and part, and what a plan says of it."""
     text = whole(F.col("text"))
-    d = docs.select(
-        "doc_id",
-        (F.octet_length(text) + 1).cast("long").alias("size"),
-        F.crc32(text.cast("binary")).alias("text_crc32"),
-        F.coalesce(old_shard.cast("int"), F.lit(0)).alias("old_shard"),
-        F.pmod(F.xxhash64(text, F.lit("block")), F.lit(BLOCKS)).cast("int").alias("block"),
-        F.xxhash64(text, F.lit("text")).alias("text_hash"),
-        F.xxhash64(F.coalesce("doc_id", F.lit(-1)), F.lit("part")).alias("part_hash"),
-    )
-    d = cut(d)
+    return {
+        "size": (F.octet_length(text) + 1).cast("long"),
+        "text_crc32": F.crc32(text.cast("binary")),
+        "old_shard": F.coalesce(old_shard.cast("int"), F.lit(0)),
+        "block": F.pmod(F.xxhash64(text, F.lit("block")), F.lit(BLOCKS)).cast("int"),
+        "text_hash": F.xxhash64(text, F.lit("text")),
+        "part_hash": F.xxhash64(F.coalesce("doc_id", F.lit(-1)), F.lit("part")),
+    }
+
+
+def _parted(d: DataFrame, hot: DataFrame, alone: DataFrame) -> DataFrame:
+    """d with the part of its block that each row is in."""
+    d = d.join(F.broadcast(hot), ["old_shard", "block"], "left").join(F.broadcast(alone), ["old_shard", "block", "text_hash"], "left")
+    by_text = F.pmod("text_hash", F.coalesce("parts", F.lit(1)))
+    part = F.coalesce(F.col("begin") + F.pmod("part_hash", F.col("pieces")), by_text).cast("int")
+    return d.withColumn("part", part).drop("parts", "begin", "pieces", "part_hash", "text_hash")
+
+
+def _layout(d: DataFrame, shards: int, capacities: list[int] | None) -> Layout:
+    """d: doc_id and the columns of _keyed(), cut."""
+    spark = d.sparkSession
     sums = d.groupBy("old_shard", "block").agg(F.sum("size").alias("size")).collect()
     total = sum(r.size for r in sums)
     capacity = capacities or [total // shards + (i < total % shards) for i in range(shards)]
-    limit = max(1, total // (shards * GRAIN))
-    spark = docs.sparkSession
+    limit = max(1, min(total // (shards * GRAIN), PART_BYTES))
     rest = {(r.old_shard, r.block): r.size for r in sums if r.size > limit}
     outgrown = spark.createDataFrame(list(rest), "old_shard int, block int")
     # texts that outgrow the limit alone: at most total / limit of them
@@ -150,59 +177,99 @@ def reshard(docs: DataFrame, old_shard, shards: int = 16, capacities: list[int]
         n = math.ceil(r.size / limit)
         large.append((r.old_shard, r.block, r.text_hash, begin[r.old_shard, r.block], n))
         begin[r.old_shard, r.block] += n
+    # these tables hold a row a block at most: BLOCKS an old shard, and total / limit parts or texts of large ones
     hot = spark.createDataFrame([(*k, n) for k, n in parts.items()], "old_shard int, block int, parts int")
     alone = spark.createDataFrame(large, "old_shard int, block int, text_hash long, begin int, pieces int")
-    # the maps hold a row a block at most: BLOCKS an old shard and shards * GRAIN parts or texts of large ones
-    d = d.join(F.broadcast(hot), ["old_shard", "block"], "left").join(F.broadcast(alone), ["old_shard", "block", "text_hash"], "left")
-    by_text = F.pmod("text_hash", F.coalesce("parts", F.lit(1)))
-    d = d.withColumn("part", F.coalesce(F.col("begin") + F.pmod("part_hash", F.col("pieces")), by_text).cast("int")).drop("parts", "begin", "pieces", "part_hash", "text_hash")
-    found = d.groupBy("old_shard", "block", "part").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).collect()
+    found = _parted(d.drop("text_crc32"), hot, alone).groupBy("old_shard", "block", "part").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).collect()
     where = place_blocks([((r.old_shard, r.block, r.part), r.old_shard, r.size) for r in found], list(capacity))
-    filled, rows = defaultdict(int), []
+    filled, held, rows, moved, affected = defaultdict(int), defaultdict(int), [], 0, set()
     for r in sorted(found, key=lambda r: (r.old_shard, r.block, r.part)):
         to = where[r.old_shard, r.block, r.part]
-        rows.append((r.old_shard, r.block, r.part, to, filled[to]))
+        rows.append((r.old_shard, r.block, r.part, to, filled[to], held[to] // FILE_BYTES))
         filled[to] += r.n
-    placed = spark.createDataFrame(rows, "old_shard int, block int, part int, shard int, base long")
-    own = Window.partitionBy("old_shard", "block", "part").orderBy("doc_id", "text_crc32", "size")
-    d = d.withColumn("row", F.row_number().over(own)).join(F.broadcast(placed), ["old_shard", "block", "part"])
+        held[to] += r.size
+        if to != r.old_shard:
+            moved += r.size
+            affected |= {to, r.old_shard}
+    placed = spark.createDataFrame(rows, "old_shard int, block int, part int, shard int, base long, file long")
+    return Layout(hot, alone, placed, moved, affected, affected - set(filled))
+
+
+def _narrow(docs: DataFrame, old_shard: Column) -> DataFrame:
+    return cut(docs.select("doc_id", *[c.alias(n) for n, c in _keyed(docs, old_shard).items()]))
+
+
+def layout(docs: DataFrame, old_shard: Column, shards: int = 16, capacities: list[int] | None = None) -> Layout:
+    """The layout that moves as few bytes as the new capacities allow.
+
+    docs needs doc_id and text; old_shard is an integer Column of docs (null: shard 0).
+    capacities: bytes for each new shard, equal shares of all by default. Size is UTF-8
+    bytes plus 1, so a null or empty text has size 1.
+    """
+    return _layout(_narrow(docs, old_shard), shards, capacities)
+
+
+def _own(*first: str):
+    """A part's rows in order: its slots follow one another in the new shard."""
+    return Window.partitionBy(*first, "old_shard", "block", "part").orderBy("doc_id", "text_crc32", "size")
+
+
+def _seats(d: DataFrame, own: Layout, placed: DataFrame) -> DataFrame:
+    d = _parted(d, own.hot, own.alone).withColumn("row", F.row_number().over(_own()))
+    d = d.join(F.broadcast(placed), ["old_shard", "block", "part"])
     return d.select("doc_id", "size", "text_crc32", "old_shard", "shard", (F.col("base") + F.col("row") - 1).alias("slot"))
 
 
-def affected(plan: DataFrame) -> DataFrame:
-    """Shards that a plan changes: those that lose or gain documents."""
-    moved = plan.where("old_shard <> shard")
-    return moved.select(F.explode(F.array("old_shard", "shard")).alias("shard")).distinct()
+def reshard(docs: DataFrame, old_shard: Column, shards: int = 16, capacities: list[int] | None = None) -> DataFrame:
+    """A new shard and slot for each document by layout(), without moving texts.
+
+    Returns doc_id, size, text_crc32, old_shard, shard, slot for each row; slots of a shard
+    run from 0 without gaps. Rows repeated whole get slots of their own. No rows give no
+    rows; other columns are ignored.
+    """
+    d = _narrow(docs, old_shard)
+    own = _layout(d, shards, capacities)
+    return _seats(d, own, own.placed)
+
+
+def reshard_files(docs: DataFrame, old_shard: Column, path: str, shards: int = 16, capacities: list[int] | None = None) -> DataFrame:
+    """What reshard() returns, after the affected shards were rewritten below path: their rows are read back from there."""
+    d = _narrow(docs, old_shard)
+    own = _layout(d, shards, capacities)
+    if not own.affected:
+        return _seats(d, own, own.placed)
+    rewrite(docs, own, path, old_shard)
+    back = read_shards(docs, path)
+    k = _keyed(back, old_shard)
+    back = back.select("doc_id", k["size"].alias("size"), k["text_crc32"].alias("text_crc32"), k["old_shard"].alias("old_shard"), "shard", "slot")
+    touched = F.col("shard").isin(sorted(own.affected))
+    return back.where(touched).unionByName(_seats(d, own, own.placed.where(~touched)))
 
 
-def rewrite(docs: DataFrame, plan: DataFrame, path: str, old_shard=None) -> None:
+def rewrite(docs: DataFrame, own: Layout, path: str, old_shard: Column) -> None:
     """Writes the new content of affected shards below path, a folder shard=N each; others stay as they are.
 
-    plan: what reshard() returns for docs. Each row of docs takes one seat of the plan of its
-    doc_id, size and checksum, and of its old shard if that Column is given, so repeated ids
-    and rows are written as often as docs holds them. An affected shard that ends empty
-    loses its folder. path may be the folder that docs was read from.
+    own: the layout() of docs. Rows get the slots that reshard() gives them; rows that
+    agree in doc_id, text and old shard may change places. Columns shard and slot of docs
+    are replaced. An affected shard that ends empty loses its folder. path may be the
+    folder that docs was read from.
     """
-    text = whole(F.col("text"))
-    old = F.lit(0) if old_shard is None else F.coalesce(old_shard.cast("int"), F.lit(0))
-    keys = ["seat_id", "seat_null", "seat_size", "seat_crc", "seat_old"]
-
-    def keyed(size, crc, own) -> list:
-        return [v.alias(k) for k, v in zip(keys, (F.coalesce("doc_id", F.lit(0)), F.isnull("doc_id"), size, crc, own), strict=True)]
-
-    hit = affected(plan).select(F.col("shard").cast("int").alias("shard"))
-    seats = plan.select(*keyed(F.col("size"), F.col("text_crc32"), F.lit(0) if old_shard is None else F.col("old_shard")), F.struct("shard", "slot").alias("seat"))
-    seats = seats.groupBy(keys).agg(F.array_sort(F.collect_list("seat")).alias("seats"))
-    rows = docs.select(F.struct(*[c for c in docs.columns if c not in ("shard", "slot")]).alias("own"), *keyed((F.octet_length(text) + 1).cast("long"), F.crc32(text.cast("binary")), old))
-    rows = rows.withColumn("seat_row", F.row_number().over(Window.partitionBy(keys).orderBy("seat_size")))
-    rows = rows.join(seats, keys).withColumn("seat", F.element_at("seats", F.col("seat_row"))).select("own.*", "seat.shard", "seat.slot")
-    # as many rows as there are shards
-    changed = {r.shard for r in hit.collect()}
-    gone = changed - {r.shard for r in plan.select("shard").distinct().collect()}
-    rows = rows.where(F.col("shard").isin(sorted(changed)))
-    rows = rows.repartition("shard", F.floor(F.col("slot") / 100_000)).sortWithinPartitions("shard", "slot")
-    rows.write.partitionBy("shard").mode("overwrite").option("partitionOverwriteMode", "dynamic").parquet(path)
+    keep = [c for c in docs.columns if c not in ("shard", "slot")]
+    rows = docs.select(F.struct(*keep).alias("own"), "doc_id", *[c.alias(n) for n, c in _keyed(docs, old_shard).items()])
+    rows = _parted(rows, own.hot, own.alone).join(F.broadcast(own.placed.where(F.col("shard").isin(sorted(own.affected)))), ["old_shard", "block", "part"])
+    # one shuffle, which the window keeps: a file's parts meet in one task
+    files = max(1, own.placed.select("shard", "file").distinct().count())
+    rows = rows.repartition(files, "shard", "file").withColumn("row", F.row_number().over(_own("shard", "file")))
+    rows = rows.select("own.*", "shard", (F.col("base") + F.col("row") - 1).alias("slot"))
+    rows.sortWithinPartitions("shard", "slot").write.partitionBy("shard").mode("overwrite").option("partitionOverwriteMode", "dynamic").parquet(path)
     spark = docs.sparkSession
-    for n in gone:
+    for n in own.emptied:
         folder = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/shard={n}")
         folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def read_shards(docs: DataFrame, path: str) -> DataFrame:
+    """The rows of rewritten shards: the columns of docs, shard and slot. docs tells the schema."""
+    keep = [f for f in docs.schema.fields if f.name not in ("shard", "slot")]
+    schema = StructType([*keep, StructField("slot", LongType()), StructField("shard", IntegerType())])
+    return docs.sparkSession.read.schema(schema).parquet(path)

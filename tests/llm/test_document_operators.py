@@ -357,35 +357,80 @@ def test_resharding_keeps_equal_texts_beside_a_hot_one(spark, monkeypatch):
     assert max(load.values()) - min(load.values()) <= 0.1 * sum(load.values()) / 4
 
 
-def test_rewrite(spark, sf, tmp_path):
-    from pyspark.sql import functions as F
+def moved_at_least(supply, capacity, cost):
+    """The cheapest shipment by trying all amounts."""
+    best = [10**9]
+
+    def ship(i, j, left, room, spent):
+        if spent >= best[0]:
+            return
+        if i == len(supply):
+            best[0] = spent
+        elif j == len(capacity):
+            if left == 0:
+                ship(i + 1, 0, supply[i + 1] if i + 1 < len(supply) else 0, room, spent)
+        else:
+            for x in range(min(left, room[j]) + 1):
+                ship(i, j + 1, left - x, [*room[:j], room[j] - x, *room[j + 1 :]], spent + x * cost[i][j])
+
+    ship(0, 0, supply[0], capacity, 0)
+    return best[0]
+
+
+@pytest.mark.parametrize("seed", range(8))
+def test_min_cost_flow_against_all_shipments(seed):
+    rng = np.random.default_rng(seed)
+    supply = rng.integers(0, 6, 3).tolist()
+    capacity = [x + 1 for x in np.bincount(rng.integers(0, 3, sum(supply)), minlength=3).tolist()]
+    cost = [[0 if i == j else 1 for j in range(3)] for i in range(3)] if seed % 2 else rng.integers(0, 5, (3, 3)).tolist()
+    flow = sharding.min_cost_flow(supply, capacity, lambda i, j: cost[i][j])
+    assert sum(v * cost[i][j] for (i, j), v in flow.items()) == moved_at_least(supply, capacity, cost)
 
-    df = documents(spark, sf)
-    plan = sharding.reshard(df, F.pmod(F.xxhash64("text"), F.lit(12)), 16)
-    sharding.rewrite(df, plan, str(tmp_path / "out"))
-    back = spark.read.parquet(str(tmp_path / "out"))
-    hit = {r.shard for r in sharding.affected(plan).collect()}
-    want = {(r.doc_id, r.shard) for r in plan.collect() if r.shard in hit}
-    assert {(r.doc_id, r.shard) for r in back.collect()} == want
 
+def test_blocks_of_one_byte_move_no_more_than_the_flow():
+    blocks = [((s, k), s, 1) for s, n in enumerate((9, 2, 0, 5)) for k in range(n)]
+    where = sharding.place_blocks(blocks, [4, 4, 4, 4])
+    assert Counter(where.values()) == {j: 4 for j in range(4)}
+    assert sum(where[k] != s for k, s, _ in blocks) == 6
 
-def test_rewrite_of_repeated_ids_beside_an_untouched_shard(spark, tmp_path):
+
+@pytest.mark.parametrize("name", ["table", "hard", "none"])
+def test_rewritten_shards_hold_the_plan(spark, sf, hard, none, tmp_path, monkeypatch, name):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(sharding, "FILE_BYTES", 20_000)
+    df = {"table": documents(spark, sf), "hard": hard, "none": none}[name]
+    old, path = F.pmod(F.xxhash64("text"), F.lit(12)), str(tmp_path / "out")
+    plan = sharding.reshard(df, old, 16).collect()
+    assert Counter(tuple(r) for r in sharding.reshard_files(df, old, path, 16).collect()) == Counter(tuple(r) for r in plan)
+    if plan:
+        moved = {s for r in plan if r.shard != r.old_shard for s in (r.shard, r.old_shard)}
+        back = sharding.read_shards(df, path)
+        assert {r.shard for r in back.collect()} <= moved
+        columns = [c for c in df.columns if c != "slot"]
+        at = {(r.shard, r.slot): r for r in plan}
+        rows = [(r, at[r.shard, r.slot]) for r in back.collect()]
+        assert all(r.doc_id == p.doc_id and zlib.crc32((r.text or "").encode()) == p.text_crc32 for r, p in rows)
+        if len(back.collect()) == len(plan):
+            assert Counter(tuple(r[c] for c in columns) for r, _ in rows) == Counter(tuple(r[c] for c in columns) for r in df.collect())
+
+
+def test_rewrite_of_repeated_ids_beside_an_untouched_shard(spark, tmp_path, monkeypatch):
     from pyspark.sql import functions as F
 
+    monkeypatch.setattr(sharding, "BLOCKS", 1)
     path = str(tmp_path / "shards")
     rows = [(1, "a", "x", 0), (1, "a", "y", 0), (1, "b", "z", 1), (None, "a", "n", 1), (None, None, "m", 0), (3, "c", "u", 2), (4, "d", "v", 3)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, source string, old int")
     docs.withColumn("slot", F.lit(0).cast("long")).withColumn("shard", F.col("old")).write.partitionBy("shard").parquet(path)
     # shards 0 and 1 change places, shard 3 is emptied into shard 1, shard 2 is not touched
-    d = docs.withColumn("to", F.expr("array(1, 0, 2, 1)[old]"))
-    size = (F.octet_length(F.coalesce("text", F.lit(""))) + 1).cast("long")
-    crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
-    plan = d.select("doc_id", size.alias("size"), crc.alias("text_crc32"), F.col("old").alias("old_shard"), F.col("to").alias("shard"), F.monotonically_increasing_id().alias("slot"))
-    source = spark.read.parquet(path)
-    sharding.rewrite(source, plan, path, F.col("old"))
+    none = spark.createDataFrame([], "old_shard int, block int, parts int"), spark.createDataFrame([], "old_shard int, block int, text_hash long, begin int, pieces int")
+    placed = spark.createDataFrame([(0, 0, 0, 1, 0, 0), (1, 0, 0, 0, 0, 0), (2, 0, 0, 2, 0, 0), (3, 0, 0, 1, 3, 0)], "old_shard int, block int, part int, shard int, base long, file long")
+    sharding.rewrite(spark.read.parquet(path), sharding.Layout(*none, placed, 0, {0, 1, 3}, {3}), path, F.col("old"))
     spark.catalog.refreshByPath(path)
-    got = Counter((r.doc_id, r.text, r.source, r.old, r.shard) for r in spark.read.parquet(path).collect())
-    assert got == Counter((*r, [1, 0, 2, 1][r[3]]) for r in rows)
+    back = spark.read.parquet(path).collect()
+    assert Counter((r.doc_id, r.text, r.source, r.old, r.shard) for r in back) == Counter((*r, [1, 0, 2, 1][r[3]]) for r in rows)
+    assert sorted((r.shard, r.slot) for r in back if r.shard != 2) == [(0, 0), (0, 1), (1, 0), (1, 1), (1, 2), (1, 3)]
 
 
 def test_hard_rows_are_as_meant():
