@@ -22,7 +22,8 @@ MAGIC = "WARC/1.1\r\n"
 BREAK = "\r\n\r\n"
 #: Payloads from this size on may be revisits.
 LEAST = 1000
-
+#: Bytes of a split: a SPLITS-th of all archives, between these.
+SPLITS, LEAST_SPLIT, MOST_SPLIT = 4096, 4 << 20, 128 << 20
 
 #: Tables of at most so many rows, each under 200 bytes, are broadcast; larger ones are joined by a shuffle.
 MOST_BROADCAST = 300_000
@@ -75,6 +76,20 @@ def write_archives(pages: DataFrame, path: str) -> None:
     records(pages).select("record").write.mode("overwrite").option("lineSep", BREAK).text(path)
 
 
+def fixed_splits(spark: SparkSession, path: str) -> SparkSession:
+    """A session of the same cluster that cuts the files below path into the same splits at every scan.
+
+    Split sizes otherwise follow the number of cores, which changes as executors come and
+    go, and a segment is known by its split and its number in it.
+    """
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    total = p.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(p).getLength()
+    own = spark.newSession()
+    own.conf.set("spark.sql.files.minPartitionNum", "1")
+    own.conf.set("spark.sql.files.maxPartitionBytes", str(min(MOST_SPLIT, max(LEAST_SPLIT, total // SPLITS))))
+    return own
+
+
 def segments(spark: SparkSession, path: str) -> DataFrame:
     """file, split, seq, body: what lies between magics, in order within each split of a file."""
     raw = spark.read.option("lineSep", MAGIC).option("recursiveFileLookup", "true").text(path)
@@ -169,7 +184,7 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
 
     Bytes before the first record of a file, and after a broken one, belong to no record.
     """
-    segs = segments(spark, path)
+    segs = segments(fixed_splits(spark, path), path)
     c = cut(candidates(segs))
     kept = cut(reachable(c))
     c = c.select("file", "split", "seq", "offset", "length", "header", "head", "content")
@@ -186,8 +201,11 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
     broken = cut(sound.where(F.col("length") < F.col("head") + F.col("content")).select("file", F.col("offset").alias("start"), "successor", F.col("header").alias("own"), F.col("head").alias("skip"), F.col("content").alias("size")))
     if broken.isEmpty():
         return one
-    # ranges of one file do not overlap, so a segment belongs to one broken record at most
-    parts = c.join(broken, "file").where((F.col("offset") >= F.col("start")) & (F.col("offset") < F.col("successor"))).select("file", "split", "seq", "offset", "start", "own", "skip", "size")
+    # ranges of one file do not overlap, so a segment belongs to the last broken record that starts before it, if to any
+    begun = c.select("file", "split", "seq", "offset").join(_sent(broken), (c["file"] == broken["file"]) & (c["offset"] == broken["start"]), "left")
+    begun = begun.select(c["file"], "split", "seq", "offset", F.when(F.col("start").isNotNull(), F.struct("start", "successor", "own", "skip", "size")).alias("r"))
+    last = F.last("r", ignorenulls=True).over(Window.partitionBy("file").orderBy("offset").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    parts = begun.withColumn("r", last).where(F.col("offset") < F.col("r.successor")).select("file", "split", "seq", "offset", "r.start", "r.own", "r.skip", "r.size")
     held = segs.join(parts, ["file", "split", "seq"]).groupBy("file", "start", "own", "skip", "size").agg(F.sort_array(F.collect_list(F.struct("offset", body.alias("b")))).alias("all"))
     joined = F.aggregate(F.slice(F.col("all"), 2, F.greatest(F.size("all") - 1, F.lit(1))), F.element_at("all", 1)["b"], lambda x, y: F.concat(x, F.lit(MAGIC).cast("binary"), y["b"]))
     held = held.withColumn("raw", joined).select("file", F.col("own").alias("header"), F.expr("substring(raw, cast(skip + 1 as int), cast(size as int))").alias("payload"))

@@ -109,8 +109,8 @@ def test_quality(spark, hard, none):
     rng = random.Random(9)
     words = ["v%d" % i for i in range(300)] + ["#x", "<b>", "é…"]
     shared = " ".join(rng.choices(words, k=40))
-    rows = [(i, "\n".join([" ".join(rng.choices(words, k=rng.choice([10, 45, 70])))] + ([shared.upper(), "  " + shared] if i % 5 == 0 else [])), rng.choice(["a", "b", None])) for i in range(150)]
-    rows += [(150 + i, rows[1][1], "a") for i in range(40)]  # copies of one text count once
+    rows = [(i, "\n".join([" ".join(rng.choices(words, k=rng.choice([10, 45, 70])))] + ([shared.upper(), "  " + shared] if i % 5 == 0 else [])), rng.choice(["a", "b", None, "\x00"])) for i in range(200)]
+    rows += [(200 + i, rows[1][1], "a") for i in range(40)]  # copies of one text count once
     df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
     columns = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_words", "base_failed", "kept"]
     got = Counter(tuple(r) for r in quality.judge(df).select(columns).collect())
@@ -206,13 +206,15 @@ def test_warc_round_trip(spark, tmp_path):
     assert bodies == sorted((h or "").encode() if not (h in top and top[h] != i) else b"" for i, _, h, *_ in rows)
 
 
-def test_warc_over_many_splits(spark, tmp_path):
+def test_warc_over_many_splits(spark, tmp_path, monkeypatch):
     fake = warc.MAGIC + "Content-Length: 9\r\n\r\n"
     rows = [(i, f"http://p/{i}", (fake if i % 3 == 0 else "") + "text %d " % i * (i % 50 + 1) + (fake if i % 5 == 0 else ""), 0, "") for i in range(300)]
     before = spark.conf.get("spark.sql.files.maxPartitionBytes")
     try:
         warc.write_archives(pages(spark, rows).coalesce(1), str(tmp_path / "w"))
-        spark.conf.set("spark.sql.files.maxPartitionBytes", "4096")
+        monkeypatch.setattr(warc, "LEAST_SPLIT", 4096)
+        monkeypatch.setattr(warc, "MOST_SPLIT", 4096)
+        spark.conf.set("spark.sql.files.maxPartitionBytes", "70000")  # the splits are warc's own
         got = warc.described(warc.read_archives(spark, str(tmp_path / "w"))).collect()
     finally:
         spark.conf.set("spark.sql.files.maxPartitionBytes", before)
