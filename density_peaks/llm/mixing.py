@@ -1,15 +1,15 @@
 """Mixing sources to target weights by Pareto order sampling, in DataFrame functions only.
 
-A source's target says how many copies of each document are expected. The whole copies
-are certain; the fractional rest is an inclusion probability p, and documents are ranked
-by u / (1 - u) over p / (1 - p), u uniform. The front of that ranking is taken until the
+A source's target and a document's weight say how many copies of it are expected. The
+whole copies are certain; the fractional rest is an inclusion probability p, and documents
+are ranked by u / (1 - u) over p / (1 - p), u uniform. The front of that ranking is taken until the
 words that the certain copies leave over are filled, so the size is fixed and only which
 documents fill it is random.
 """
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -27,6 +27,11 @@ def uniform(key: Column, seed: int) -> Column:
     return (bits + F.lit(0.5)) / F.lit(4503599627370496.0)
 
 
+def by_length(size: Column) -> Column:
+    """A document's weight: twice as many copies a word from 1000 words on as for the shortest, in whole thousandths."""
+    return F.lit(1000) + F.least(size, F.lit(1000))
+
+
 def source_targets(sizes: DataFrame, weights: Sequence[float], share: float, most: float) -> DataFrame:
     """source, source_size, target: weighted shares of share * all words, each at most most * its source.
 
@@ -47,18 +52,22 @@ def source_targets(sizes: DataFrame, weights: Sequence[float], share: float, mos
     return by.select("source", F.col("source_size").cast("long").alias("source_size"), target.alias("target"))
 
 
-def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17, weight: Column | None = None) -> DataFrame:
+def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17, weight: Column | Callable[[Column], Column] | None = by_length) -> DataFrame:
     """How many copies of each document a mix takes.
 
     docs needs doc_id, text, source; other columns are ignored. Sources in code point
-    order, null last, weigh weights in turn. weight, if given, is a positive column of
-    docs by which the expected copies of a document differ from its source's rate.
+    order, null last, weigh weights in turn. weight is a positive column of docs, or a
+    function of the column of sizes, by which the expected copies of a document differ
+    from its source's rate; with None all documents of a source have the same rate.
     Returns doc_id, text_hash, size, source, source_size, target, copies, taken for each row. A
     document without words is size 0 and takes 0 words; rows repeated whole are drawn as
     separate documents with the same number u; an empty table gives no rows.
     """
-    own = F.lit(1.0) if weight is None else F.coalesce(weight.cast("double"), F.lit(1.0))
-    sizes = cut(docs.select("doc_id", F.col("source").cast("string").alias("source"), F.xxhash64(whole(F.col("text"))).alias("text_hash"), word_count(F.col("text")).alias("size"), own.alias("own")))
+    own = F.coalesce(weight.cast("double"), F.lit(1.0)) if isinstance(weight, Column) else F.lit(1.0)
+    sizes = docs.select("doc_id", F.col("source").cast("string").alias("source"), F.xxhash64(whole(F.col("text"))).alias("text_hash"), word_count(F.col("text")).alias("size"), own.alias("own"))
+    if callable(weight) and not isinstance(weight, Column):
+        sizes = sizes.withColumn("own", weight(F.col("size")).cast("double"))
+    sizes = cut(sizes)
     targets = source_targets(sizes, weights, share, most)
     mean = sizes.groupBy("source").agg((F.sum(F.col("own") * F.col("size")) / F.greatest(F.sum("size"), F.lit(1))).alias("mean_own"))
     plan = targets.alias("t").join(mean.alias("m"), F.expr("t.source <=> m.source")).select("t.*", "m.mean_own")
@@ -107,15 +116,17 @@ WITH d AS (
   SELECT max(level) AS level FROM l WHERE level * weight <= most
 ), t AS (
   SELECT l.source, l.source_size, least(l.most, coalesce(f.level * l.weight, l.most)) AS target FROM l, f
+), v AS (
+  SELECT source, sum((1000 + least(size, 1000)) * size)::DOUBLE / greatest(sum(size), 1)::DOUBLE AS mean FROM d GROUP BY source
 ), r AS (
   SELECT d.doc_id, d.size, d.source, t.source_size, t.target,
-    CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0e0 END AS rate,
+    least(2e0, CASE WHEN v.mean > 0 THEN (CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0e0 END) * (1000 + least(d.size, 1000))::DOUBLE / v.mean ELSE 0e0 END) AS expected,
     (('0x' || substr(md5(coalesce(d.doc_id::VARCHAR, 'null') || ':17'), 1, 13))::UBIGINT::DOUBLE + 0.5e0) / 4503599627370496e0 AS u
-  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source JOIN v ON d.source IS NOT DISTINCT FROM v.source
 ), q AS (
-  SELECT *, floor(rate) AS whole, rate - floor(rate) AS p FROM r
+  SELECT *, floor(expected) AS whole, expected - floor(expected) AS p FROM r
 ), o AS (
-  SELECT *, sum(size) OVER (PARTITION BY source ORDER BY (u / (1 - u)) / (p / (1 - p)), doc_id, size ROWS UNBOUNDED PRECEDING) AS upto,
+  SELECT *, sum(CASE WHEN p > 0 THEN size ELSE 0 END) OVER (PARTITION BY source ORDER BY CASE WHEN p > 0 THEN (u / (1 - u)) / (p / (1 - p)) END NULLS LAST, doc_id, size ROWS UNBOUNDED PRECEDING) AS upto,
     target - (sum(size * whole) OVER (PARTITION BY source)) AS room
   FROM q
 )
