@@ -20,12 +20,28 @@ _OTHER_POWERS = np.cumprod(np.full(64, 0xC2B2AE3D27D4EB4F, dtype=np.uint64))
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is set."""
+    """The folder that driver and executors share.
+
+    Where none is set, a local master takes a temporary folder, as all of it runs on one
+    machine; a cluster raises RuntimeError, as executors would not see such a folder.
+    """
     sc = spark.sparkContext
-    set_dir = spark.conf.get("spark.checkpoint.dir", None)
-    if set_dir is None:
-        set_dir = sc.getCheckpointDir() or os.path.join(tempfile.gettempdir(), "density_peaks_checkpoints")
-    return set_dir
+    set_dir = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if set_dir is None and not sc.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    return set_dir or os.path.join(tempfile.gettempdir(), "density_peaks_checkpoints")
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of the shared store, if it is there."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def finished(spark: SparkSession, path: str) -> bool:
+    """Whether a write to path has ended."""
+    mark = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return mark.getFileSystem(spark._jsc.hadoopConfiguration()).exists(mark)
 
 
 def cut(df: DataFrame) -> DataFrame:

@@ -102,9 +102,14 @@ def measures(docs: DataFrame, host: str) -> DataFrame:
     return docs.select("doc_id", F.col(host).cast("string").alias("host"), whole(F.col("text")).alias("text")).withColumn("text_hash", F.xxhash64("text")).mapInArrow(run, MEASURES)
 
 
+def _named(host: str = "host"):
+    """A host's name, and one that no host has where it is null."""
+    return F.coalesce(F.concat(F.lit("h"), F.col(host)), F.lit("n"))
+
+
 def frequent_lines(m: DataFrame, least: int = LINE_DOCS, percent: int = LINE_SHARE_PERCENT) -> DataFrame:
     """host, line of each line above the limits. m: what measures() returns."""
-    own = F.coalesce("host", F.lit("\x00"))
+    own = _named()
     # distinct counts take two steps, by line and text, then by line, so a line that a third of all rows share is spread
     held = m.select(own.alias("host"), "text_hash", F.explode("lines").alias("line"))
     counts = held.groupBy("host", "line").agg(F.count_distinct("text_hash").alias("n_docs")).where(F.col("n_docs") > least)
@@ -115,7 +120,7 @@ def frequent_lines(m: DataFrame, least: int = LINE_DOCS, percent: int = LINE_SHA
 def _verdicts(docs: DataFrame, host: str) -> DataFrame:
     """The columns of judge(), the host, and the hashes of the boilerplate lines that a row holds (null: none)."""
     m = cut(measures(docs, host).withColumn("row", F.monotonically_increasing_id()))
-    lines = m.select("row", F.coalesce("host", F.lit("\x00")).alias("host"), F.explode(F.arrays_zip("lines", "line_words")).alias("l"))
+    lines = m.select("row", _named().alias("host"), F.explode(F.arrays_zip("lines", "line_words")).alias("l"))
     lines = lines.select("row", "host", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"))
     boilerplate = lines.join(frequent_lines(m).select("host", "line"), ["host", "line"], "left_semi")
     removed = boilerplate.groupBy("row").agg(F.sum("words").alias("removed"), F.collect_list("line").alias("removed_lines"))
@@ -151,24 +156,26 @@ def clean(docs: DataFrame, host: str = "source") -> DataFrame:
     Blank lines and all other lines stay as they are and in their order. A column n_chars,
     if there is one, follows the text. Rows without such lines are returned unchanged.
     """
-    v = _verdicts(docs, host).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_mark"), F.col("host").alias("kept_host"), F.col("removed_lines").alias("kept_without"))
+    v = _verdicts(docs, host).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_mark"), F.col("host").alias("kept_host"), F.col("removed_lines").alias("without"))
     v = v.dropDuplicates(["kept_id", "kept_mark", "kept_host"])
-    own = docs.withColumn("kept_own", F.xxhash64(whole(F.col("text"))))
-    same = own["doc_id"].eqNullSafe(F.col("kept_id")) & (F.col("kept_own") == F.col("kept_mark")) & own[host].cast("string").eqNullSafe(F.col("kept_host"))
+    # the columns of docs travel as one, so none of them can clash
+    own = docs.select(F.struct(*docs.columns).alias("own"), F.col("doc_id").alias("id"), F.xxhash64(whole(F.col("text"))).alias("mark"), F.col(host).cast("string").alias("at"))
+    same = F.col("id").eqNullSafe(F.col("kept_id")) & (F.col("mark") == F.col("kept_mark")) & F.col("at").eqNullSafe(F.col("kept_host"))
     out = own.join(v, same)
     # only texts that lose lines travel to Python
-    without = F.pandas_udf(_without, "binary")
-    held = F.when(F.col("kept_without").isNotNull(), F.col("text").cast("binary"))
-    out = out.withColumn("text", F.coalesce(without(held, F.col("kept_without")).cast("string"), F.col("text")))
+    lost, text = F.col("without").isNotNull(), F.col("own.text").cast("string")
+    rest = F.pandas_udf(_without, "binary")(F.when(lost, text.cast("binary")), F.col("without")).cast("string")
+    out = out.withColumn("cleaned", F.coalesce(rest, text))
+    values = {c: F.col("own").getField(c) for c in docs.columns} | {"text": F.when(lost, F.col("cleaned")).otherwise(F.col("own.text"))}
     if "n_chars" in docs.columns:
         kind = docs.schema["n_chars"].dataType
-        out = out.withColumn("n_chars", F.when(F.col("kept_without").isNotNull(), F.char_length("text").cast(kind)).otherwise(F.col("n_chars")))
-    return out.select(docs.columns)
+        values["n_chars"] = F.when(lost, F.char_length("cleaned").cast(kind)).otherwise(F.col("own.n_chars"))
+    return out.select(*[v.alias(c) for c, v in values.items()])
 
 
 SQL = r"""
 WITH d AS (
-  SELECT row_number() OVER () AS row, doc_id, coalesce(source, chr(0)) AS host, coalesce(text, '') AS text FROM documents
+  SELECT row_number() OVER () AS row, doc_id, coalesce('h' || source, 'n') AS host, coalesce(text, '') AS text FROM documents
 ), w AS (
   SELECT row, unnest(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) AS word, generate_subscripts(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), 1) AS i FROM d
 ), t AS (
