@@ -1,23 +1,25 @@
 """Exact dedup against immutable snapshots that keep static binary-fuse filters.
 
-A snapshot's digests are dealt into shards, and each shard keeps one static filter of
-about nine bits a key. Digests of a new batch are dealt the same way and screened there:
-only the positives, and the digests that the batch itself repeats, are joined with the
-documents, whose whole normalised texts then meet in exact buckets. No filter is
-broadcast and no digest set is collected; the filters are a table that grows with the
-snapshot and is joined by shard.
+A snapshot is saved once: its digests are dealt into shards, each shard keeps one static
+filter of about nine bits a key, and the digests that it holds more than once are noted.
+Digests of any later batch are dealt the same way and screened there: only the positives,
+and the digests that a batch itself repeats, are joined with the documents, whose whole
+normalised texts then meet in exact buckets. No filter is broadcast and no digest set is
+collected; the filters are a table that grows with the snapshot and is joined by shard.
 """
 
 from __future__ import annotations
 
 import math
+import uuid
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from density_peaks.llm.common import cut, lowered, mix64
+from density_peaks.llm.common import cut, finished, lowered, mix64, shared_dir
 
 #: Keys that one filter shard is sized for.
 SHARD_KEYS = 500_000
@@ -132,24 +134,52 @@ def classes(docs: DataFrame, suspects: DataFrame) -> DataFrame:
     return groups.select("digest", F.sha2("norm", 256).alias("text_sha256"), "keep_id", "group_size")
 
 
-def exact_dedup(snapshot: DataFrame, incoming: DataFrame) -> DataFrame:
-    """Marks the equal texts among a snapshot and a new batch.
+@dataclass
+class Snapshot:
+    """An immutable table with what was saved of it: digests, filters by shard, and repeats."""
 
-    Both need doc_id and text; other columns are ignored. Texts are equal when they are
-    identical after lower-casing A-Z; null counts as empty. Returns one row for each row
-    of both: doc_id, keep_id (largest doc_id of the equal texts), group_size, kept,
+    docs: DataFrame
+    digests: DataFrame
+    filters: DataFrame
+    repeats: DataFrame
+    shards: int
+
+
+def save_snapshot(docs: DataFrame, path: str) -> Snapshot:
+    """Saves digests, filters and repeated digests of docs below path, once for all batches to come."""
+    digests(docs).write.parquet(f"{path}/digests")
+    held = docs.sparkSession.read.parquet(f"{path}/digests")
+    shards = max(8, math.ceil(held.count() / SHARD_KEYS))
+    build_filters(held, shards).write.parquet(f"{path}/filters")
+    repeated(held).write.parquet(f"{path}/repeats")
+    docs.sparkSession.createDataFrame([(shards,)], "shards int").coalesce(1).write.parquet(f"{path}/meta")
+    return load_snapshot(docs, path)
+
+
+def load_snapshot(docs: DataFrame, path: str) -> Snapshot:
+    """A saved snapshot of docs. Raises ValueError where path holds none that was saved to its end."""
+    spark = docs.sparkSession
+    if not finished(spark, f"{path}/meta"):
+        raise ValueError(f"no snapshot at {path}")
+    part = lambda name: spark.read.parquet(f"{path}/{name}")
+    return Snapshot(docs, part("digests"), part("filters"), part("repeats"), part("meta").first()["shards"])
+
+
+def exact_dedup(snapshot: Snapshot, incoming: DataFrame) -> DataFrame:
+    """Marks the equal texts among a snapshot and a new batch, with the snapshot's filters as saved.
+
+    The tables of both need doc_id and text; other columns are ignored. Texts are equal when
+    they are identical after lower-casing A-Z; null counts as empty. Returns one row for
+    each row of both: doc_id, keep_id (largest doc_id of the equal texts), group_size, kept,
     text_sha256. Rows repeated whole count singly in group_size and are all kept if their
     doc_id is the largest; a null doc_id is kept only where all of its group are null.
     Empty inputs give no rows.
     """
-    both = cut(digests(snapshot).withColumn("fresh", F.lit(False)).unionByName(digests(incoming).withColumn("fresh", F.lit(True))))
-    old, new = both.where("not fresh"), both.where("fresh")
-    shards = max(8, math.ceil(both.count() / SHARD_KEYS))
-    positives = screen(new, build_filters(old, shards), shards)
-    # a snapshot's own repeats were found when it was the new batch; here it comes as rows, so that is done now
-    suspects = cut(positives.unionByName(repeated(new)).unionByName(repeated(old)).distinct())
-    docs = snapshot.select("doc_id", "text").unionByName(incoming.select("doc_id", "text"))
-    found = both.join(classes(docs, suspects), ["digest", "text_sha256"], "left")
+    new = cut(digests(incoming))
+    positives = screen(new, snapshot.filters, snapshot.shards)
+    suspects = cut(positives.unionByName(repeated(new)).unionByName(snapshot.repeats).distinct())
+    docs = snapshot.docs.select("doc_id", "text").unionByName(incoming.select("doc_id", "text"))
+    found = snapshot.digests.unionByName(new).join(classes(docs, suspects), ["digest", "text_sha256"], "left")
     keep = F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id"))
     return found.select(
         "doc_id",
@@ -160,10 +190,11 @@ def exact_dedup(snapshot: DataFrame, incoming: DataFrame) -> DataFrame:
     )
 
 
-def dedup(docs: DataFrame) -> DataFrame:
-    """exact_dedup over one table: by a hash of the id, half of it is the snapshot and half the new batch."""
+def dedup(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """exact_dedup over one table: by a hash of the id, half of it is the snapshot, saved below path, and half the new batch."""
+    path = path or f"{shared_dir(docs.sparkSession).rstrip('/')}/snapshot-{uuid.uuid4().hex}"
     fresh = F.pmod(F.xxhash64("doc_id"), F.lit(2)) == 1
-    return exact_dedup(docs.where(~fresh), docs.where(fresh))
+    return exact_dedup(save_snapshot(docs.where(~fresh), path), docs.where(fresh))
 
 
 SQL = """
