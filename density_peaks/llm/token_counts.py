@@ -1,14 +1,17 @@
 """Token counts of a byte-level BPE with a whole-token shortcut.
 
-Once for each vocabulary file, every vocabulary string is encoded alone; those that give
-one token form the shortcut set. A pre-token of that set counts as one token without any
-merging. Other pre-tokens are merged by the library, once for each distinct one that a
-worker meets. The pattern is the byte-level pre-tokenizer's; a text with characters for
-which two Unicode tables may differ, or with a special string, goes to the library whole.
+Before the job, every vocabulary string is encoded alone on the driver; those that give
+one token are the proved set, which is broadcast: it is no larger than the vocabulary. A
+pre-token of that set counts as one token without any merging. Other pre-tokens are merged
+by the library, once for each distinct one that a worker meets. The pattern is the
+byte-level pre-tokenizer's. A text with characters for which two Unicode tables may differ,
+or with a special string, goes to the library whole, and so do all texts where the file has
+another normaliser or pre-tokenizer.
 """
 
 from __future__ import annotations
 
+import json
 import os
 from collections.abc import Iterator
 
@@ -26,6 +29,8 @@ SCHEMA = "doc_id long, n_bytes long, n_tokens long"
 PRE_TOKEN = regex.compile(
     r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+"
 )
+# Fixed value: the pre-tokenizer that splits by that pattern; such a file has no normaliser.
+BYTE_LEVEL = {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": True}
 #: Latin, Greek, Cyrillic and common punctuation, assigned for many Unicode versions.
 SETTLED = regex.compile(r"[\t\n\r\x20-~\xA0-˿Α-ΡΣ-ώЀ-ҁ‐-‧‰-⁞€]*")
 
@@ -35,15 +40,17 @@ _READY: dict[str, TokenCounter] = {}
 class TokenCounter:
     """Counts tokens with one vocabulary file; lives as long as its worker."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, single: set[str] | None = None):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_padding()
         self.library.no_truncation()
+        spec = json.loads(self.library.to_str())
+        self.by_pattern = not spec["normalizer"] and spec["pre_tokenizer"] is not None and spec["pre_tokenizer"] | {"trim_offsets": True} == BYTE_LEVEL
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.single = self.whole_tokens()
+        self.single = single if single is not None else self.whole_tokens() if self.by_pattern else set()
         self.known: dict[str, int] = dict.fromkeys(self.single, 1)
 
     def whole_tokens(self) -> set[str]:
@@ -56,7 +63,7 @@ class TokenCounter:
         return {w for w, e in zip(words, self.library.encode_batch_fast(words, add_special_tokens=False), strict=True) if len(e) == 1}
 
     def count(self, text: str) -> int:
-        if not SETTLED.fullmatch(text) or any(s in text for s in self.special):
+        if not self.by_pattern or not SETTLED.fullmatch(text) or any(s in text for s in self.special):
             return len(self.library.encode(text, add_special_tokens=False))
         parts = PRE_TOKEN.findall(text)
         known = self.known
@@ -75,9 +82,9 @@ class TokenCounter:
             self.known[w] = len(e)
 
 
-def counter(path: str) -> TokenCounter:
+def counter(path: str, single: set[str] | None = None) -> TokenCounter:
     if path not in _READY:
-        _READY[path] = TokenCounter(path)
+        _READY[path] = TokenCounter(path, single)
     return _READY[path]
 
 
@@ -87,9 +94,10 @@ def token_counts(docs: DataFrame, path: str) -> DataFrame:
     docs needs doc_id and text; other columns are ignored. A null text counts as empty, with
     0 tokens; a null doc_id stays null; repeated rows are counted each; no rows give none.
     """
+    proved = docs.sparkSession.sparkContext.broadcast(counter(path).single)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = counter(path)
+        own = counter(path, proved.value)
         for b in batches:
             texts = encoded(b.column("text"))
             counts = [own.count(t.decode("utf-8", "replace")) for t in texts]
