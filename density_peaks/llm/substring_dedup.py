@@ -12,6 +12,7 @@ windows travel one by one to the part of their own hash, so no passage fills one
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,9 +25,11 @@ from pyspark.sql import functions as F
 
 from density_peaks.llm.common import Words, cut, encoded, mix64, portions, width
 
-#: Words of a window and of a gram; slots by which minimisers are weighed; parts a shuffle partition.
-WINDOW, GRAM, SLOTS, PARTS = 20, 4, 1 << 16, 3
-#: A slot is hot above this multiple of a part's mean words.
+#: Words of a window and of a gram; parts a shuffle partition at least, and words of a part at most on average.
+WINDOW, GRAM, PARTS, PART_WORDS = 20, 4, 3, 3_000_000
+#: Slots by which minimisers are weighed: one for each MiB of input, as a power of two between these.
+LEAST_SLOTS, MOST_SLOTS = 1 << 16, 1 << 20
+#: A slot is hot above this multiple of a part's mean words, where it is also above three times the mean of slots.
 HOT = 1.0
 #: Bytes of text that are cut into super-k-mers at once.
 PORTION = 4_000_000
@@ -78,11 +81,17 @@ def runs(starts: np.ndarray, low: np.ndarray, alone: np.ndarray) -> tuple[np.nda
     return begin, np.append(begin[1:], len(starts))
 
 
-def slot_loads(docs: DataFrame, window: int, gram: int) -> DataFrame:
+def slots_for(docs: DataFrame) -> int:
+    """Slots by the planner's estimate of the size of docs; where it knows none, the most."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return min(MOST_SLOTS, max(LEAST_SLOTS, 1 << (size >> 20).bit_length()))
+
+
+def slot_loads(docs: DataFrame, window: int, gram: int, slots: int = LEAST_SLOTS) -> DataFrame:
     """slot, load: words that super-k-mers of each slot of minimisers would carry."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        load = np.zeros(SLOTS, dtype=np.int64)
+        load = np.zeros(slots, dtype=np.int64)
         for b in batches:
             texts = encoded(b.column("text"))
             for lo, hi in portions(texts, PORTION):
@@ -93,7 +102,7 @@ def slot_loads(docs: DataFrame, window: int, gram: int) -> DataFrame:
                     # copies within a portion do not travel, so they do not count
                     at = starts[begin]
                     _, one = np.unique(window_hashes(words.hash, window)[at] + (end - begin).astype(np.uint64), return_index=True)
-                    load += np.bincount((low[begin[one]] & np.uint64(SLOTS - 1)).astype(np.int64), weights=end[one] - begin[one] + window - 1, minlength=SLOTS).astype(np.int64)
+                    load += np.bincount((low[begin[one]] & np.uint64(slots - 1)).astype(np.int64), weights=end[one] - begin[one] + window - 1, minlength=slots).astype(np.int64)
         at = np.flatnonzero(load)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(load[at], pa.int64())], names=["slot", "load"])
 
@@ -143,7 +152,7 @@ def super_kmers(docs: DataFrame, window: int, gram: int, parts: int, hot: np.nda
     def portion(texts: list[bytes], ids: np.ndarray, tags: np.ndarray) -> Iterator[pa.RecordBatch]:
         words = Words(texts)
         starts, low = minimisers(words, window, gram)
-        alone = hot[(low & np.uint64(SLOTS - 1)).astype(np.int64)]
+        alone = hot[(low & np.uint64(len(hot) - 1)).astype(np.int64)]
         begin, end = runs(starts, low, alone)
         if not len(begin):
             return
@@ -258,13 +267,14 @@ def substring_dedup(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, par
     text has no words; a text shorter than a window loses none. No rows give none.
     """
     spark = docs.sparkSession
-    parts = parts or PARTS * width(spark)
     keyed = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("tag", F.xxhash64("text"))
-    loads = cut(slot_loads(keyed, window, gram))
+    slots = slots_for(docs)
+    loads = cut(slot_loads(keyed, window, gram, slots))
     total = loads.agg(F.sum("load")).first()[0] or 0
-    hot = np.zeros(SLOTS, dtype=bool)
-    # at most parts / HOT slots can be above the limit
-    hot[[r.slot for r in loads.where(F.col("load") > max(HOT * total / parts, 50_000)).collect()]] = True
+    parts = parts or max(PARTS * width(spark), math.ceil(total / PART_WORDS))
+    hot = np.zeros(slots, dtype=bool)
+    # at most a third of the slots, and at most parts / HOT of them, can be above the limit
+    hot[[r.slot for r in loads.where(F.col("load") > max(HOT * total / parts, 3 * total / slots, 50_000)).collect()]] = True
     # one shuffle takes the packed strings to their parts, and what is settled already along
     lost = super_kmers(keyed, window, gram, parts, hot).groupBy("part").applyInPandas(settle(window), "doc_id long, tag long, payload binary")
     lost = lost.groupBy(F.col("doc_id").alias("id"), F.col("tag").alias("t")).agg(F.collect_list("payload").alias("ranges"))
