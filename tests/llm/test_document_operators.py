@@ -96,6 +96,23 @@ def test_exact_dedup(spark, sf, hard, none, name):
     assert Counter(tuple(r) for r in got) == want
 
 
+def test_later_batches_use_the_saved_filters(spark, sf, tmp_path, monkeypatch):
+    docs = documents(spark, sf)
+    old, path = docs.where("doc_id % 3 = 0"), str(tmp_path / "snapshot")
+    with pytest.raises(ValueError):
+        exact_dedup.load_snapshot(old, path)
+    exact_dedup.save_snapshot(old, path)
+    monkeypatch.setattr(exact_dedup, "build_filters", None)
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    for batch in ("doc_id % 3 = 1", "doc_id % 3 = 2", "doc_id < 0"):
+        groups = defaultdict(list)
+        for i, t in texts(docs.where(f"doc_id % 3 = 0 or {batch}")):
+            groups[t.translate(lower)].append(i)
+        want = Counter((i, max(ids), len(ids)) for ids in groups.values() for i in ids)
+        got = exact_dedup.exact_dedup(exact_dedup.load_snapshot(old, path), docs.where(batch))
+        assert Counter((r.doc_id, r.keep_id, r.group_size) for r in got.collect()) == want
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 10, 1000, 60_000])
 def test_fuse_filter(n):
     keys = np.unique(np.random.default_rng(n).integers(0, 1 << 63, 3 * n).astype(np.uint64))

@@ -4,6 +4,9 @@ import re
 from collections import Counter, defaultdict
 
 import corpus_pipeline
+import pytest
+from pyspark.sql import functions as F
+
 from density_peaks.llm import near_dedup, quality
 from density_peaks.llm.queries import ORACLES, QUERIES
 
@@ -82,15 +85,35 @@ def test_quality_stage_removes_boilerplate_lines(spark, sf):
 
 def test_stages_take_hard_rows_and_none(spark, sf, hard, none):
     docs = hard.withColumnRenamed("source_size", "lang")
+    for c in ("kept_id", "kept_own", "kept_mark", "kept_host", "mix_own", "mix_copy", "mix_id", "own", "id", "mark", "at", "copies", "without"):
+        docs = docs.withColumn(c, F.lit(f"extra {c}"))
     for name, stage in corpus_pipeline.STAGES:
         out = stage(spark, docs, sf)
         assert stage(spark, docs.limit(0), sf).count() == 0, name
         if name != "packing":
-            assert out.columns == docs.columns and out.count() <= 2 * len(HARD), name
+            rows = out.collect()
+            assert out.columns == docs.columns and len(rows) <= 2 * len(HARD), name
+            assert all(r[c] == f"extra {c}" for r in rows for c in ("kept_id", "mix_own", "own", "copies")), name
+
+
+def test_run_gives_the_last_stage_and_goes_on_where_it_ended(spark, sf, tmp_path, monkeypatch):
+    ran, folder = [], str(tmp_path / "run")
+
+    def counted(name, stage):
+        def once(*a):
+            ran.append(name)
+            if name == "source_mix" and ran.count(name) == 1:
+                raise RuntimeError("lost")
+            return stage(*a)
 
+        return name, once
 
-def test_run_gives_the_last_stage(spark, sf):
-    out = corpus_pipeline.run(spark, sf)
+    monkeypatch.setattr(corpus_pipeline, "STAGES", [counted(*s) for s in corpus_pipeline.STAGES])
+    with pytest.raises(RuntimeError):
+        corpus_pipeline.run(spark, sf, folder)
+    out = corpus_pipeline.run(spark, sf, folder)
+    assert ran == ["quality_rules", "exact_dedup", "near_dedup", "source_mix", "source_mix", "packing"]
+    assert sorted(p.name for p in (tmp_path / "run").iterdir()) == ["3-source_mix"]
     assert out.columns == ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"] and out.count() > 0
 
 
