@@ -2,28 +2,33 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all that the stage before kept. All
 but the last return the columns of documents. Rows are told apart by doc_id and a hash of
-the text, so ids that repeat with other texts are judged apart. Nulls, empty tables and
-extra columns are handled as the operators' docstrings say.
+the text, so ids that repeat with other texts are judged apart. Nulls and empty tables are
+handled as the operators' docstrings say; a stage joins the columns of docs as one struct,
+so extra columns of any name pass through.
 """
 
 from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from density_peaks.llm import exact_dedup, mixing, near_dedup, packing, quality
-from density_peaks.llm.common import lowered, shared_dir, whole
+from density_peaks.llm.common import finished, lowered, remove, shared_dir, whole
 from density_peaks.llm.queries import tokenizer
 
 
-def _only(docs: DataFrame, rows: DataFrame, mark=None) -> DataFrame:
-    """The rows of docs whose doc_id and mark (a hash of the text by default) are among rows."""
-    mark = F.xxhash64(whole(F.col("text"))) if mark is None else mark
+def _held(docs: DataFrame, mark: Column) -> DataFrame:
+    """own (all columns of docs as one), id and mark (a hash of the text)."""
+    return docs.select(F.struct(*docs.columns).alias("own"), F.col("doc_id").alias("id"), mark.alias("mark"))
+
+
+def _only(docs: DataFrame, rows: DataFrame, mark: Column | None = None) -> DataFrame:
+    """own, id and mark of the rows of docs whose doc_id and mark (a hash of the text by default) are among rows."""
+    held = _held(docs, F.xxhash64(whole(F.col("text"))) if mark is None else mark)
     rows = rows.toDF("kept_id", "kept_mark")
-    marked = docs.withColumn("kept_own", mark)
-    return marked.join(rows, marked["doc_id"].eqNullSafe(F.col("kept_id")) & (F.col("kept_own") == F.col("kept_mark")), "left_semi")
+    return held.join(rows, F.col("id").eqNullSafe(F.col("kept_id")) & (F.col("mark") == F.col("kept_mark")), "left_semi")
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,22 +39,22 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of equal texts: that with the largest doc_id."""
     kept = exact_dedup.dedup(docs).where("kept").select("doc_id", "text_sha256")
-    return _only(docs, kept, F.sha2(lowered(F.col("text")), 256)).dropDuplicates(["doc_id", "kept_own"]).select(docs.columns)
+    return _only(docs, kept, F.sha2(lowered(F.col("text")), 256)).dropDuplicates(["id", "mark"]).select("own.*")
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate component (five-word shingles, 0.8): the smallest doc_id."""
     found = near_dedup.near_duplicates(docs, size=5)
-    return _only(docs, found.where("kept").select("doc_id", "text_hash")).select(docs.columns)
+    return _only(docs, found.where("kept").select("doc_id", "text_hash")).select("own.*")
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; a document taken twice is two rows."""
-    copies = mixing.mix(docs).groupBy(F.col("doc_id").alias("mix_id"), F.col("text_hash").alias("mix_hash"), F.col("source").alias("mix_source")).agg(F.max("copies").alias("mix_copies"))
-    own = docs.withColumn("mix_own", F.xxhash64(whole(F.col("text"))))
-    same = own["doc_id"].eqNullSafe(F.col("mix_id")) & (F.col("mix_own") == F.col("mix_hash")) & own["source"].cast("string").eqNullSafe(F.col("mix_source"))
-    taken = own.join(copies.where("mix_copies > 0"), same)
-    return taken.withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies")))).select(docs.columns)
+    copies = mixing.mix(docs).groupBy(F.col("doc_id").alias("mix_id"), F.col("text_hash").alias("mix_hash"), F.col("source").alias("mix_source")).agg(F.max("copies").alias("copies"))
+    own = _held(docs, F.xxhash64(whole(F.col("text")))).withColumn("at", F.col("own.source").cast("string"))
+    same = F.col("id").eqNullSafe(F.col("mix_id")) & (F.col("mark") == F.col("mix_hash")) & F.col("at").eqNullSafe(F.col("mix_source"))
+    taken = own.join(copies.where("copies > 0"), same)
+    return taken.select("own", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("own.*")
 
 
 def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -69,13 +74,23 @@ STAGES = [
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written as Parquet and read again."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    base = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
-    for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs.write.parquet(f"{base}/{k}-{name}")
-            docs = spark.read.parquet(f"{base}/{k}-{name}")
-    return docs
+def run(spark: SparkSession, sf_dir: str, folder: str | None = None) -> DataFrame:
+    """All stages over documents, each written as Parquet and read again.
+
+    folder: where the stages are written, a new folder of the shared one by default. A run
+    that is started again with the same folder goes on after the last stage that ended; a
+    stage's files go when the next one is written.
+    """
+    base = (folder or f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}").rstrip("/")
+    paths = [f"{base}/{k}-{name}" for k, (name, _) in enumerate(STAGES[:-1])]
+    docs = None
+    for k, (path, (_, stage)) in enumerate(zip(paths, STAGES, strict=False)):
+        if any(finished(spark, later) for later in paths[k + 1 :]):
+            continue
+        if not finished(spark, path):
+            before = spark.read.parquet(paths[k - 1] if k else f"{sf_dir}/documents.parquet")
+            stage(spark, before, sf_dir).write.mode("overwrite").parquet(path)
+        if k:
+            remove(spark, paths[k - 1])
+        docs = spark.read.parquet(path)
+    return STAGES[-1][1](spark, docs, sf_dir)
