@@ -24,8 +24,8 @@ from density_peaks.llm.common import cut, whole
 
 #: Blocks of each old shard, and how many blocks an even new shard is made of at least.
 BLOCKS, GRAIN = 512, 64
-#: Most bytes of a part of a block, whatever the shards hold, and bytes of a new file.
-PART_BYTES, FILE_BYTES = 4 << 30, 256 << 20
+#: Most bytes of a part of a block, whatever the shards hold; files of a new shard at least, and most bytes of each.
+PART_BYTES, FILES, FILE_BYTES = 4 << 30, 4, 256 << 20
 
 
 def min_cost_flow(supply: list[int], capacity: list[int], cost) -> dict[tuple[int, int], int]:
@@ -182,10 +182,11 @@ def _layout(d: DataFrame, shards: int, capacities: list[int] | None) -> Layout:
     alone = spark.createDataFrame(large, "old_shard int, block int, text_hash long, begin int, pieces int")
     found = _parted(d.drop("text_crc32"), hot, alone).groupBy("old_shard", "block", "part").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).collect()
     where = place_blocks([((r.old_shard, r.block, r.part), r.old_shard, r.size) for r in found], list(capacity))
+    file_bytes = max(1, min(FILE_BYTES, total // (shards * FILES)))
     filled, held, rows, moved, affected = defaultdict(int), defaultdict(int), [], 0, set()
     for r in sorted(found, key=lambda r: (r.old_shard, r.block, r.part)):
         to = where[r.old_shard, r.block, r.part]
-        rows.append((r.old_shard, r.block, r.part, to, filled[to], held[to] // FILE_BYTES))
+        rows.append((r.old_shard, r.block, r.part, to, filled[to], held[to] // file_bytes))
         filled[to] += r.n
         held[to] += r.size
         if to != r.old_shard:
