@@ -126,7 +126,7 @@ def encoded(values) -> list[bytes]:
     return [v or b"" for v in values.cast(pa.large_binary()).to_pylist()]
 
 
-def portions(texts: list[bytes], most: int = 4_000_000):
+def portions(texts: list[bytes], most: int = 1_000_000):
     """Ranges of texts of about so many bytes; a longer text goes alone and whole."""
     begin = size = 0
     for i, t in enumerate(texts):
@@ -136,3 +136,11 @@ def portions(texts: list[bytes], most: int = 4_000_000):
         size += len(t) + 1
     if begin < len(texts):
         yield begin, len(texts)
+
+
+def released(batches):
+    """The batches of a task; when they end, Arrow gives back the memory that its pool keeps."""
+    import pyarrow as pa
+
+    yield from batches
+    pa.default_memory_pool().release_unused()

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from density_peaks.llm.common import Words, cut, encoded, mix64, portions, whole
+from density_peaks.llm.common import Words, cut, encoded, mix64, portions, released, whole
 
 #: Shingle words, similarity in percent, bands and rows; a pair at the threshold is missed by all bands with probability (1 - 0.8 ** 5) ** 30 < 1e-5.
 SHINGLE, PERCENT, BANDS, ROWS = 4, 80, 30, 5
@@ -84,7 +84,7 @@ def described(docs: DataFrame, size: int) -> DataFrame:
     """doc_id, n_shingles, digest of the set, signature of each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in released(batches):
             texts = encoded(b.column("text"))
             counts, digests, signs = [], [], []
             for lo, hi in portions(texts, 500_000):
@@ -178,7 +178,7 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     """cls, set: the whole shingle sets of the wanted classes (cls, first_doc, digest), one row each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in released(batches):
             texts = encoded(b.column("text"))
             for lo, hi in portions(texts, 500_000):  # small batches out, as sets are larger than texts
                 sets = shingle_sets(texts[lo:hi], size)

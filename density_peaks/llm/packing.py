@@ -25,14 +25,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from density_peaks.llm.common import Words, cut, encoded, portions
+from density_peaks.llm.common import Words, cut, encoded, portions, released
 
 #: Tokens of a sequence; the id that ends a document; pieces of a block.
 SEQUENCE, END, BLOCK = 2048, 0, 4096
 #: Islands of a block, epochs between which elites migrate, solutions of an island, those it keeps from epoch to epoch, and generations of an epoch.
 ISLANDS, EPOCHS, POPULATION, KEPT, GENERATIONS = 3, 3, 10, 4, 24
 #: Words that a worker remembers before it starts anew, and words that the library is given at once.
-REMEMBERED, AT_ONCE = 1_200_000, 4000
+REMEMBERED, AT_ONCE = 600_000, 4000
 #: ASCII punctuation that, after letters, is a pre-token of its own; the apostrophe is not, as it may begin one with letters.
 MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 #: Letters whose lower case is one letter in every Unicode version.
@@ -192,9 +192,9 @@ def pieces(docs: DataFrame, path: str, most: int = SEQUENCE) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = word_ids(path)
-        for b in batches:
+        for b in released(batches):
             docs_, texts = b.column("doc_id").cast(pa.int64()), encoded(b.column("text"))
-            for lo, hi in portions(texts):
+            for lo, hi in portions(texts, 2_000_000):
                 ids, many = own.ids(texts[lo:hi])
                 cuts = -(-many // most)
                 doc = np.repeat(np.arange(lo, hi), cuts)

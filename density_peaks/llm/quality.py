@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from density_peaks.llm.common import Words, cut, encoded, mix64, portions, whole
+from density_peaks.llm.common import Words, cut, encoded, mix64, portions, released, whole
 
 #: A line is boilerplate in more than so many documents of its host, and more than this share of them.
 LINE_DOCS, LINE_SHARE_PERCENT = 10, 5
@@ -73,7 +73,7 @@ def measures(docs: DataFrame, host: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kinds = [pa.int64(), pa.string(), *[pa.int64()] * 6, pa.list_(pa.int64()), pa.list_(pa.int32())]
         names = [c.split()[0] for c in MEASURES.split(", ")]
-        for b in batches:
+        for b in released(batches):
             texts = encoded(b.column("text"))
             columns: list[list] = [[] for _ in range(7)]
             for lo, hi in portions(texts):
