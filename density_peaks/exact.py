@@ -10,14 +10,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from density_peaks.dependent import denser, finish
-from density_peaks.iterate import cut
+from density_peaks.iterate import cut, settled
 from density_peaks.metrics import dist
 from density_peaks.schemas import PLANE, Space, points
 
 
 def pairs(pts: DataFrame, space: Space = PLANE) -> DataFrame:
     """id, nbr, dist of every ordered pair of different points."""
-    a = points(pts, space)
+    a = settled(points(pts, space))
     b = a.select(F.col("id").alias("nbr"), *[F.col(c).alias(f"n_{c}") for c in space.coords])
     return a.join(b, F.col("id") != F.col("nbr")).select("id", "nbr", dist(space.of(), space.of("n_"), space).alias("dist"))
 

@@ -17,17 +17,19 @@ from density_peaks.metrics import box_max, box_min, dist
 from density_peaks.schemas import PLANE, Space, points
 
 SLACK = 1 + 1e-6
+#: Points of a cell beyond which it is spread.
+HOT_CELL = 20_000
 
 
 def cells(space: Space, side: float, prefix: str = "") -> list[Column]:
     return [F.floor(c / F.lit(float(side))).cast("long") for c in space.of(prefix)]
 
 
-def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, salt: int = 1) -> DataFrame:
+def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: int = HOT_CELL) -> DataFrame:
     """id, nbr, dist of all pairs of a and b strictly closer than r, a pair of equal ids excluded.
 
-    salt > 1 spreads each cell of a over so many rows of the join key and copies b to them,
-    for data whose cells are hot.
+    Cells that hold more than `hot` points of a are spread over as many keys as they hold
+    multiples of it, and only what meets them is copied to these keys.
     """
     side = r * SLACK
     names = [f"cell_{c}" for c in space.coords]
@@ -36,17 +38,19 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, salt: i
     right = points(b, space).select(F.col("id").alias("nbr"), *[F.col(c).alias(f"b_{c}") for c in space.coords])
     around = F.array(*[F.struct(*[(c + F.lit(o)).alias(n) for c, o, n in zip(cells(space, side, "b_"), offsets, names, strict=True)]) for offsets in product((-1, 0, 1), repeat=len(names))])
     right = right.withColumn("at", F.explode(around)).select("nbr", *[f"b_{c}" for c in space.coords], *[F.col(f"at.{n}").alias(n) for n in names])
-    if salt > 1:
-        left = left.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(salt)).cast("int"))
-        right = right.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salt - 1))))
+    # one row a hot cell: at most a `hot`-th of the points
+    crowded = cut(left.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select(*names, F.ceil(F.col("n") / F.lit(hot)).cast("int").alias("spread")))
+    if not crowded.isEmpty():
+        left = left.join(crowded, names, "left").withColumn("salt", F.pmod(F.xxhash64("id"), F.coalesce("spread", F.lit(1))).cast("int")).drop("spread")
+        right = right.join(crowded, names, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("spread", F.lit(1)) - 1))).drop("spread")
         names = [*names, "salt"]
     near = left.join(right, names).withColumn("dist", dist(space.of("a_"), space.of("b_"), space))
     return near.where((F.col("dist") < F.lit(float(r))) & (F.col("id") != F.col("nbr"))).select("id", "nbr", "dist")
 
 
-def rho(pts: DataFrame, d_c: float, space: Space = PLANE, count_self: bool = False, salt: int = 1) -> DataFrame:
+def rho(pts: DataFrame, d_c: float, space: Space = PLANE, count_self: bool = False, hot: int = HOT_CELL) -> DataFrame:
     """id, rho for one cutoff by a distance join."""
-    near = eps_join(pts, pts, d_c, space, salt).groupBy("id").agg(F.count(F.lit(1)).alias("n"))
+    near = eps_join(pts, pts, d_c, space, hot).groupBy("id").agg(F.count(F.lit(1)).alias("n"))
     return pts.select(F.col("id").cast("long").alias("id")).join(near, "id", "left").select("id", (F.coalesce("n", F.lit(0)) + F.lit(int(count_self))).cast("long").alias("rho"))
 
 

@@ -1,5 +1,7 @@
 """Cumulative histograms over neighbour lists: density from counts, with at most one bin read.
 
+Packed form: an array beside each list, cum[k] the entries in bins up to k, so a query is a
+projection without a join: the list itself tells the least and largest distance of a bin.
 Sparse form: id, bin, cum, min_dist, max_dist for bins that hold entries. Bins and cutoffs
 use one formula, floor(value / width), which is monotone in floating point; a bin's least
 and largest distance tell whether any of it has to be read.
@@ -7,12 +9,31 @@ and largest distance tell whether any of it has to be read.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from density_peaks.index import nlist
 
 
+def packed(idx: DataFrame, w: float) -> DataFrame:
+    """id, nbrs, dists, cum: packed lists (full or cut) with their histogram, made without a shuffle."""
+    own = idx.withColumn("bins", F.expr(f"transform(dists, d -> CAST(floor(d / {float(w)!r}D) AS BIGINT))"))
+    cum = f"transform(sequence(0L, element_at(bins, -1)), k -> {nlist.bisect_sql('bins', 'k + 1')})"
+    return own.select("id", "nbrs", "dists", F.expr(f"CASE WHEN size(dists) > 0 THEN {cum} ELSE CAST(array() AS ARRAY<INT>) END").alias("cum"))
+
+
+def rho_packed(hist: DataFrame, d_c: float, w: float, count_self: bool = False) -> DataFrame:
+    """id, rho from packed histograms: a count, or a search of the one bin that straddles the cutoff."""
+    d, t = f"{float(d_c)!r}D", min(math.floor(float(d_c) / float(w)), (1 << 31) - 2)
+    before = "0" if t <= 0 else f"coalesce(get(cum, {t - 1}), size(dists))"
+    at = hist.select("id", "dists", F.expr(before).alias("before"), F.expr(f"coalesce(get(cum, {max(t, 0)}), size(dists))").alias("upto"))
+    search = nlist.bisect_sql("dists", d, "before", "upto")
+    found = f"CASE WHEN before >= upto OR {d} <= get(dists, before) THEN before WHEN get(dists, upto - 1) < {d} THEN upto ELSE {search} END"
+    return at.select("id", (F.expr(found) + F.lit(int(count_self))).cast("long").alias("rho"))
+
+
 def build(idx: DataFrame, w: float) -> DataFrame:
     """The sparse histogram of packed lists (full or cut) with bins of width w."""
     long = idx.select("id", F.explode("dists").alias("dist"))

@@ -14,8 +14,8 @@ from density_peaks.exact import pairs
 from density_peaks.iterate import cut
 from density_peaks.schemas import PLANE, Space
 
-#: Longest list that is packed into one row; longer ones stay in long form.
-MOST_PACKED = 10_000_000
+#: Longest list that is packed into one row; longer ones stay in long form. Most points of full lists, which are quadratic.
+MOST_PACKED, MOST_POINTS = 1_000_000, 100_000
 
 
 def pack(long: DataFrame, ids: DataFrame | None = None) -> DataFrame:
@@ -31,8 +31,8 @@ def pack(long: DataFrame, ids: DataFrame | None = None) -> DataFrame:
 def build(pts: DataFrame, space: Space = PLANE) -> DataFrame:
     """Full lists of all points, packed: quadratic in points, for sets whose lists fit."""
     n = pts.count()
-    if n > MOST_PACKED:
-        raise ValueError(f"{n} points make lists too long to pack; cut them at a radius")
+    if n > MOST_POINTS:
+        raise ValueError(f"full lists of {n} points are quadratic; cut them at a radius")
     return pack(pairs(pts, space), pts)
 
 
@@ -41,17 +41,23 @@ def long_form(idx: DataFrame) -> DataFrame:
     return idx.select("id", F.posexplode(F.arrays_zip("nbrs", "dists")).alias("pos", "e")).select("id", "pos", F.col("e.nbrs").alias("nbr"), F.col("e.dists").alias("dist"))
 
 
+def bisect_sql(values: str, limit: str, lo: str = "0", hi: str | None = None) -> str:
+    """SQL for the place of the first entry of an ascending array, from lo to hi, that is not below a limit."""
+    hi = hi or f"size({values})"
+    mid = "CAST((s.lo + s.hi) DIV 2 AS INT)"
+    return (
+        f"aggregate(sequence(1, CAST(ceil(log2({hi} - {lo} + 1)) AS INT) + 1), named_struct('lo', {lo}, 'hi', {hi}), "
+        f"(s, i) -> CASE WHEN s.lo >= s.hi THEN s WHEN get({values}, {mid}) < {limit} THEN named_struct('lo', {mid} + 1, 'hi', s.hi) "
+        f"ELSE named_struct('lo', s.lo, 'hi', {mid}) END, s -> s.lo)"
+    )
+
+
 def bisect(dists: str, d_c: str) -> Column:
     """How many entries of an ascending array are strictly below a value, by binary search in the JVM.
 
     dists and d_c are SQL expressions.
     """
-    mid = "CAST((s.lo + s.hi) DIV 2 AS INT)"
-    return F.expr(
-        f"aggregate(sequence(1, CAST(ceil(log2(size({dists}) + 1)) AS INT) + 1), named_struct('lo', 0, 'hi', size({dists})), "
-        f"(s, i) -> CASE WHEN s.lo >= s.hi THEN s WHEN get({dists}, {mid}) < {d_c} THEN named_struct('lo', {mid} + 1, 'hi', s.hi) "
-        f"ELSE named_struct('lo', s.lo, 'hi', {mid}) END, s -> s.lo)"
-    )
+    return F.expr(bisect_sql(dists, d_c))
 
 
 def rho(idx: DataFrame, d_c: float, count_self: bool = False) -> DataFrame:
@@ -100,3 +106,18 @@ def probes(idx: DataFrame, dep: DataFrame) -> DataFrame:
     both = idx.join(dep.select("id", "mu"), "id")
     read = F.when(F.col("mu").isNull(), F.size("nbrs")).otherwise(F.array_position("nbrs", F.col("mu")))
     return both.select("id", read.cast("long").alias("probes"), F.size("nbrs").cast("long").alias("entries"))
+
+
+def rho_long(long: DataFrame, ids: DataFrame, d_c: float, count_self: bool = False) -> DataFrame:
+    """id, rho of all ids from lists in long form (id, nbr, dist), of any length."""
+    n = long.where(F.col("dist") < float(d_c)).groupBy("id").agg(F.count(F.lit(1)).alias("n"))
+    return ids.select("id").join(n, "id", "left").select("id", (F.coalesce("n", F.lit(0)) + F.lit(int(count_self))).cast("long").alias("rho"))
+
+
+def delta_long(long: DataFrame, rho_table: DataFrame, tie: str = "strict", cap: float | None = None) -> DataFrame:
+    """The dependent table from lists in long form, of any length; cap as in delta()."""
+    other = rho_table.select(F.col("id").alias("nbr"), F.col("rho").alias("nbr_rho"))
+    both = long.join(rho_table.select("id", "rho"), "id").join(other, "nbr")
+    up = F.when(denser("nbr_rho", "nbr", "rho", "id", tie), F.struct("dist", "nbr"))
+    found = both.groupBy("id").agg(F.min(up).alias("best"), F.max("dist").alias("far"))
+    return finish(rho_table, found.select("id", F.col("best.dist").alias("delta"), F.col("best.nbr").alias("mu"), "far"), cap)

@@ -8,8 +8,11 @@ shifted right by two bits.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,6 +21,10 @@ from density_peaks.iterate import cut
 from density_peaks.schemas import PLANE, points
 
 
+#: Up to so many points, the driver splits the tree from their distinct keys, of 48 bytes each.
+MOST_KEYS = 1_000_000
+
+
 def morton(pts: DataFrame, region: tuple[float, float, float], depth: int) -> DataFrame:
     """pts with key: depth bit pairs of the point's cell in the square region (x0, y0, side)."""
     x0, y0, side = region
@@ -47,6 +54,13 @@ def build(pts: DataFrame, capacity: int = 32, max_depth: int = 16) -> Tree:
 
 
 def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, float, float]) -> Tree:
+    about = {"kind": "quadtree", "capacity": capacity, "depth": depth, "region": region}
+    if keyed.count() <= MOST_KEYS:
+        cells = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("nc"), *boxes(PLANE)).toArrow()
+        nodes, height, starts, numbers = _split(cells, capacity, depth)
+        spark = keyed.sparkSession
+        leaf_points = cut(_routed(keyed, spark.sparkContext.broadcast((starts, numbers))))
+        return Tree(spark.createDataFrame(nodes), leaf_points, PLANE, nodes.num_rows, height, about)
     per_key = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("nc"), *boxes(PLANE))
     level = F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level")
     every = per_key.select("*", level).withColumn("node", _number(depth))
@@ -59,7 +73,47 @@ def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, floa
     of_key = every.select("key", F.col("node").alias("leaf")).join(leaves, "leaf")
     leaf_points = cut(keyed.join(of_key, "key").select("leaf", "id", "x", "y"))
     n, height = nodes.agg(F.count(F.lit(1)), F.coalesce(F.max("level"), F.lit(0))).first()
-    return Tree(nodes, leaf_points, PLANE, n, height, {"kind": "quadtree", "capacity": capacity, "depth": depth, "region": region})
+    return Tree(nodes, leaf_points, PLANE, n, height, about)
+
+
+def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, np.ndarray, np.ndarray]:
+    """The node table over keyed cells that the driver holds, its height, and the first key and number of each leaf in key order."""
+    key = cells.column("key").to_numpy().astype(np.int64)
+    order = np.argsort(key, kind="stable")
+    key, names = key[order], ["lo_x", "lo_y", "hi_x", "hi_y"]
+    held = {c: cells.column(c).to_numpy()[order] for c in ("nc", *names)}
+    fold = {"nc": np.add, "lo": np.minimum, "hi": np.maximum}
+    made, starts, numbers, open_ = [], [], [], np.arange(len(key))
+    for level in range(depth + 1):
+        if not len(open_):
+            break
+        prefix = key[open_] >> (2 * (depth - level))
+        at = np.flatnonzero(np.diff(prefix, prepend=-1))
+        level_of = {c: fold[c[:2]].reduceat(v[open_], at) for c, v in held.items()}
+        node = (1 << (2 * level)) + prefix[at]
+        leaf = (level_of["nc"] <= capacity) | (level == depth)
+        made.append({"node": node, "parent": np.where(level > 0, node >> 2, -1), "level": np.full(len(node), level), "is_leaf": leaf, **level_of})
+        starts.append(prefix[at][leaf] << (2 * (depth - level)))
+        numbers.append(node[leaf])
+        open_ = open_[~np.repeat(leaf, np.diff(np.append(at, len(open_))))]
+    whole = {c: np.concatenate([m[c] for m in made]) if made else np.empty(0) for c in ("node", "parent", "level", *names, "nc", "is_leaf")}
+    kinds = {"node": np.int64, "parent": np.int64, "level": np.int32, "nc": np.int64, "is_leaf": bool}
+    columns = {c: pa.array(v.astype(kinds.get(c, np.float64)), mask=v < 0 if c == "parent" else None) for c, v in whole.items()}
+    first, number = (np.concatenate([np.empty(0, dtype=np.int64), *x]) for x in (starts, numbers))
+    order = np.argsort(first, kind="stable")
+    return pa.table(columns), max(0, len(made) - 1), first[order], number[order]
+
+
+def _routed(keyed: DataFrame, leaves) -> DataFrame:
+    """leaf, id, x, y: a point's leaf is the last that starts at or before its key."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        starts, numbers = leaves.value
+        for b in batches:
+            leaf = numbers[np.searchsorted(starts, b.column("key").to_numpy(), side="right") - 1]
+            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), *(b.column(c) for c in ("id", "x", "y"))], names=["leaf", "id", "x", "y"])
+
+    return keyed.select("key", "id", "x", "y").mapInArrow(run, "leaf long, id long, x double, y double")
 
 
 def insert(tree: Tree, new: DataFrame) -> Tree:

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from itertools import product
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from density_peaks import grid
 from density_peaks.index import nlist
-from density_peaks.schemas import PLANE, Space
+from density_peaks.schemas import PLANE, Space, points
 
 
 def from_nlist(idx: DataFrame, tau: float) -> DataFrame:
@@ -16,13 +18,31 @@ def from_nlist(idx: DataFrame, tau: float) -> DataFrame:
     return idx.withColumn("n", n).select("id", F.slice("nbrs", F.lit(1), F.col("n")).alias("nbrs"), F.slice("dists", F.lit(1), F.col("n")).alias("dists"))
 
 
-def build(pts: DataFrame, tau: float, space: Space = PLANE, salt: int = 1) -> DataFrame:
-    """The same lists straight from the points by a distance join, without full lists."""
+def longest(pts: DataFrame, tau: float, space: Space = PLANE) -> int:
+    """A length that no cut list exceeds: the most points in a cell and those around it."""
+    side, names = tau * grid.SLACK, [f"cell_{c}" for c in space.coords]
+    per = points(pts, space).groupBy(*[c.alias(n) for c, n in zip(grid.cells(space, side), names, strict=True)]).agg(F.count(F.lit(1)).alias("n"))
+    around = F.array(*[F.struct(*[(F.col(n) + F.lit(o)).alias(n) for n, o in zip(names, offsets, strict=True)]) for offsets in product((-1, 0, 1), repeat=len(names))])
+    return per.select("n", F.explode(around).alias("at")).groupBy("at").agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0
+
+
+def long(pts: DataFrame, tau: float, space: Space = PLANE) -> DataFrame:
+    """id, nbr, dist of cut lists in long form, for lists of any length; nlist.rho_long and nlist.delta_long read it."""
     if space.vector or space.metric == "haversine":
         from density_peaks.exact import pairs
 
-        return nlist.pack(pairs(pts, space).where(F.col("dist") < tau), pts)
-    return nlist.pack(grid.eps_join(pts, pts, tau, space, salt), pts)
+        return pairs(pts, space).where(F.col("dist") < tau)
+    return grid.eps_join(pts, pts, tau, space)
+
+
+def build(pts: DataFrame, tau: float, space: Space = PLANE) -> DataFrame:
+    """The same lists straight from the points by a distance join, without full lists.
+
+    Raises ValueError where a list may be longer than nlist.MOST_PACKED; long() has no such limit.
+    """
+    if not space.vector and space.metric != "haversine" and longest(pts, tau, space) > nlist.MOST_PACKED:
+        raise ValueError(f"lists cut at {tau} may be too long to pack; use long()")
+    return nlist.pack(long(pts, tau, space), pts)
 
 
 def rho(idx: DataFrame, d_c: float, tau: float, count_self: bool = False) -> DataFrame:

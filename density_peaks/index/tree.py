@@ -23,6 +23,15 @@ class Tree:
     n_nodes: int = 0
     height: int = 0
     meta: dict = field(default_factory=dict)
+    _arrays: object = field(default=None, repr=False, compare=False)
+
+    def arrays(self):
+        """The node table as arrays on the driver, None where it is empty or too large for that."""
+        from density_peaks.index import descent
+
+        if self._arrays is None and 0 < self.n_nodes <= descent.MOST_NODES:
+            self._arrays = descent.Nodes.of(self)
+        return self._arrays
 
     def lo(self, prefix: str = "") -> list[Column]:
         return [F.col(f"{prefix}lo_{c}") for c in self.space.coords]

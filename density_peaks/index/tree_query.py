@@ -1,7 +1,8 @@
 """Density and dependent distance by descent of either tree.
 
-The distributed form moves a frontier of (query leaf, node) pairs down level by level: one
-row stands for all points of a leaf, whose box is tested against the node's. A node wholly
+Both distributed forms move a frontier of (query leaf, node) pairs down: in vectors over all
+levels at once where the node table can be sent to tasks (see descent), else as a table that
+goes down a level a job. One pair stands for all points of a leaf, whose box is tested against the node's. A node wholly
 within the cutoff adds its count to the whole leaf, one wholly outside is dropped, others
 give way to their children; only pairs of leaves come down to points. For dependent
 distances a node is kept where its greatest density exceeds the leaf's least and it is no
@@ -20,7 +21,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from density_peaks.dependent import finish, key
+from density_peaks.dependent import denser, finish, key
+from density_peaks.index import descent
 from density_peaks.index.tree import Tree
 from density_peaks.iterate import cut
 from density_peaks.metrics import box_max, box_min, d_max, d_min, dist
@@ -55,6 +57,29 @@ def rho(tree: Tree, d_c: float, count_self: bool = False, contain: bool = True,
     p = _points(tree)
     if d_c <= 0:
         return p.select("id", F.lit(int(count_self)).cast("long").alias("rho"))
+    full, pair = _range(tree, d_c, contain, stats) if tree.arrays() is not None else _range_frontier(tree, d_c, contain, stats)
+    met = pair.join(_points(tree, "q_"), "q_leaf").join(_points(tree, "n_"), "n_leaf")
+    near = met.where(dist(tree.space.of("q_"), tree.space.of("n_"), tree.space) < d_c).groupBy(F.col("q_id").alias("id")).agg(F.count(F.lit(1)).alias("near"))
+    if stats is not None:
+        stats["leaf_pairs"] = pair.count()
+        stats["distances"] = met.count()
+    # the point itself is among those found
+    total = F.coalesce("full", F.lit(0)) + F.coalesce("near", F.lit(0)) - F.lit(0 if count_self else 1)
+    return p.withColumnRenamed("leaf", "q_leaf").join(full, "q_leaf", "left").join(near, "id", "left").select("id", total.cast("long").alias("rho"))
+
+
+def _range(tree: Tree, d_c: float, contain: bool, stats: dict | None) -> tuple[DataFrame, DataFrame]:
+    """q_leaf, full and q_leaf, n_leaf: points within the cutoff by whole nodes, and pairs of leaves to look into. All levels in one pass."""
+    nodes = tree.arrays()
+    out = cut(descent.over_leaves(tree, np.flatnonzero(nodes.leaf), descent.Range(nodes, d_c, contain), descent.RANGE))
+    if stats is not None:
+        seen = out.agg(F.sum("node_pairs"), F.sum("contained")).first()
+        stats["node_pairs"], stats["contained"] = seen[0], seen[1]
+    return out.where("n_leaf < 0").select("q_leaf", "full"), out.where("n_leaf >= 0").select("q_leaf", "n_leaf")
+
+
+def _range_frontier(tree: Tree, d_c: float, contain: bool, stats: dict | None) -> tuple[DataFrame, DataFrame]:
+    """The same by a frontier table that goes down a level a job, for node tables of any size."""
     nodes = tree.small(tree.nodes)
     front = _leaves(tree).join(F.broadcast(tree.nodes.where("parent is null")))
     whole, edges, seen = [], [], []
@@ -67,18 +92,10 @@ def rho(tree: Tree, d_c: float, count_self: bool = False, contain: bool = True,
         opened = front.where("test = 'explored' and not is_leaf").select("q_leaf", *[f"q_{b}" for b in tree.bounds], F.col("node").alias("parent"))
         front = opened.join(nodes, "parent")
     both = lambda dfs: reduce(lambda a, b: a.unionByName(b), dfs)
-    full = both(whole).groupBy("q_leaf").agg(F.sum("nc").alias("full"))
-    pair = cut(both(edges))
-    met = pair.join(_points(tree, "q_"), "q_leaf").join(_points(tree, "n_"), "n_leaf")
-    near = met.where(dist(tree.space.of("q_"), tree.space.of("n_"), tree.space) < d_c).groupBy(F.col("q_id").alias("id")).agg(F.count(F.lit(1)).alias("near"))
     if stats is not None:
         stats["node_pairs"] = sum(f.count() for f in seen)
         stats["contained"] = sum(f.count() for f in whole)
-        stats["leaf_pairs"] = pair.count()
-        stats["distances"] = met.count()
-    # the point itself is among those found
-    total = F.coalesce("full", F.lit(0)) + F.coalesce("near", F.lit(0)) - F.lit(0 if count_self else 1)
-    return p.withColumnRenamed("leaf", "q_leaf").join(full, "q_leaf", "left").join(near, "id", "left").select("id", total.cast("long").alias("rho"))
+    return both(whole).groupBy("q_leaf").agg(F.sum("nc").alias("full")), cut(both(edges))
 
 
 def with_maxrho(tree: Tree, rho_table: DataFrame, tie: str = "strict") -> tuple[DataFrame, DataFrame]:
@@ -100,15 +117,73 @@ def delta(tree: Tree, rho_table: DataFrame, tie: str = "strict", density_prune:
 
     The prune switches turn off density or distance pruning for comparison; answers stay.
     """
-    nodes, own = with_maxrho(tree, rho_table, tie)
-    asked = own if only is None else own.join(only.select("id"), "id", "left_semi")
-    found = _search(tree, nodes, own, asked, density_prune, distance_prune, stats)
+    if tree.arrays() is not None:
+        own = cut(_points(tree).join(rho_table.select("id", "rho"), "id"))
+        asked = own if only is None else own.join(only.select("id"), "id", "left_semi")
+        found = _search_arrays(tree, own, asked, tie, density_prune, distance_prune, stats)
+    else:
+        nodes, own = with_maxrho(tree, rho_table, tie)
+        asked = own if only is None else own.join(only.select("id"), "id", "left_semi")
+        found = _search(tree, nodes, own, asked, density_prune, distance_prune, stats)
     tops = found.where("mu is null").select("id")
     far = farthest(tree, tops)
     table = rho_table if only is None else rho_table.join(only.select("id"), "id", "left_semi")
     return finish(table, found.join(far, "id", "left"))
 
 
+def _search_arrays(tree: Tree, own: DataFrame, asked: DataFrame, tie: str, density_prune: bool, distance_prune: bool, stats: dict | None) -> DataFrame:
+    """id, delta, mu: the nearest denser point of each point asked for. own: leaf, id, coordinates, rho.
+
+    The driver holds a few values a leaf; the tasks descend with them in one pass.
+    """
+    space, nodes = tree.space, tree.arrays()
+    named = lambda df, p: df.select(*[F.col(c).alias(f"{p}{c}") for c in ("leaf", "id", "rho", *space.coords)])
+    gap = dist(space.of("q_"), space.of("n_"), space)
+    up = denser("n_rho", "n_id", "q_rho", "q_id", tie)
+    best = lambda met: met.where(up).groupBy("q_id").agg(F.min(F.struct(gap.alias("dist"), F.col("n_id").alias("id"))).alias("best"))
+    mine, theirs = named(asked, "q_"), named(own, "n_")
+    # a first bound from the point's own leaf
+    seed = best(mine.join(theirs, F.col("q_leaf") == F.col("n_leaf")))
+    mine = cut(mine.join(seed, "q_id", "left"))
+    bound = F.coalesce(F.col("best.dist"), F.lit(INFINITE))
+    turn = -F.col("id") if tie == "by_id" else F.lit(0).cast("long")
+    ends = own.groupBy("leaf").agg(F.max(F.struct("rho", turn.alias("turn"))).alias("k")).select("leaf", "k.rho", "k.turn").toArrow()
+    q_turn = -F.col("q_id") if tie == "by_id" else F.lit(0).cast("long")
+    q_key = F.struct(F.col("q_rho").alias("rho"), q_turn.alias("turn"))
+    q = mine.groupBy("q_leaf").agg(F.min(q_key).alias("lo"), F.max(q_key).alias("hi"), F.max(bound).alias("bound"))
+    q = q.select("q_leaf", "lo.rho", "lo.turn", F.col("hi.rho").alias("rho2"), F.col("hi.turn").alias("turn2"), "bound").toArrow()
+    get = lambda t, c: t.column(c).to_numpy()
+    # density keys of leaves by rank, so that one number a node compares them
+    pairs_of = [np.stack((get(t, a), get(t, b)), axis=1).astype(np.int64) for t, a, b in ((ends, "rho", "turn"), (q, "rho", "turn"), (q, "rho2", "turn2"))]
+    _, rank = np.unique(np.concatenate(pairs_of), axis=0, return_inverse=True)
+    top, low, high = np.split(rank.ravel().astype(np.int64), np.cumsum([len(x) for x in pairs_of])[:-1])
+    maxkey = np.full(len(nodes), -1, dtype=np.int64)
+    maxkey[nodes.at(get(ends, "leaf"))] = top
+    places = nodes.at(get(q, "q_leaf"))
+    minkey, topkey, limit = (np.zeros(len(nodes), dtype=np.int64), np.zeros(len(nodes), dtype=np.int64), np.full(len(nodes), INFINITE))
+    minkey[places], topkey[places], limit[places] = low, high, get(q, "bound")
+    work = descent.Denser(nodes, minkey, topkey, nodes.rolled(maxkey), limit, density_prune, distance_prune)
+    out = descent.over_leaves(tree, places, work, descent.DENSER)
+    if stats is not None:
+        out = cut(out)
+        stats["node_pairs"] = out.agg(F.sum("node_pairs")).first()[0]
+    leaf = tree.nodes.where("is_leaf").select(F.col("node").alias("n_leaf"), *tree.bounds)
+    peak = own.groupBy(F.col("leaf").alias("n_leaf")).agg(F.max("rho").alias("peak"))
+    met = out.where("n_leaf >= 0").select("q_leaf", "n_leaf", "last").join(tree.small(leaf), "n_leaf").join(tree.small(peak), "n_leaf").join(mine, "q_leaf")
+    if density_prune:
+        met = met.where(F.col("peak") > F.col("q_rho") if tie == "strict" else F.col("peak") >= F.col("q_rho"))
+    if distance_prune:
+        met = met.where(d_min(space.of("q_"), tree.lo(), tree.hi(), space) <= F.least(bound, F.col("last")))
+    met = met.select("q_id", "q_rho", "n_leaf", *[f"q_{c}" for c in space.coords])
+    if stats is not None:
+        met = cut(met)
+        stats["leaf_rows"] = met.count()
+        stats["distances"] = met.join(theirs, "n_leaf").count()
+    found = best(met.join(theirs, "n_leaf"))
+    both = asked.select("id").join(found.select(F.col("q_id").alias("id"), "best"), "id", "left")
+    return cut(both.select("id", F.col("best.dist").alias("delta"), F.col("best.id").alias("mu")))
+
+
 def _search(tree: Tree, nodes: DataFrame, own: DataFrame, asked: DataFrame, density_prune: bool, distance_prune: bool, stats: dict | None) -> DataFrame:
     """id, delta, mu: the nearest point of a greater key of each point asked for."""
     space = tree.space
@@ -162,29 +237,39 @@ def _search(tree: Tree, nodes: DataFrame, own: DataFrame, asked: DataFrame, dens
 def farthest(tree: Tree, tops: DataFrame) -> DataFrame:
     """id, far: the largest distance of each of a few points, from the leaves that can hold it."""
     space = tree.space
-    t = _points(tree).join(tops.select("id"), "id", "left_semi").select(*[F.col(c).alias(f"t_{c}") for c in ("id", *space.coords)])
-    leaves = tree.nodes.where("is_leaf")
-    met = leaves.join(t).withColumn("least", d_min(space.of("t_"), tree.lo(), tree.hi(), space)).withColumn("most", d_max(space.of("t_"), tree.lo(), tree.hi(), space))
+    t = _points(tree).join(tops.select("id"), "id", "left_semi").select(*[F.col(c).alias(f"t_{c}") for c in ("leaf", "id", *space.coords)])
+    leaves = tree.nodes.where("is_leaf").select(F.col("node").alias("n_leaf"), *tree.bounds)
+    nodes = tree.arrays()
+    if nodes is not None:
+        t = cut(t)
+        held = t.select("t_leaf").distinct().toArrow().column(0).to_numpy()
+        pair = descent.over_leaves(tree, nodes.at(held), descent.Farthest(nodes), descent.PAIRS)
+        met = t.join(pair, F.col("t_leaf") == F.col("q_leaf")).join(tree.small(leaves), "n_leaf")
+    else:
+        met = leaves.join(t)
+    met = met.withColumn("least", d_min(space.of("t_"), tree.lo(), tree.hi(), space)).withColumn("most", d_max(space.of("t_"), tree.lo(), tree.hi(), space))
     reach = met.groupBy("t_id").agg(F.max("least").alias("reach"))
-    kept = met.join(reach, "t_id").where(F.col("most") >= F.col("reach")).select("t_id", *[f"t_{c}" for c in space.coords], F.col("node").alias("leaf"))
+    kept = met.join(reach, "t_id").where(F.col("most") >= F.col("reach")).select("t_id", *[f"t_{c}" for c in space.coords], F.col("n_leaf").alias("leaf"))
     return kept.join(_points(tree), "leaf").groupBy(F.col("t_id").alias("id")).agg(F.max(dist(space.of("t_"), space.of(), space)).alias("far"))
 
 
 def nearest(tree: Tree, k: int = 1) -> DataFrame:
     """id, nbr, dist, pos: the k nearest others of each point, whatever their density.
 
-    A leaf's points bound their k-th neighbour by the leaf itself where it holds enough, or
-    by the largest distances to leaves that together do.
+    Nodes that together hold more than k points bound the k-th neighbour of all points of a
+    leaf by their largest distances; the bound falls from level to level.
     """
-    space = tree.space
-    leaves = _leaves(tree)
-    other = tree.nodes.where("is_leaf").select(F.col("node").alias("n_leaf"), "nc", *tree.bounds)
-    least, most = _ranges(tree)
-    met = leaves.join(tree.small(other)).withColumn("least", least).withColumn("most", most)
-    near = Window.partitionBy("q_leaf").orderBy("most", "n_leaf").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    held = met.withColumn("sum_nc", F.sum("nc").over(near))
-    reach = held.where(F.col("sum_nc") > k).groupBy("q_leaf").agg(F.min("most").alias("reach"))
-    kept = met.join(reach, "q_leaf", "left").where(F.col("reach").isNull() | (F.col("least") <= F.col("reach"))).select("q_leaf", "n_leaf")
+    space, nodes = tree.space, tree.arrays()
+    if nodes is not None:
+        kept = descent.over_leaves(tree, np.flatnonzero(nodes.leaf), descent.Nearest(nodes, k), descent.PAIRS)
+    else:
+        other = tree.nodes.where("is_leaf").select(F.col("node").alias("n_leaf"), "nc", *tree.bounds)
+        least, most = _ranges(tree)
+        met = _leaves(tree).join(tree.small(other)).withColumn("least", least).withColumn("most", most)
+        near = Window.partitionBy("q_leaf").orderBy("most", "n_leaf").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+        held = met.withColumn("sum_nc", F.sum("nc").over(near))
+        reach = held.where(F.col("sum_nc") > k).groupBy("q_leaf").agg(F.min("most").alias("reach"))
+        kept = met.join(reach, "q_leaf", "left").where(F.col("reach").isNull() | (F.col("least") <= F.col("reach"))).select("q_leaf", "n_leaf")
     pair = kept.join(_points(tree, "q_"), "q_leaf").join(_points(tree, "n_"), "n_leaf").where("q_id <> n_id")
     pair = pair.select(F.col("q_id").alias("id"), F.col("n_id").alias("nbr"), dist(space.of("q_"), space.of("n_"), space).alias("dist"))
     pos = F.row_number().over(Window.partitionBy("id").orderBy("dist", "nbr"))
@@ -199,8 +284,8 @@ def delta_local(tree: Tree, rho_table: DataFrame, tie: str = "strict", order: st
     """
     if order not in ("stack", "heap"):
         raise ValueError("order is stack or heap")
-    if tree.n_nodes > 50_000:
-        raise ValueError("the local form is for trees of at most 50000 nodes")
+    if tree.n_nodes > 50_000 or tree.nodes.where("parent is null and nc > 1000000").count():
+        raise ValueError("the local form is for trees of at most 50000 nodes and 1000000 points")
     if tree.space.metric not in ("euclidean", "chord"):
         raise ValueError("the local form knows the euclidean metric only")
     nodes, own = with_maxrho(tree, rho_table, tie)

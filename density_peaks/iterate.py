@@ -11,8 +11,15 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is set."""
-    set_dir = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    """The folder that driver and executors share.
+
+    Where none is set, a local master takes a temporary folder, as all of it runs on one
+    machine; a cluster raises RuntimeError, as executors would not see such a folder.
+    """
+    sc = spark.sparkContext
+    set_dir = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if set_dir is None and not sc.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     return set_dir or os.path.join(tempfile.gettempdir(), "density_peaks_checkpoints")
 
 
@@ -24,6 +31,12 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """df itself where its plan is a bare scan already, else df cut, so that a nested loop does not evaluate its columns for each pair."""
+    kind = df._jdf.queryExecution().optimizedPlan().getClass().getSimpleName()
+    return df if kind in ("LogicalRDD", "LocalRelation") else cut(df)
+
+
 def fixpoint(state: DataFrame, step: Callable[[DataFrame], DataFrame], changed: str = "changed", rounds: int = 64) -> DataFrame:
     """Applies step until no row has its boolean column `changed` set; that column is dropped in the end."""
     for _ in range(rounds):
@@ -36,19 +49,21 @@ def fixpoint(state: DataFrame, step: Callable[[DataFrame], DataFrame], changed:
 def components(links: DataFrame, nodes: DataFrame) -> DataFrame:
     """id, label: the smallest id that each of nodes reaches over links (a, b), itself included.
 
-    A round gives each label the smallest label beside any of its members, then halves all
-    paths to it, so rounds grow with the logarithm of a chain's length.
+    Each node points to a node of its component that is no larger. In a round a node, and
+    the node it points to, take the least of what its neighbours' targets point to, and
+    paths are halved; trees hook onto each other as wholes, so rounds grow with the
+    logarithm of a chain's length, in whatever order its ids are.
     """
-    both = cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    both = cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct())
     start = nodes.select("id", F.col("id").alias("label"))
 
     def step(s: DataFrame) -> DataFrame:
         s = s.select("id", "label")
-        la = s.select(F.col("id").alias("a"), F.col("label").alias("la"))
-        lb = s.select(F.col("id").alias("b"), F.col("label").alias("lb"))
-        hook = both.join(la, "a").join(lb, "b").where("lb < la").groupBy(F.col("la").alias("label")).agg(F.min("lb").alias("to"))
-        moved = s.join(hook, "label", "left").select("id", F.coalesce("to", "label").alias("label"), F.col("to").isNotNull().alias("changed"))
-        up = hook.select(F.col("label").alias("label2"), F.col("to").alias("to2"))
-        return moved.join(up, moved["label"] == up["label2"], "left").select("id", F.coalesce("to2", "label").alias("label"), "changed")
+        top = s.join(s.select(F.col("id").alias("label"), F.col("label").alias("top")), "label")
+        beside = both.join(top.select(F.col("id").alias("b"), "top"), "b").groupBy("a").agg(F.min("top").alias("least"))
+        near = top.join(beside, top["id"] == beside["a"], "left").select("id", "label", F.least("top", F.coalesce("least", "top")).alias("to"))
+        # what a node hears goes to itself and to the node that it points to
+        heard = near.select("id", "to").unionByName(near.select(F.col("label").alias("id"), "to")).groupBy("id").agg(F.min("to").alias("to"))
+        return s.join(heard, "id").select("id", F.least("label", "to").alias("label"), (F.col("to") < F.col("label")).alias("changed"))
 
     return fixpoint(start, step)

@@ -36,8 +36,8 @@ def build(pts: DataFrame, kind: str = "rtree", space: Space = PLANE, w: float |
         if kind == "list":
             return Index(kind, lambda d: nlist.rho(lists, d), lambda r, tie: nlist.delta(lists, r, tie), {"lists": lists})
         width = w or chist.suggest_w(lists)
-        hist = cut(chist.build(lists, width))
-        return Index(kind, lambda d: chist.rho(hist, lists, d, width), lambda r, tie: nlist.delta(lists, r, tie), {"lists": lists, "hist": hist, "w": width})
+        hist = cut(chist.packed(lists, width))
+        return Index(kind, lambda d: chist.rho_packed(hist, d, width), lambda r, tie: nlist.delta(lists, r, tie), {"lists": lists, "hist": hist, "w": width})
     if kind in ("rn", "rn_ch"):
         if tau is None:
             raise ValueError(f"{kind} needs a radius tau")
@@ -45,8 +45,8 @@ def build(pts: DataFrame, kind: str = "rtree", space: Space = PLANE, w: float |
         if kind == "rn":
             return Index(kind, lambda d: rnlist.rho(lists, d, tau).drop("is_exact"), lambda r, tie: rnlist.delta(lists, r, cap, tie), {"lists": lists, "cap": cap})
         width = w or chist.suggest_w(lists)
-        hist = cut(chist.build(lists, width))
-        return Index(kind, lambda d: chist.rho(hist, lists, d, width), lambda r, tie: rnlist.delta(lists, r, cap, tie), {"lists": lists, "hist": hist, "w": width, "cap": cap})
+        hist = cut(chist.packed(lists, width))
+        return Index(kind, lambda d: chist.rho_packed(hist, d, width), lambda r, tie: rnlist.delta(lists, r, cap, tie), {"lists": lists, "hist": hist, "w": width, "cap": cap})
     if kind in ("quadtree", "rtree"):
         tree = quadtree.build(p, capacity) if kind == "quadtree" else rtree.build(p, capacity, space=space)
         return Index(kind, lambda d: tree_query.rho(tree, d), lambda r, tie: tree_query.delta(tree, r, tie), {"tree": tree})

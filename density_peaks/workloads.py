@@ -131,7 +131,7 @@ def _(spark, sf):
 
 @query("rho_grid_salted", rho_sql(PART, D_PART))
 def _(spark, sf):
-    return grid.rho(pts(spark, sf), D_PART, salt=4)
+    return grid.rho(pts(spark, sf), D_PART, hot=3)
 
 
 @query("rho_grid_contained", rho_sql(PART, D_PART))
