@@ -49,11 +49,11 @@ def main() -> None:
 
     # the skewed view: cut lists with and without histograms, grid, trees
     lists = run("events_rn_build_tau2", lambda: cut(rnlist.build(events, 2.0)))
-    hist = run("events_rn_ch_build", lambda: cut(chist.build(lists, 0.25)))
+    hist = run("events_rn_ch_build", lambda: cut(chist.packed(lists, 0.25)))
     facts["events_list_bytes"] = cost.list_bytes(lists).first()["bytes"]
-    facts["events_hist_bytes"] = cost.hist_bytes(hist).first()["bytes"]
+    facts["events_hist_bytes"] = cost.packed_hist_bytes(hist).first()["bytes"]
     run("events_rn_rho_1", lambda: whole(nlist.rho(lists, 1.0)))
-    run("events_rn_ch_rho_1", lambda: whole(chist.rho(hist, lists, 1.0, 0.25)))
+    run("events_rn_ch_rho_1", lambda: whole(chist.rho_packed(hist, 1.0, 0.25)))
     run("events_grid_rho_1", lambda: whole(grid.rho(events, 1.0)))
     quad = run("events_quadtree_build", lambda: quadtree.build(events, 128))
     tree = run("events_rtree_build", lambda: rtree.build(events, 128))

@@ -35,6 +35,11 @@ def hist_bytes(hist: DataFrame) -> DataFrame:
     return hist.agg(F.count(F.lit(1)).alias("bins")).withColumn("bytes", F.col("bins") * 40)
 
 
+def packed_hist_bytes(hist: DataFrame) -> DataFrame:
+    """bins, bytes of packed histograms: a count of four bytes a bin, empty ones too."""
+    return hist.agg(F.coalesce(F.sum(F.size("cum")), F.lit(0)).cast("long").alias("bins")).withColumn("bytes", F.col("bins") * 4)
+
+
 def tree_bytes(tree) -> DataFrame:
     """nodes, bytes: number, parent, level, count, maxrho and a box of eight bytes a value, and a leaf number a point."""
     width = 8 * (5 + 2 * len(tree.space.coords))

@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from density_peaks import advise, assign, baselines, catalog, cost, decide, exact, grid, iterate, metrics, pipeline, points, quality, rank, schemas
-from density_peaks.index import chist, nlist, quadtree, rnlist, rtree, tree_query
+from density_peaks.index import chist, descent, nlist, quadtree, rnlist, rtree, tree_query
 from density_peaks.schemas import PLANE, Space
 
 
@@ -198,10 +198,88 @@ def test_baselines(spark):
     assert baselines.kmeans(p, 3).select("cluster").distinct().count() == 3
 
 
-def test_long_chain_of_links(spark):
-    links = spark.createDataFrame([(i, i + 1) for i in range(200)], "a long, b long")
-    got = iterate.components(links, spark.range(203))
-    assert {r.id: r.label for r in got.collect()} == {i: 0 if i <= 200 else i for i in range(203)}
+@pytest.mark.parametrize("shuffled", [False, True])
+def test_long_chain_of_links(spark, monkeypatch, shuffled):
+    import random
+
+    names = list(range(1001))
+    if shuffled:
+        random.Random(7).shuffle(names)
+    cuts, plain = [], iterate.cut
+    monkeypatch.setattr(iterate, "cut", lambda df: cuts.append(1) or plain(df))
+    links = spark.createDataFrame([(names[i], names[i + 1]) for i in range(1000)], "a long, b long")
+    got = iterate.components(links, spark.range(1003))
+    assert {r.id: r.label for r in got.collect()} == {i: 0 if i <= 1000 else i for i in range(1003)}
+    assert len(cuts) < 20
+
+
+def test_components_of_random_links(spark):
+    import random
+
+    rng = random.Random(3)
+    pairs = [(rng.randrange(300), rng.randrange(300)) for _ in range(220)]
+    up = list(range(300))
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a, b in pairs:
+        up[max(root(a), root(b))] = min(root(a), root(b))
+    got = iterate.components(spark.createDataFrame(pairs, "a long, b long"), spark.range(300))
+    assert {r.id: r.label for r in got.collect()} == {i: root(i) for i in range(300)}
+
+
+@pytest.mark.parametrize("kind", ["quadtree", "rtree"])
+@pytest.mark.parametrize("tie", ["strict", "by_id"])
+def test_large_node_tables_take_the_frontier(cloud, monkeypatch, kind, tie):
+    make = {"quadtree": lambda: quadtree.build(cloud, 8), "rtree": lambda: rtree.build(cloud, 8)}[kind]
+    one = make()
+    rho = tree_query.rho(one, 4.0).collect()
+    want = tree_query.delta(one, tree_query.rho(one, 4.0), tie).collect()
+    near = tree_query.nearest(one, 3).collect()
+    monkeypatch.setattr(descent, "MOST_NODES", 0)
+    monkeypatch.setattr(quadtree, "MOST_KEYS", 0)
+    two = make()
+    assert two.arrays() is None and one.n_nodes == two.n_nodes and one.height == two.height
+    assert {tuple(r[c] for c in sorted(r.asDict())) for r in one.nodes.collect()} == {tuple(r[c] for c in sorted(r.asDict())) for r in two.nodes.collect()}
+    assert set(tree_query.rho(two, 4.0).collect()) == set(rho)
+    assert set(tree_query.delta(two, tree_query.rho(two, 4.0), tie).collect()) == set(want)
+    assert set(tree_query.nearest(two, 3).collect()) == set(near)
+
+
+def test_packed_histograms_equal_searches(cloud):
+    lists = nlist.build(cloud)
+    for w, d_c in ((1.5, 4.0), (2.0, 4.0), (4.0, 1.0), (4.0, 5000.0), (0.1, 0.3), (0.7, 2.1)):
+        assert rows_rho(chist.rho_packed(chist.packed(lists, w), d_c, w)) == rows_rho(nlist.rho(lists, d_c)) == rows_rho(chist.rho(chist.build(lists, w), lists, d_c, w))
+    assert chist.suggest_w(lists) > 0
+
+
+def test_long_lists_and_hot_cells(cloud, monkeypatch):
+    lists, long = rnlist.build(cloud, 8.0), rnlist.long(cloud, 8.0)
+    rho = nlist.rho(lists, 4.0)
+    assert rows_rho(nlist.rho_long(long, cloud, 4.0)) == rows_rho(rho)
+    cap = rnlist.diagonal(cloud)
+    assert set(nlist.delta_long(long, rho, "by_id", cap).collect()) == set(rnlist.delta(lists, rho, cap, "by_id").collect())
+    assert set(grid.eps_join(cloud, cloud, 8.0, hot=2).collect()) == set(grid.eps_join(cloud, cloud, 8.0).collect())
+    monkeypatch.setattr(nlist, "MOST_PACKED", 3)
+    with pytest.raises(ValueError):
+        rnlist.build(cloud, 8.0)
+
+
+@pytest.mark.parametrize("kind", ["quadtree", "rtree"])
+def test_no_points(spark, kind):
+    none = spark.createDataFrame([], "id long, x double, y double, rho string, leaf int")
+    tree = quadtree.build(none) if kind == "quadtree" else rtree.build(none)
+    rho = tree_query.rho(tree, 1.0)
+    assert rho.count() == 0 and tree_query.delta(tree, rho).count() == 0 and tree_query.nearest(tree, 2).count() == 0
+
+
+def test_columns_whose_names_clash(spark, cloud):
+    more = cloud.select("*", *[F.lit("extra").alias(c) for c in ("rho", "nbr", "dist", "leaf", "node", "key", "slice", "r", "salt", "delta", "mu", "label")])
+    for kind in ("brute", "list", "quadtree", "rtree"):
+        assert set(pipeline.cluster(more, 4.0, kind, k=3, tie="by_id").collect()) == set(pipeline.cluster(cloud, 4.0, kind, k=3, tie="by_id").collect())
 
 
 def test_rank_and_catalog(spark, cloud, tmp_path):
