@@ -140,16 +140,19 @@ def _search_arrays(tree: Tree, own: DataFrame, asked: DataFrame, tie: str, densi
     named = lambda df, p: df.select(*[F.col(c).alias(f"{p}{c}") for c in ("leaf", "id", "rho", *space.coords)])
     gap = dist(space.of("q_"), space.of("n_"), space)
     up = denser("n_rho", "n_id", "q_rho", "q_id", tie)
-    best = lambda met: met.where(up).groupBy("q_id").agg(F.min(F.struct(gap.alias("dist"), F.col("n_id").alias("id"))).alias("best"))
     mine, theirs = named(asked, "q_"), named(own, "n_")
-    # a first bound from the point's own leaf
-    seed = best(mine.join(theirs, F.col("q_leaf") == F.col("n_leaf")))
+    # a first bound from the point's own leaf; least distances alone stay in hashed aggregation
+    seed = mine.join(theirs, F.col("q_leaf") == F.col("n_leaf")).where(up).groupBy("q_id").agg(F.min(gap).alias("seed"))
     mine = cut(mine.join(seed, "q_id", "left"))
-    bound = F.coalesce(F.col("best.dist"), F.lit(INFINITE))
+    bound = F.coalesce("seed", F.lit(INFINITE))
     turn = -F.col("id") if tie == "by_id" else F.lit(0).cast("long")
     ends = own.groupBy("leaf").agg(F.max(F.struct("rho", turn.alias("turn"))).alias("k")).select("leaf", "k.rho", "k.turn").toArrow()
     q_turn = -F.col("q_id") if tie == "by_id" else F.lit(0).cast("long")
     q_key = F.struct(F.col("q_rho").alias("rho"), q_turn.alias("turn"))
+    # what nothing exceeds has no bound and is not searched for
+    peak_rho = max(ends.column("rho").to_pylist(), default=0)
+    peak_id = -max((t for r, t in zip(ends.column("rho").to_pylist(), ends.column("turn").to_pylist(), strict=True) if r == peak_rho), default=0)
+    mine = mine.where(F.col("q_rho") < peak_rho if tie == "strict" else ~((F.col("q_rho") == peak_rho) & (F.col("q_id") == peak_id)))
     q = mine.groupBy("q_leaf").agg(F.min(q_key).alias("lo"), F.max(q_key).alias("hi"), F.max(bound).alias("bound"))
     q = q.select("q_leaf", "lo.rho", "lo.turn", F.col("hi.rho").alias("rho2"), F.col("hi.turn").alias("turn2"), "bound").toArrow()
     get = lambda t, c: t.column(c).to_numpy()
@@ -179,9 +182,11 @@ def _search_arrays(tree: Tree, own: DataFrame, asked: DataFrame, tie: str, densi
         met = cut(met)
         stats["leaf_rows"] = met.count()
         stats["distances"] = met.join(theirs, "n_leaf").count()
-    found = best(met.join(theirs, "n_leaf"))
-    both = asked.select("id").join(found.select(F.col("q_id").alias("id"), "best"), "id", "left")
-    return cut(both.select("id", F.col("best.dist").alias("delta"), F.col("best.id").alias("mu")))
+    near = met.join(theirs, "n_leaf").where(up)
+    least = near.groupBy("q_id").agg(F.min(gap).alias("delta"))
+    # then the smallest id at that distance
+    at = met.join(least, "q_id").join(theirs, "n_leaf").where(up & (gap == F.col("delta"))).groupBy("q_id").agg(F.min("delta").alias("delta"), F.min("n_id").alias("mu"))
+    return cut(asked.select("id").join(at.withColumnRenamed("q_id", "id"), "id", "left").select("id", "delta", "mu"))
 
 
 def _search(tree: Tree, nodes: DataFrame, own: DataFrame, asked: DataFrame, density_prune: bool, distance_prune: bool, stats: dict | None) -> DataFrame:
