@@ -169,7 +169,10 @@ def _(spark, sf):
     return tree_query.rho(rtree.build(pts(spark, sf, "P_orders"), 128), 50.0)
 
 
-@query("rho_rtree_lineitem")
+_CELLS = f"p AS ({points.sql('P_lineitem')}), a AS (SELECT *, floor(x / 5e0)::BIGINT AS i, floor(y / 5e0)::BIGINT AS j FROM p), b AS (SELECT a.*, i + di AS ni, j + dj AS nj FROM a, (SELECT unnest([-1, 0, 1]) AS di), (SELECT unnest([-1, 0, 1]) AS dj))"
+
+
+@query("rho_rtree_lineitem", f"WITH {_CELLS}, n AS (SELECT b.id, count(*) AS n FROM b JOIN a ON a.i = b.ni AND a.j = b.nj AND a.id <> b.id AND sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) < 5e0 GROUP BY b.id) SELECT p.id, coalesce(n, 0)::BIGINT AS rho FROM p LEFT JOIN n USING (id)")
 def _(spark, sf):
     return tree_query.rho(rtree.build(pts(spark, sf, "P_lineitem"), 256), 5.0)
 
@@ -428,9 +431,20 @@ def _(spark, sf):
     return tree.nodes.where("is_leaf").agg(F.lit(tree.height).alias("height"), F.count(F.lit(1)).alias("leaves"), F.sum("nc").alias("objects"))
 
 
-@query("rtree_report")
+def _packed_sql(view: str, capacity: int = 32, fanout: int = 4) -> str:
+    """CTEs of a packed R-tree: leaves by slices, and nodes (up from the leaves, place, parent, nc, box) of all levels above."""
+    return (
+        f"p AS ({points.sql(view)}), s AS (SELECT count(*) AS n, ceil(count(*) / {capacity}e0)::BIGINT AS leaves FROM p), "
+        f"w AS (SELECT leaves, ceil(sqrt(leaves) - 1e-9)::BIGINT AS across, (SELECT min(h) FROM range(0, 40) t(h) WHERE pow({fanout}, h) >= leaves) AS height FROM s), "
+        f"a AS (SELECT p.*, (row_number() OVER (ORDER BY x, id) - 1) // ({capacity} * across) AS slice, across FROM p, w), "
+        f"l AS (SELECT *, slice * across + (row_number() OVER (PARTITION BY slice ORDER BY y, id) - 1) // {capacity} AS leaf FROM a), "
+        f"k AS (SELECT up, leaf // pow({fanout}, up)::BIGINT AS place, count(*) AS nc, min(x) AS lo_x, max(x) AS hi_x, min(y) AS lo_y, max(y) AS hi_y FROM l, (SELECT unnest(range(0, height + 1)) AS up FROM w) GROUP BY ALL)"
+    )
+
+
+@query("rtree_report", f"WITH {_packed_sql(BLOB)}, o AS (SELECT a.up, sum(greatest(least(a.hi_x, b.hi_x) - greatest(a.lo_x, b.lo_x), 0) * greatest(least(a.hi_y, b.hi_y) - greatest(a.lo_y, b.lo_y), 0)) AS overlap FROM k a JOIN k b ON a.up = b.up AND a.place // 4 = b.place // 4 AND a.place < b.place GROUP BY a.up) SELECT (height - up)::INT AS level, nodes, objects, round(coverage, 6) AS coverage, round(coalesce(overlap, 0e0), 6) AS overlap FROM (SELECT up, count(*) AS nodes, sum(nc)::BIGINT AS objects, sum((hi_x - lo_x) * (hi_y - lo_y)) AS coverage FROM k GROUP BY up) LEFT JOIN o USING (up), w")
 def _(spark, sf):
-    return rtree.report(rtree.build(pts(spark, sf, BLOB)))
+    return rounded(rtree.report(rtree.build(pts(spark, sf, BLOB))), "coverage", "overlap")
 
 
 @query("rtree_three_axes", "WITH p AS (SELECT p_partkey AS id, p_size::DOUBLE AS x, p_retailprice AS y, (p_partkey % 97)::DOUBLE AS z FROM part) SELECT a.id, count(b.id)::BIGINT AS rho FROM p a LEFT JOIN p b ON a.id <> b.id AND sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) + (a.z - b.z) * (a.z - b.z)) < 10e0 GROUP BY a.id")
