@@ -431,10 +431,10 @@ def _(spark, sf):
     return tree.nodes.where("is_leaf").agg(F.lit(tree.height).alias("height"), F.count(F.lit(1)).alias("leaves"), F.sum("nc").alias("objects"))
 
 
-def _packed_sql(view: str, capacity: int = 32, fanout: int = 4) -> str:
-    """CTEs of a packed R-tree: leaves by slices, and nodes (up from the leaves, place, parent, nc, box) of all levels above."""
+def _packed_sql(capacity: int = 32, fanout: int = 4) -> str:
+    """CTEs of a packed R-tree over p: leaves by slices, and nodes (up from the leaves, place, parent, nc, box) of all levels above."""
     return (
-        f"p AS ({points.sql(view)}), s AS (SELECT count(*) AS n, ceil(count(*) / {capacity}e0)::BIGINT AS leaves FROM p), "
+        f"s AS (SELECT ceil(count(*) / {capacity}e0)::BIGINT AS leaves FROM p), "
         f"w AS (SELECT leaves, ceil(sqrt(leaves) - 1e-9)::BIGINT AS across, (SELECT min(h) FROM range(0, 40) t(h) WHERE pow({fanout}, h) >= leaves) AS height FROM s), "
         f"a AS (SELECT p.*, (row_number() OVER (ORDER BY x, id) - 1) // ({capacity} * across) AS slice, across FROM p, w), "
         f"l AS (SELECT *, slice * across + (row_number() OVER (PARTITION BY slice ORDER BY y, id) - 1) // {capacity} AS leaf FROM a), "
@@ -442,7 +442,7 @@ def _packed_sql(view: str, capacity: int = 32, fanout: int = 4) -> str:
     )
 
 
-@query("rtree_report", f"WITH {_packed_sql(BLOB)}, o AS (SELECT a.up, sum(greatest(least(a.hi_x, b.hi_x) - greatest(a.lo_x, b.lo_x), 0) * greatest(least(a.hi_y, b.hi_y) - greatest(a.lo_y, b.lo_y), 0)) AS overlap FROM k a JOIN k b ON a.up = b.up AND a.place // 4 = b.place // 4 AND a.place < b.place GROUP BY a.up) SELECT (height - up)::INT AS level, nodes, objects, round(coverage, 6) AS coverage, round(coalesce(overlap, 0e0), 6) AS overlap FROM (SELECT up, count(*) AS nodes, sum(nc)::BIGINT AS objects, sum((hi_x - lo_x) * (hi_y - lo_y)) AS coverage FROM k GROUP BY up) LEFT JOIN o USING (up), w")
+@query("rtree_report", f"WITH p AS ({points.sql(BLOB)}), {_packed_sql()}, o AS (SELECT a.up, sum(greatest(least(a.hi_x, b.hi_x) - greatest(a.lo_x, b.lo_x), 0) * greatest(least(a.hi_y, b.hi_y) - greatest(a.lo_y, b.lo_y), 0)) AS overlap FROM k a JOIN k b ON a.up = b.up AND a.place // 4 = b.place // 4 AND a.place < b.place GROUP BY a.up) SELECT (height - up)::INT AS level, nodes, objects, round(coverage, 6) AS coverage, round(coalesce(overlap, 0e0), 6) AS overlap FROM (SELECT up, count(*) AS nodes, sum(nc)::BIGINT AS objects, sum((hi_x - lo_x) * (hi_y - lo_y)) AS coverage FROM k GROUP BY up) LEFT JOIN o USING (up), w")
 def _(spark, sf):
     return rounded(rtree.report(rtree.build(pts(spark, sf, BLOB))), "coverage", "overlap")
 
@@ -669,10 +669,27 @@ def _(spark, sf):
     return union([cost.list_bytes(rnlist.build(pts(spark, sf, BLOB), t)).select(F.lit(t).alias("tau"), "entries", "bytes") for t in TAUS])
 
 
-@query("index_memory")
+MEMORY_VIEWS = ((BLOB, 4.0), ("P_blob100", 5.0), (PART, 2.0), ("P_cust", 150.0), ("P_docs", 0.25))
+
+
+def _memory_sql(view: str, w: float) -> str:
+    """Bytes of each index: entries of 16, bins of 40 beside the lists, nodes of 72 and a leaf number of 8 a point."""
+    return (
+        f"SELECT * FROM (WITH {pairs(view)}, {_packed_sql()}, "
+        "q0 AS (SELECT min(x) AS x0, min(y) AS y0, greatest(max(x) - min(x), max(y) - min(y), 1e-300) AS side FROM p), "
+        "c AS (SELECT least(65535, greatest(0, floor((x - x0) / side * 65536e0)))::BIGINT AS i, least(65535, greatest(0, floor((y - y0) / side * 65536e0)))::BIGINT AS j FROM p, q0), "
+        "g AS (SELECT level, i >> (16 - level) AS i, j >> (16 - level) AS j, count(*) AS nc FROM c, (SELECT unnest(range(0, 17))::INT AS level) GROUP BY ALL), "
+        "t AS (SELECT count(*) AS nodes FROM g LEFT JOIN g u ON u.level = g.level - 1 AND u.i = g.i >> 1 AND u.j = g.j >> 1 WHERE g.level = 0 OR u.nc > 32), "
+        "e AS (SELECT count(*) * 16 AS list FROM d), n AS (SELECT count(*) * 8 AS own FROM p), "
+        f"b AS (SELECT 40 * count(*) AS bins FROM (SELECT DISTINCT id, floor(dist / {w!r}) FROM d)) "
+        f"SELECT '{view}' AS view, unnest(['list', 'ch', 'quadtree', 'rtree']) AS \"index\", unnest([list, list + bins, t.nodes * 72 + own, (SELECT count(*) FROM k) * 72 + own])::BIGINT AS bytes FROM e, b, t, n)"
+    )
+
+
+@query("index_memory", " UNION ALL ".join(_memory_sql(v, w) for v, w in MEMORY_VIEWS))
 def _(spark, sf):
     out = []
-    for view, w in ((BLOB, 4.0), ("P_blob100", 5.0), (PART, 2.0)):
+    for view, w in MEMORY_VIEWS:
         p = cut(pts(spark, sf, view))
         lists = cut(nlist.build(p))
         sizes = {"list": cost.list_bytes(lists), "ch": cost.hist_bytes(chist.build(lists, w)), "quadtree": cost.tree_bytes(quadtree.build(p)), "rtree": cost.tree_bytes(rtree.build(p))}
