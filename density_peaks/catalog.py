@@ -56,4 +56,5 @@ def load_tree(spark: SparkSession, path: str) -> Tree:
     m = meta(spark, path)
     space = Space(tuple(m["coords"]), m["metric"])
     about = {k: tuple(v) if isinstance(v, list) else v for k, v in m["meta"].items()}
-    return Tree(spark.read.parquet(f"{path}/nodes"), spark.read.parquet(f"{path}/leaf_points"), space, m["n_nodes"], m["height"], about)
+    leaf_points = spark.read.parquet(f"{path}/leaf_points")
+    return Tree(spark.read.parquet(f"{path}/nodes"), leaf_points, space, m["n_nodes"], m["height"], about, "weight" in leaf_points.columns)

@@ -3,11 +3,15 @@
 A node table of at most MOST_NODES rows is sent whole to the tasks; each takes a share of
 the query leaves and moves their frontier of (leaf, node) pairs down in vectors. Boxes are
 measured with the same operations in the same order as the column expressions of metrics,
-so both forms decide alike. Larger trees take the frontier of tree_query instead.
+so both forms decide alike. Larger trees take the frontier of tree_query instead. Where the
+points fit too, they are sent along, and tasks measure them against each other in blocks of
+vectors, so that pairs of points are never rows of a table.
 """
 
 from __future__ import annotations
 
+import heapq
+import math
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -22,6 +26,10 @@ from density_peaks.schemas import Space
 MOST_NODES = 500_000
 #: Query leaves that are taken down at once.
 AT_ONCE = 2048
+#: Points (or spots) of a tree, of under 50 bytes each, are sent to tasks up to so many.
+MOST_SENT = 2_000_000
+#: Query leaves whose points are measured at once, and distances in a block of vectors.
+LEAVES, BLOCK = 256, 1 << 18
 
 
 def norm(gaps: list[np.ndarray], metric: str) -> np.ndarray:
@@ -114,6 +122,54 @@ def least_by(group: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
+@dataclass
+class Held:
+    """Points of a tree in order of their leaves as arrays; those of node i are at start[i] : end[i]."""
+
+    id: np.ndarray
+    axes: list[np.ndarray]
+    weight: np.ndarray | None
+    key: np.ndarray | None
+    start: np.ndarray
+    end: np.ndarray
+    metric: str
+
+    @classmethod
+    def of(cls, nodes: Nodes, rows: DataFrame, space: Space, tie: str | None = None) -> Held:
+        """rows: leaf, id, coordinates, weight if there is one, and rho if a tie rule is given; key is then the rank of density."""
+        t = rows.toArrow()
+        place = nodes.at(t.column("leaf").to_numpy())
+        order = np.argsort(place, kind="stable")
+        col = lambda c: t.column(c).to_numpy()[order]
+        edges = np.arange(len(nodes))
+        start, end = (np.searchsorted(place[order], edges, side=s) for s in ("left", "right"))
+        number, weight, key = col("id"), col("weight") if "weight" in t.column_names else None, None
+        if tie == "by_id":
+            key = np.empty(len(number), dtype=np.int64)
+            key[np.lexsort((-number, col("rho")))] = np.arange(len(number))
+        elif tie is not None:
+            key = np.unique(col("rho"), return_inverse=True)[1].ravel().astype(np.int64)
+        return cls(number, [col(c).astype(np.float64) for c in space.coords], weight, key, start, end, space.metric)
+
+    def among(self, places: np.ndarray) -> np.ndarray:
+        """Where the points of leaves are."""
+        count = self.end[places] - self.start[places]
+        inside = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        return np.repeat(self.start[places], count) + inside
+
+    def gaps(self, q: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """Distances of points q (rows) to points n (columns)."""
+        return norm([x[q][:, None] - x[n][None, :] for x in self.axes], self.metric)
+
+    def over_nodes(self, fold: np.ufunc, values: np.ndarray, none: int) -> np.ndarray:
+        """values of points folded for each leaf, none elsewhere."""
+        out, full = np.full(len(self.start), none, dtype=np.int64), np.flatnonzero(self.end > self.start)
+        full = full[np.argsort(self.start[full])]
+        if len(full):
+            out[full] = fold.reduceat(values, self.start[full])
+        return out
+
+
 def over_leaves(tree: Tree, leaves: np.ndarray, work: Callable[[np.ndarray], dict[str, np.ndarray]], schema: str) -> DataFrame:
     """Rows that work gives for shares of the places of query leaves, spread over the tasks of the cluster.
 
@@ -140,7 +196,8 @@ class Range:
     def __init__(self, nodes: Nodes, d_c: float, contain: bool):
         self.nodes, self.d_c, self.contain = nodes, d_c, contain
 
-    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+    def descend(self, places: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Weight in whole nodes, nodes seen and whole ones of each of places, and the pairs (index in places, place of a leaf) that are left."""
         t, full = self.nodes, np.zeros(len(places), dtype=np.int64)
         seen = np.zeros(len(places), dtype=np.int64)
         held = np.zeros(len(places), dtype=np.int64)
@@ -157,6 +214,11 @@ class Range:
             go = open_ & ~t.leaf[n]
             at, n, _ = t.children(at[go], n[go])
         q, n = (np.concatenate(x) for x in zip(*pairs, strict=True))
+        return full, seen, held, q, n
+
+    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+        t = self.nodes
+        full, seen, held, q, n = self.descend(places)
         # a first row for each query leaf carries its counts, further rows its leaf pairs
         none = np.full(len(places), -1, dtype=np.int64)
         return {
@@ -171,6 +233,35 @@ class Range:
 RANGE = "q_leaf long, n_leaf long, full long, node_pairs long, contained long"
 
 
+class Count:
+    """Density of the points themselves: the weight within the cutoff, their own included."""
+
+    def __init__(self, nodes: Nodes, held: Held, d_c: float, contain: bool):
+        self.range, self.held, self.d_c = Range(nodes, d_c, contain), held, d_c
+
+    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+        h, out = self.held, [np.empty((2, 0), dtype=np.int64)]
+        for at in range(0, len(places), LEAVES):
+            some = places[at : at + LEAVES]
+            full, _, _, q, n = self.range.descend(some)
+            order = np.argsort(q, kind="stable")
+            edge, n = np.searchsorted(q[order], np.arange(len(some) + 1)), n[order]
+            for i, leaf in enumerate(some):
+                others = h.among(n[edge[i] : edge[i + 1]])
+                for first in range(h.start[leaf], h.end[leaf], BLOCK):
+                    own = np.arange(first, min(first + BLOCK, h.end[leaf]))
+                    found, step = np.full(len(own), full[i]), max(1, BLOCK // len(own))
+                    for b in range(0, len(others), step):
+                        near = h.gaps(own, others[b : b + step]) < self.d_c
+                        found += np.count_nonzero(near, axis=1) if h.weight is None else (near @ h.weight[others[b : b + step]].astype(np.float64)).astype(np.int64)
+                    out.append(np.stack((h.id[own], found)))
+        ids, found = np.concatenate(out, axis=1)
+        return {"id": ids, "n": found}
+
+
+COUNT = "id long, n long"
+
+
 class Denser:
     """Dependent distance: leaves that may hold the nearest denser point of a query leaf's points.
 
@@ -183,7 +274,8 @@ class Denser:
         self.nodes, self.minkey, self.topkey, self.maxkey, self.bound = nodes, minkey, topkey, maxkey, bound
         self.density_prune, self.distance_prune = density_prune, distance_prune
 
-    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+    def descend(self, places: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Nodes seen and the bound of each of places, and the pairs (index in places, place of a leaf) that are left, with their least distances."""
         t = self.nodes
         seen, limit = np.zeros(len(places), dtype=np.int64), self.bound[places].copy()
         at, n = np.arange(len(places)), np.full(len(places), t.root)
@@ -205,7 +297,12 @@ class Denser:
         q, n, least = (np.concatenate(x) for x in zip(*kept, strict=True))
         if self.distance_prune:  # bounds have fallen since the upper leaves were kept
             close = least <= limit[q]
-            q, n = q[close], n[close]
+            q, n, least = q[close], n[close], least[close]
+        return seen, limit, q, n, least
+
+    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+        t = self.nodes
+        seen, limit, q, n, _ = self.descend(places)
         none = np.full(len(places), -1, dtype=np.int64)
         zero, own = np.zeros(len(q), dtype=np.int64), np.concatenate((np.arange(len(places)), q))
         return {
@@ -219,6 +316,134 @@ class Denser:
 DENSER = "q_leaf long, n_leaf long, last double, node_pairs long"
 
 
+class Parents:
+    """Dependent distance of the points themselves: the nearest denser point, the smaller id among equally near ones.
+
+    Points of the greatest key have none. A leaf meets others from near to far, each for
+    those of its points that a nearer one than the leaf is not known of.
+    """
+
+    def __init__(self, nodes: Nodes, held: Held, density_prune: bool, distance_prune: bool):
+        self.nodes, self.held, self.density_prune, self.distance_prune = nodes, held, density_prune, distance_prune
+        self.peak = held.key.max(initial=0)
+        low = held.over_nodes(np.minimum, held.key, np.iinfo(np.int64).max)
+        high = held.over_nodes(np.maximum, held.key, -1)
+        asked = held.over_nodes(np.maximum, np.where(held.key < self.peak, held.key, -1), -1)
+        self.low, self.asked, self.maxkey = low, asked, nodes.rolled(high)
+
+    def nearer(self, own: np.ndarray, others: np.ndarray, best: np.ndarray, mu: np.ndarray, rows: np.ndarray) -> None:
+        """Lowers best and mu of own[rows] by what others hold."""
+        h = self.held
+        step = max(1, BLOCK // max(1, len(rows)))
+        for b in range(0, len(others), step):
+            n, q = others[b : b + step], own[rows]
+            gap = np.where(h.key[n][None, :] > h.key[q][:, None], h.gaps(q, n), np.inf)
+            least = gap.min(axis=1)
+            ids = np.where(gap == least[:, None], h.id[n][None, :], np.iinfo(np.int64).max).min(axis=1)
+            better = (least < best[rows]) | ((least == best[rows]) & (ids < mu[rows]) & np.isfinite(least))
+            best[rows[better]], mu[rows[better]] = least[better], ids[better]
+
+    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+        t, h = self.nodes, self.held
+        out: list[tuple[np.ndarray, ...]] = [(np.empty(0, dtype=np.int64), np.empty(0), np.empty(0, dtype=np.int64))]
+        for begin in range(0, len(places), LEAVES):
+            some = places[begin : begin + LEAVES]
+            some = some[self.asked[some] >= 0]
+            state, bound = [], np.full(len(t), np.inf)
+            for leaf in some:
+                own = np.arange(h.start[leaf], h.end[leaf])
+                own = own[h.key[own] < self.peak]
+                best, mu = np.full(len(own), np.inf), np.full(len(own), np.iinfo(np.int64).max)
+                for b in range(0, len(own), BLOCK):
+                    self.nearer(own, np.arange(h.start[leaf], h.end[leaf]), best, mu, np.arange(b, min(b + BLOCK, len(own))))
+                bound[leaf] = best.max(initial=0.0)
+                state.append((own, best, mu))
+            if not len(some):
+                continue
+            q, n, least = Denser(t, self.low, self.asked, self.maxkey, bound, self.density_prune, self.distance_prune).descend(some)[2:]
+            order = np.lexsort((least, q))
+            edge, n, least = np.searchsorted(q[order], np.arange(len(some) + 1)), n[order], least[order]
+            for i, (own, best, mu) in enumerate(state):
+                at, step = edge[i], 8
+                while at < edge[i + 1]:
+                    rows = np.flatnonzero(best >= least[at]) if self.distance_prune else np.arange(len(own))
+                    if not len(rows):
+                        break
+                    to = min(at + step, edge[i + 1])
+                    others = h.among(n[at:to][n[at:to] != some[i]])
+                    for b in range(0, len(rows), BLOCK):
+                        self.nearer(own, others, best, mu, rows[b : b + BLOCK])
+                    at, step = to, step * 2
+                out.append((h.id[own], best, mu))
+        ids, best, mu = (np.concatenate(x) for x in zip(*out, strict=True))
+        return {"id": ids, "delta": best, "mu": mu}
+
+
+PARENTS = "id long, delta double, mu long"
+
+
+class Local:
+    """Dependent distance by descent for one point at a time, with the numbers of nodes visited and of denser points measured; mu is -1 where there is none."""
+
+    def __init__(self, nodes: Nodes, held: Held, order: str):
+        self.nodes, self.held, self.order = nodes, held, order
+        self.maxkey = nodes.rolled(held.over_nodes(np.maximum, held.key, -1))
+        self.boxes: list | None = None
+
+    def unpacked(self) -> None:
+        """Boxes, keys and children as lists, which are faster to read one by one."""
+        t = self.nodes
+        self.boxes = list(zip(*[list(zip(a.tolist(), b.tolist(), strict=True)) for a, b in zip(t.lo, t.hi, strict=True)], strict=True))
+        self.keys, self.is_leaf = self.maxkey.tolist(), t.leaf.tolist()
+        first, order = t.first.tolist(), t.order.tolist()
+        self.below = [order[first[i] : first[i + 1]] for i in range(len(t))]
+
+    def least(self, p: tuple[float, ...], i: int) -> float:
+        total = 0.0
+        for x, (lo, hi) in zip(p, self.boxes[i], strict=True):
+            gap = lo - x if x < lo else x - hi if x > hi else 0.0
+            total += gap * gap
+        return math.sqrt(total)
+
+    def one(self, p: tuple[float, ...], mine: int) -> tuple[float, int, int, int]:
+        h, keys, heap = self.held, self.keys, self.order == "heap"
+        best, mu, visited, measured = math.inf, -1, 0, 0
+        root = self.nodes.root
+        todo = [(self.least(p, root), root)]
+        while todo:
+            d, i = heapq.heappop(todo) if heap else todo.pop()
+            if d > best or keys[i] <= mine:
+                continue
+            visited += 1
+            if self.is_leaf[i]:
+                at = slice(h.start[i], h.end[i])
+                up = h.key[at] > mine
+                gap = norm([x - a[at][up] for x, a in zip(p, h.axes, strict=True)], h.metric)
+                measured += len(gap)
+                near = float(gap.min())
+                who = int(h.id[at][up][gap == near].min())
+                if (near, who) < (best, mu):
+                    best, mu = near, who
+                continue
+            for x in sorted(((self.least(p, c), c) for c in self.below[i] if keys[c] > mine), reverse=True):
+                if x[0] <= best:
+                    heapq.heappush(todo, x) if heap else todo.append(x)
+        return best, mu, visited, measured
+
+    def __call__(self, places: np.ndarray) -> dict[str, np.ndarray]:
+        if self.boxes is None:
+            self.unpacked()
+        h = self.held
+        at = h.among(places)
+        rows = [self.one(p, k) for *p, k in zip(*[x[at].tolist() for x in h.axes], h.key[at].tolist(), strict=True)]
+        columns = list(zip(*rows, strict=True)) or [()] * 4
+        kinds = {"delta": np.float64, "mu": np.int64, "visited": np.int64, "distances": np.int64}
+        return {"id": h.id[at], **{c: np.array(v, dtype=k) for (c, k), v in zip(kinds.items(), columns, strict=True)}}
+
+
+LOCAL = "id long, delta double, mu long, visited long, distances long"
+
+
 class Farthest:
     """Leaves that may hold the farthest point of any point of a query leaf."""
 

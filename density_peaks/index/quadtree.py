@@ -47,33 +47,38 @@ def square(pts: DataFrame) -> tuple[float, float, float]:
     return b[0], b[1], max(b[2] - b[0], b[3] - b[1], 1e-300)
 
 
-def build(pts: DataFrame, capacity: int = 32, max_depth: int = 16) -> Tree:
-    """Builds the tree; a leaf at max_depth may hold more than capacity, as with many equal points."""
-    p = points(pts)
-    return _tree(cut(morton(p, region := square(p), max_depth)), capacity, max_depth, region)
+def build(pts: DataFrame, capacity: int = 32, max_depth: int = 16, weight: str | None = None) -> Tree:
+    """Builds the tree; a leaf at max_depth may hold more than capacity, as with many equal points.
+
+    With weight, a column of pts, nc is its sum; capacity is of rows all the same.
+    """
+    p = points(pts, keep=weight)
+    return _tree(cut(morton(p, region := square(p), max_depth)), capacity, max_depth, region, weight)
 
 
-def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, float, float]) -> Tree:
+def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, float, float], weight: str | None = None) -> Tree:
     about = {"kind": "quadtree", "capacity": capacity, "depth": depth, "region": region}
+    size = [F.count(F.lit(1)).alias("rows"), (F.sum(weight) if weight else F.count(F.lit(1))).alias("nc")]
+    own = [weight] if weight else []
     if keyed.count() <= MOST_KEYS:
-        cells = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("nc"), *boxes(PLANE)).toArrow()
+        cells = keyed.groupBy("key").agg(*size, *boxes(PLANE)).toArrow()
         nodes, height, starts, numbers = _split(cells, capacity, depth)
         spark = keyed.sparkSession
-        leaf_points = cut(_routed(keyed, spark.sparkContext.broadcast((starts, numbers))))
-        return Tree(spark.createDataFrame(nodes), leaf_points, PLANE, nodes.num_rows, height, about)
-    per_key = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("nc"), *boxes(PLANE))
+        leaf_points = cut(_routed(keyed, spark.sparkContext.broadcast((starts, numbers)), weight))
+        return Tree(spark.createDataFrame(nodes), leaf_points, PLANE, nodes.num_rows, height, about, bool(weight))
+    per_key = keyed.groupBy("key").agg(*size, *boxes(PLANE))
     level = F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level")
     every = per_key.select("*", level).withColumn("node", _number(depth))
-    counts = cut(every.groupBy("node", "level").agg(F.sum("nc").cast("long").alias("nc"), *merged(PLANE)))
-    full = counts.where((F.col("nc") > capacity) & (F.col("level") < depth)).select(F.col("node").alias("parent"))
+    counts = cut(every.groupBy("node", "level").agg(F.sum("rows").cast("long").alias("rows"), F.sum("nc").cast("long").alias("nc"), *merged(PLANE)))
+    full = counts.where((F.col("rows") > capacity) & (F.col("level") < depth)).select(F.col("node").alias("parent"))
     with_parent = counts.withColumn("parent", F.when(F.col("level") > 0, F.shiftright("node", 2)))
     nodes = with_parent.join(full, "parent", "left_semi").unionByName(with_parent.where("level = 0"))
-    nodes = cut(nodes.withColumn("is_leaf", (F.col("nc") <= capacity) | (F.col("level") == depth)).select("node", "parent", "level", "lo_x", "lo_y", "hi_x", "hi_y", "nc", "is_leaf"))
+    nodes = cut(nodes.withColumn("is_leaf", (F.col("rows") <= capacity) | (F.col("level") == depth)).select("node", "parent", "level", "lo_x", "lo_y", "hi_x", "hi_y", "nc", "is_leaf"))
     leaves = nodes.where("is_leaf").select(F.col("node").alias("leaf"))
     of_key = every.select("key", F.col("node").alias("leaf")).join(leaves, "leaf")
-    leaf_points = cut(keyed.join(of_key, "key").select("leaf", "id", "x", "y"))
+    leaf_points = cut(keyed.join(of_key, "key").select("leaf", "id", "x", "y", *own))
     n, height = nodes.agg(F.count(F.lit(1)), F.coalesce(F.max("level"), F.lit(0))).first()
-    return Tree(nodes, leaf_points, PLANE, n, height, about)
+    return Tree(nodes, leaf_points, PLANE, n, height, about, bool(weight))
 
 
 def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, np.ndarray, np.ndarray]:
@@ -81,8 +86,8 @@ def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, n
     key = cells.column("key").to_numpy().astype(np.int64)
     order = np.argsort(key, kind="stable")
     key, names = key[order], ["lo_x", "lo_y", "hi_x", "hi_y"]
-    held = {c: cells.column(c).to_numpy()[order] for c in ("nc", *names)}
-    fold = {"nc": np.add, "lo": np.minimum, "hi": np.maximum}
+    held = {c: cells.column(c).to_numpy()[order] for c in ("rows", "nc", *names)}
+    fold = {"ro": np.add, "nc": np.add, "lo": np.minimum, "hi": np.maximum}
     made, starts, numbers, open_ = [], [], [], np.arange(len(key))
     for level in range(depth + 1):
         if not len(open_):
@@ -91,7 +96,7 @@ def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, n
         at = np.flatnonzero(np.diff(prefix, prepend=-1))
         level_of = {c: fold[c[:2]].reduceat(v[open_], at) for c, v in held.items()}
         node = (1 << (2 * level)) + prefix[at]
-        leaf = (level_of["nc"] <= capacity) | (level == depth)
+        leaf = (level_of.pop("rows") <= capacity) | (level == depth)
         made.append({"node": node, "parent": np.where(level > 0, node >> 2, -1), "level": np.full(len(node), level), "is_leaf": leaf, **level_of})
         starts.append(prefix[at][leaf] << (2 * (depth - level)))
         numbers.append(node[leaf])
@@ -104,16 +109,17 @@ def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, n
     return pa.table(columns), max(0, len(made) - 1), first[order], number[order]
 
 
-def _routed(keyed: DataFrame, leaves) -> DataFrame:
-    """leaf, id, x, y: a point's leaf is the last that starts at or before its key."""
+def _routed(keyed: DataFrame, leaves, weight: str | None = None) -> DataFrame:
+    """leaf, id, x, y and weight: a point's leaf is the last that starts at or before its key."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         starts, numbers = leaves.value
         for b in batches:
             leaf = numbers[np.searchsorted(starts, b.column("key").to_numpy(), side="right") - 1]
-            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), *(b.column(c) for c in ("id", "x", "y"))], names=["leaf", "id", "x", "y"])
+            yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int64()), *(b.column(c) for c in own)], names=["leaf", *own])
 
-    return keyed.select("key", "id", "x", "y").mapInArrow(run, "leaf long, id long, x double, y double")
+    own = ["id", "x", "y", *([weight] if weight else [])]
+    return keyed.select("key", *own).mapInArrow(run, "leaf long, id long, x double, y double" + (f", {weight} long" if weight else ""))
 
 
 def insert(tree: Tree, new: DataFrame) -> Tree:

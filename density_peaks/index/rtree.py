@@ -20,15 +20,16 @@ from density_peaks.schemas import PLANE, Space, points
 STRIDE = 1 << 44
 
 
-def build(pts: DataFrame, capacity: int = 32, fanout: int = 4, space: Space = PLANE) -> Tree:
+def build(pts: DataFrame, capacity: int = 32, fanout: int = 4, space: Space = PLANE, weight: str | None = None) -> Tree:
     """Sorts by the first axis, cuts slices, sorts each by the next axis, and cuts leaves of at most capacity.
 
     With L leaves, each axis but the last is cut into about L ** (1 / axes) slices. Upper
     levels take fanout nodes in packing order until one is left; they are made on the
     driver from the boxes of at most descent.MOST_NODES / 2 leaves, else level by level.
-    No points give a tree without nodes.
+    No points give a tree without nodes. With weight, a column of pts, nc is its sum;
+    capacity is of rows all the same.
     """
-    p = points(pts, space)
+    p, own = points(pts, space, keep=weight), [weight] if weight else []
     n = p.count()
     leaves = max(1, math.ceil(n / capacity))
     axes = list(space.coords)
@@ -40,13 +41,13 @@ def build(pts: DataFrame, capacity: int = 32, fanout: int = 4, space: Space = PL
         inside = F.row_number().over(Window.partitionBy("slice").orderBy(axis, "id")) - 1
         ranked = ranked.withColumn("slice", F.col("slice") * F.lit(across) + F.floor(inside / F.lit(width)).cast("long"))
     # every slice but the last is full, so leaves are numbered without gaps and the levels above are full
-    leaf_points = cut(ranked.select(F.col("slice").alias("leaf"), "id", *space.coords))
-    level = leaf_points.groupBy(F.col("leaf").alias("place")).agg(F.count(F.lit(1)).alias("nc"), *boxes(space))
+    leaf_points = cut(ranked.select(F.col("slice").alias("leaf"), "id", *space.coords, *own))
+    level = leaf_points.groupBy(F.col("leaf").alias("place")).agg((F.sum(weight) if weight else F.count(F.lit(1))).alias("nc"), *boxes(space))
     level = level.select("place", "nc", *[f"{e}_{c}" for e in ("lo", "hi") for c in space.coords])
     about = {"kind": "rtree", "capacity": capacity, "fanout": fanout}
     if 2 * leaves <= descent.MOST_NODES:
         nodes, up = _grouped(level.toArrow(), fanout)
-        return Tree(p.sparkSession.createDataFrame(nodes), leaf_points, space, nodes.num_rows, up, about)
+        return Tree(p.sparkSession.createDataFrame(nodes), leaf_points, space, nodes.num_rows, up, about, bool(weight))
     level, count, up, levels = cut(level), leaves, 0, []
     while True:
         parent = F.lit(None).cast("long") if count <= 1 else F.floor(F.col("place") / F.lit(fanout)).cast("long") + F.lit((up + 1) * STRIDE)
@@ -61,7 +62,7 @@ def build(pts: DataFrame, capacity: int = 32, fanout: int = 4, space: Space = PL
         nodes = nodes.unionByName(x)
     nodes = nodes.withColumn("level", (F.lit(up) - F.col("up")).cast("int")).withColumn("is_leaf", F.col("up") == 0).withColumn("nc", F.col("nc").cast("long")).drop("up")
     nodes = cut(nodes)
-    return Tree(nodes, leaf_points, space, nodes.count(), up, about)
+    return Tree(nodes, leaf_points, space, nodes.count(), up, about, bool(weight))
 
 
 def _grouped(leaves: pa.Table, fanout: int) -> tuple[pa.Table, int]:

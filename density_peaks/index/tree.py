@@ -15,7 +15,10 @@ MOST_BROADCAST = 200_000
 
 @dataclass
 class Tree:
-    """nodes: node, parent, level (root 0), lo_*, hi_*, nc, is_leaf; leaf_points: leaf, id and coordinates."""
+    """nodes: node, parent, level (root 0), lo_*, hi_*, nc, is_leaf; leaf_points: leaf, id and coordinates.
+
+    A weighted tree is over spots: leaf_points have a weight too, and nc is the sum of weights.
+    """
 
     nodes: DataFrame
     leaf_points: DataFrame
@@ -23,7 +26,9 @@ class Tree:
     n_nodes: int = 0
     height: int = 0
     meta: dict = field(default_factory=dict)
+    weighted: bool = False
     _arrays: object = field(default=None, repr=False, compare=False)
+    _rows: int | None = field(default=None, repr=False, compare=False)
 
     def arrays(self):
         """The node table as arrays on the driver, None where it is empty or too large for that."""
@@ -33,6 +38,12 @@ class Tree:
             self._arrays = descent.Nodes.of(self)
         return self._arrays
 
+    def rows(self) -> int:
+        """How many rows leaf_points has."""
+        if self._rows is None:
+            self._rows = self.leaf_points.count()
+        return self._rows
+
     def lo(self, prefix: str = "") -> list[Column]:
         return [F.col(f"{prefix}lo_{c}") for c in self.space.coords]
 

@@ -12,12 +12,9 @@ all of the leaf are met. The local form descends for one point at a time, neares
 
 from __future__ import annotations
 
-import heapq
-from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -45,7 +42,7 @@ def _ranges(tree: Tree) -> tuple[Column, Column]:
 
 
 def _points(tree: Tree, prefix: str = "") -> DataFrame:
-    return tree.leaf_points.select(*[F.col(c).alias(f"{prefix}{c}") for c in ("leaf", "id", *tree.space.coords)])
+    return tree.leaf_points.select(*[F.col(c).alias(f"{prefix}{c}") for c in ("leaf", "id", *tree.space.coords, *(["weight"] if tree.weighted else []))])
 
 
 def rho(tree: Tree, d_c: float, count_self: bool = False, contain: bool = True, stats: dict | None = None) -> DataFrame:
@@ -57,9 +54,14 @@ def rho(tree: Tree, d_c: float, count_self: bool = False, contain: bool = True,
     p = _points(tree)
     if d_c <= 0:
         return p.select("id", F.lit(int(count_self)).cast("long").alias("rho"))
+    sent = tree.arrays() is not None and stats is None and tree.rows() <= descent.MOST_SENT
+    if sent:
+        nodes = tree.arrays()
+        work = descent.Count(nodes, descent.Held.of(nodes, p, tree.space), d_c, contain)
+        return descent.over_leaves(tree, np.flatnonzero(nodes.leaf), work, descent.COUNT).select("id", (F.col("n") - F.lit(0 if count_self else 1)).alias("rho"))
     full, pair = _range(tree, d_c, contain, stats) if tree.arrays() is not None else _range_frontier(tree, d_c, contain, stats)
     met = pair.join(_points(tree, "q_"), "q_leaf").join(_points(tree, "n_"), "n_leaf")
-    near = met.where(dist(tree.space.of("q_"), tree.space.of("n_"), tree.space) < d_c).groupBy(F.col("q_id").alias("id")).agg(F.count(F.lit(1)).alias("near"))
+    near = met.where(dist(tree.space.of("q_"), tree.space.of("n_"), tree.space) < d_c).groupBy(F.col("q_id").alias("id")).agg((F.sum("n_weight") if tree.weighted else F.count(F.lit(1))).alias("near"))
     if stats is not None:
         stats["leaf_pairs"] = pair.count()
         stats["distances"] = met.count()
@@ -120,7 +122,10 @@ def delta(tree: Tree, rho_table: DataFrame, tie: str = "strict", density_prune:
     if tree.arrays() is not None:
         own = cut(_points(tree).join(rho_table.select("id", "rho"), "id"))
         asked = own if only is None else own.join(only.select("id"), "id", "left_semi")
-        found = _search_arrays(tree, own, asked, tie, density_prune, distance_prune, stats)
+        if only is None and stats is None and tree.rows() <= descent.MOST_SENT:
+            found = _search_sent(tree, own, tie, density_prune, distance_prune)
+        else:
+            found = _search_arrays(tree, own, asked, tie, density_prune, distance_prune, stats)
     else:
         nodes, own = with_maxrho(tree, rho_table, tie)
         asked = own if only is None else own.join(only.select("id"), "id", "left_semi")
@@ -131,6 +136,14 @@ def delta(tree: Tree, rho_table: DataFrame, tie: str = "strict", density_prune:
     return finish(table, found.join(far, "id", "left"))
 
 
+def _search_sent(tree: Tree, own: DataFrame, tie: str, density_prune: bool, distance_prune: bool) -> DataFrame:
+    """id, delta, mu of all points, measured in the tasks that descend."""
+    nodes = tree.arrays()
+    work = descent.Parents(nodes, descent.Held.of(nodes, own, tree.space, tie), density_prune, distance_prune)
+    some = descent.over_leaves(tree, np.flatnonzero(nodes.leaf), work, descent.PARENTS)
+    return cut(own.select("id").join(some.where(F.col("delta") < INFINITE), "id", "left"))
+
+
 def _search_arrays(tree: Tree, own: DataFrame, asked: DataFrame, tie: str, density_prune: bool, distance_prune: bool, stats: dict | None) -> DataFrame:
     """id, delta, mu: the nearest denser point of each point asked for. own: leaf, id, coordinates, rho.
 
@@ -282,71 +295,19 @@ def nearest(tree: Tree, k: int = 1) -> DataFrame:
 
 
 def delta_local(tree: Tree, rho_table: DataFrame, tie: str = "strict", order: str = "stack") -> DataFrame:
-    """id, delta, mu, visited, distances by descent for one point at a time, in tasks that hold the node table.
+    """id, delta, mu, visited, distances by descent for one point at a time, in tasks that hold nodes and points as arrays.
 
     order="stack" opens the nearest child of a node first; order="heap" the nearest node of
     all. Both give the same answers. Only for trees whose nodes and points fit one task.
     """
     if order not in ("stack", "heap"):
         raise ValueError("order is stack or heap")
-    if tree.n_nodes > 50_000 or tree.nodes.where("parent is null and nc > 1000000").count():
-        raise ValueError("the local form is for trees of at most 50000 nodes and 1000000 points")
+    if tree.n_nodes > descent.MOST_NODES or tree.rows() > descent.MOST_SENT:
+        raise ValueError(f"the local form is for trees of at most {descent.MOST_NODES} nodes and {descent.MOST_SENT} points")
     if tree.space.metric not in ("euclidean", "chord"):
         raise ValueError("the local form knows the euclidean metric only")
-    nodes, own = with_maxrho(tree, rho_table, tie)
-    n = nodes.select("node", "parent", "is_leaf", *tree.bounds, F.col("maxkey.rho").alias("r"), F.col("maxkey.turn").alias("t")).toPandas()
-    pts = own.select("leaf", "id", *tree.space.coords, F.col("key.rho").alias("r"), F.col("key.turn").alias("t")).toPandas()
-    place = {v: i for i, v in enumerate(n["node"])}
-    root = place[n["node"][n["parent"].isna()].iloc[0]]
-    lo, hi = (n[[f"{e}_{c}" for c in tree.space.coords]].to_numpy() for e in ("lo", "hi"))
-    node_key, leaf_of = list(zip(n["r"], n["t"], strict=True)), n["is_leaf"].to_numpy()
-    children: list[list[int]] = [[] for _ in range(len(n))]
-    for i, up in enumerate(n["parent"]):
-        if not np.isnan(up):
-            children[place[int(up)]].append(i)
-    inside = {place[k]: g for k, g in pts.groupby("leaf")}
-    held = {k: (g[list(tree.space.coords)].to_numpy(), g["id"].to_numpy(), list(zip(g["r"], g["t"], strict=True))) for k, g in inside.items()}
-    coords = list(tree.space.coords)
-
-    def least(p: np.ndarray, i: int) -> float:
-        gap = np.maximum(np.maximum(lo[i] - p, p - hi[i]), 0.0)
-        total = 0.0
-        for g in gap:
-            total += g * g
-        return float(np.sqrt(total))
-
-    def one(p: np.ndarray, mine: tuple) -> tuple[float, int, int, int]:
-        best, visited, measured = (INFINITE, -1), 0, 0
-        todo = [(least(p, root), root)]
-        while todo:
-            d, i = heapq.heappop(todo) if order == "heap" else todo.pop()
-            if d > best[0] or node_key[i] <= mine:
-                continue
-            visited += 1
-            if leaf_of[i]:
-                xy, ids, keys = held[i]
-                for q, j, k in zip(xy, ids, keys, strict=True):
-                    if k > mine:
-                        measured += 1
-                        total = 0.0
-                        for g in p - q:
-                            total += g * g
-                        best = min(best, (float(np.sqrt(total)), int(j)))
-                continue
-            more = sorted(((least(p, c), c) for c in children[i] if node_key[c] > mine), reverse=True)
-            for x in more:
-                if x[0] <= best[0]:
-                    heapq.heappush(todo, x) if order == "heap" else todo.append(x)
-        return (*best, visited, measured)
-
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            rows = [one(p, k) for p, k in zip(f[coords].to_numpy(), zip(f["r"], f["t"], strict=True), strict=True)]
-            out = pd.DataFrame(rows, columns=["delta", "mu", "visited", "distances"])
-            out.insert(0, "id", f["id"].to_numpy())
-            out["mu"] = out["mu"].where(out["mu"] >= 0).astype("Int64")
-            out["delta"] = out["delta"].where(np.isfinite(out["delta"]))
-            yield out
-
-    ask = own.select("id", *coords, F.col("key.rho").alias("r"), F.col("key.turn").alias("t"))
-    return ask.mapInPandas(run, "id long, delta double, mu long, visited long, distances long")
+    nodes, own = tree.arrays(), _points(tree).join(rho_table.select("id", "rho"), "id")
+    work = descent.Local(nodes, descent.Held.of(nodes, own, tree.space, tie), order)
+    found = descent.over_leaves(tree, np.flatnonzero(nodes.leaf), work, descent.LOCAL)
+    known = F.col("mu") >= 0
+    return found.select("id", F.when(known, F.col("delta")).alias("delta"), F.when(known, F.col("mu")).alias("mu"), "visited", "distances")

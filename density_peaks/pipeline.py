@@ -7,8 +7,9 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 
-from density_peaks import assign, decide, exact
+from density_peaks import assign, decide, exact, spots
 from density_peaks.index import chist, nlist, quadtree, rnlist, rtree, tree_query
+from density_peaks.index.tree import Tree
 from density_peaks.iterate import cut
 from density_peaks.schemas import PLANE, Space, points
 
@@ -48,11 +49,25 @@ def build(pts: DataFrame, kind: str = "rtree", space: Space = PLANE, w: float |
         hist = cut(chist.packed(lists, width))
         return Index(kind, lambda d: chist.rho_packed(hist, d, width), lambda r, tie: rnlist.delta(lists, r, cap, tie), {"lists": lists, "hist": hist, "w": width, "cap": cap})
     if kind in ("quadtree", "rtree"):
-        tree = quadtree.build(p, capacity) if kind == "quadtree" else rtree.build(p, capacity, space=space)
-        return Index(kind, lambda d: tree_query.rho(tree, d), lambda r, tie: tree_query.delta(tree, r, tie), {"tree": tree})
+        same = spots.merge(p, space)
+        tree = over_spots(same, kind, capacity)
+        return Index(kind, lambda d: same.rho(tree_query.rho(tree, d)), lambda r, tie: same.dependent(tree_query.delta(tree, cut(same.of_spots(r)), tie), tie), {"tree": tree})
     raise ValueError(f"index is one of {INDICES}")
 
 
+def over_spots(same: spots.Merged, kind: str = "rtree", capacity: int = 32) -> Tree:
+    """A weighted tree of spots."""
+    if kind == "quadtree":
+        return quadtree.build(same.spots, capacity, weight=spots.WEIGHT)
+    return rtree.build(same.spots, capacity, space=same.space, weight=spots.WEIGHT)
+
+
+def tree_rho(pts: DataFrame, d_c: float, kind: str = "rtree", capacity: int = 32, space: Space = PLANE, contain: bool = True) -> DataFrame:
+    """id, rho for one cutoff by a tree over spots."""
+    same = spots.merge(pts, space)
+    return same.rho(tree_query.rho(over_spots(same, kind, capacity), d_c, contain=contain))
+
+
 def dependent(index: Index, d_c: float, tie: str = "strict") -> DataFrame:
     """The dependent table for one cutoff."""
     return cut(index.delta(cut(index.rho(d_c)), tie))

@@ -49,10 +49,10 @@ class InvalidPoints(ValueError):
     """Points with a null or NaN id or coordinate."""
 
 
-def points(df: DataFrame, space: Space = PLANE, check: bool = False) -> DataFrame:
-    """id and coordinates as LONG and DOUBLE; with check, null or NaN values raise InvalidPoints that names the column."""
+def points(df: DataFrame, space: Space = PLANE, check: bool = False, keep: str | None = None) -> DataFrame:
+    """id and coordinates as LONG and DOUBLE; with check, null or NaN values raise InvalidPoints that names the column. keep names one more column."""
     kind = "array<double>" if space.vector else "double"
-    out = df.select(F.col("id").cast("long").alias("id"), *[F.col(c).cast(kind).alias(c) for c in space.coords])
+    out = df.select(F.col("id").cast("long").alias("id"), *[F.col(c).cast(kind).alias(c) for c in space.coords], *([keep] if keep else []))
     if check:
         reject_bad(out, space.coords if not space.vector else ())
     return out

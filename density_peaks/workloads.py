@@ -12,7 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from density_peaks import assign, baselines, cost, decide, density, dependent, exact, grid, metrics, pipeline, points, quality, sqltext, streaming
+from density_peaks import assign, baselines, cost, decide, density, dependent, exact, grid, metrics, pipeline, points, quality, spots, sqltext, streaming
 from density_peaks.index import chist, nlist, quadtree, rnlist, rtree, tree_query
 from density_peaks.iterate import cut
 from density_peaks.schemas import VECTOR, Space
