@@ -141,22 +141,22 @@ def _(spark, sf):
 
 @query("rho_quadtree_part", rho_sql(PART, D_PART))
 def _(spark, sf):
-    return tree_query.rho(quadtree.build(pts(spark, sf)), D_PART)
+    return pipeline.tree_rho(pts(spark, sf), D_PART, "quadtree")
 
 
 @query("rho_rtree_part", rho_sql(PART, D_PART))
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf)), D_PART)
+    return pipeline.tree_rho(pts(spark, sf), D_PART)
 
 
 @query("rho_range_search_part", rho_sql(PART, D_PART))
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf)), D_PART, contain=False)
+    return pipeline.tree_rho(pts(spark, sf), D_PART, contain=False)
 
 
 @query("rho_root_shortcut", rho_sql(BLOB, 600.0))
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf, BLOB)), 600.0)
+    return pipeline.tree_rho(pts(spark, sf, BLOB), 600.0)
 
 
 @query("rho_quadtree_events", rho_sql("P_events", 5.0))
@@ -166,7 +166,7 @@ def _(spark, sf):
 
 @query("rho_rtree_orders", rho_sql("P_orders", 50.0))
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf, "P_orders"), 128), 50.0)
+    return pipeline.tree_rho(pts(spark, sf, "P_orders"), 50.0, capacity=128)
 
 
 _CELLS = f"p AS ({points.sql('P_lineitem')}), a AS (SELECT *, floor(x / 5e0)::BIGINT AS i, floor(y / 5e0)::BIGINT AS j FROM p), b AS (SELECT a.*, i + di AS ni, j + dj AS nj FROM a, (SELECT unnest([-1, 0, 1]) AS di), (SELECT unnest([-1, 0, 1]) AS dj))"
@@ -184,7 +184,7 @@ def _(spark, sf):
 
 @query("rho_manhattan", rho_sql(PART, D_PART, "manhattan"))
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf), space=Space(metric="manhattan")), D_PART)
+    return pipeline.tree_rho(pts(spark, sf), D_PART, space=Space(metric="manhattan"))
 
 
 @query("rho_chebyshev", rho_sql(PART, D_PART, "chebyshev"))

@@ -48,6 +48,7 @@ def once(monkeypatch, module, name):
 #: query: what must not happen on the way
 PRUNED = {
     "delta_quadtree": lambda m: m.setattr(tree_query, "_search_arrays", never),
+    "rho_range_search_part": lambda m: once(m, rtree, "build"),
 }
 
 
