@@ -631,7 +631,7 @@ def _(spark, sf):
 
 @query("cutoff_clusters", " UNION ALL ".join(f"SELECT * FROM (WITH RECURSIVE {pairs('P_docs')}, {rho_part(d)}, {dep_part('by_id')}, {box_part('dep', 6, 'dep', 'c')}, {label_part()} SELECT {d}e0 AS d_c, count(DISTINCT cluster) AS clusters, count(*) FILTER (is_center) AS centers, max(depth)::INT AS depth FROM l)" for d in (0.25, 0.5, 1.0, 2.0)))
 def _(spark, sf):
-    index, out = pipeline.build(pts(spark, sf, "P_docs"), "list"), []
+    index, out = pipeline.build(pts(spark, sf, "P_docs"), "rtree"), []
     for d, dep in pipeline.sweep(index, [0.25, 0.5, 1.0, 2.0], "by_id").items():
         found = pipeline.label(dep, *decide.thresholds_of_top(dep, 6))
         out.append(found.agg(F.count_distinct("cluster").alias("clusters"), F.count_if("is_center").alias("centers"), F.max("depth").alias("depth")).select(F.lit(d).alias("d_c"), "*"))
