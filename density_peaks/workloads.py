@@ -450,7 +450,7 @@ def _(spark, sf):
 @query("rtree_three_axes", "WITH p AS (SELECT p_partkey AS id, p_size::DOUBLE AS x, p_retailprice AS y, (p_partkey % 97)::DOUBLE AS z FROM part) SELECT a.id, count(b.id)::BIGINT AS rho FROM p a LEFT JOIN p b ON a.id <> b.id AND sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) + (a.z - b.z) * (a.z - b.z)) < 10e0 GROUP BY a.id")
 def _(spark, sf):
     p = table(spark, sf, "part").select(F.col("p_partkey").alias("id"), F.col("p_size").cast("double").alias("x"), F.col("p_retailprice").alias("y"), (F.col("p_partkey") % 97).cast("double").alias("z"))
-    return tree_query.rho(rtree.build(p, space=Space(("x", "y", "z"))), 10.0)
+    return pipeline.tree_rho(p, 10.0, space=Space(("x", "y", "z")))
 
 
 @query("quadtree_insert", rho_sql("P_cust", 600.0))

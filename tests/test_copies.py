@@ -50,6 +50,7 @@ PRUNED = {
     "delta_quadtree": lambda m: m.setattr(tree_query, "_search_arrays", never),
     "rho_range_search_part": lambda m: once(m, rtree, "build"),
     "cutoff_clusters": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "rtree_three_axes": lambda m: m.setattr(tree_query, "_range", never),
 }
 
 
