@@ -528,15 +528,17 @@ def _(spark, sf):
 
 
 def _tau_scores(spark, sf, view: str, d_c: float, k: int, taus: Sequence[float]) -> DataFrame:
-    """Quality of cut lists against the full method, with the same box of centers for all radii."""
-    lists = cut(nlist.build(pts(spark, sf, view)))
-    dep = cut(nlist.delta(lists, cut(nlist.rho(lists, d_c)), "by_id"))
-    box = decide.thresholds_of_top(dep, k)
-    truth, cap = cut(pipeline.label(dep, *box)), rnlist.diagonal(pts(spark, sf, view))
-    out = []
+    """Quality of cut lists against the full method, with the same box of centers for all radii.
+
+    Full lists are quadratic, and so are lists of a wide radius; what cut lists answer comes from the tree, cut at the radius.
+    """
+    p = cut(pts(spark, sf, view))
+    index, cap = pipeline.build(p, "rtree"), rnlist.diagonal(p)
+    dep = pipeline.dependent(index, d_c, "by_id")
+    box, out = decide.thresholds_of_top(dep, k), []
+    truth = cut(pipeline.label(dep, *box))
     for tau in taus:
-        rn = cut(rnlist.from_nlist(lists, tau))
-        got = rnlist.delta(rn, cut(rnlist.rho(rn, d_c, tau).drop("is_exact")), cap, "by_id")
+        got = rnlist.from_dependent(dep if d_c <= tau else pipeline.dependent(index, tau, "by_id"), tau, cap)
         out.append(quality.pair_scores(truth, pipeline.label(cut(got), *box)).withColumn("tau", F.lit(tau)))
     return rounded(union(out), "precision", "recall", "f1")
 
