@@ -969,7 +969,7 @@ def _(spark, sf):
     def reindex(batch: DataFrame, n: int) -> None:
         x = (F.unix_micros("ts") - F.lit(1704067200000000)) / F.lit(3600000000.0)
         p = cut(batch.select(F.col("event_id").alias("id"), F.round(x, 4).alias("x"), F.col("value").alias("y")))
-        got.append(cut(tree_query.rho(rtree.build(p, 64), 5.0)))
+        got.append(cut(pipeline.tree_rho(p, 5.0, capacity=64)))
 
     streaming.replay(streaming.events(spark, sf), each=reindex)
     return got[-1]

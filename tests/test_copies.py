@@ -52,6 +52,7 @@ PRUNED = {
     "cutoff_clusters": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "rtree_three_axes": lambda m: m.setattr(tree_query, "_range", never),
     "pair_scores_tau_docs": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "stream_reindex": lambda m: once(m, rtree, "build"),
 }
 
 
