@@ -586,7 +586,7 @@ def _truth_sql(view: str, d_c: float, k: int) -> str:
 
 def _truth(spark, sf, view: str, d_c: float, k: int) -> DataFrame:
     p = pts(spark, sf, view)
-    found = pipeline.label(_dep(spark, sf, "list", view, d_c, "by_id"), k=k)
+    found = pipeline.label(_dep(spark, sf, "rtree", view, d_c, "by_id"), k=k)
     return rounded(quality.pair_scores(p.select("id", F.col("truth").alias("cluster")), found), "precision", "recall", "f1")
 
 
