@@ -161,7 +161,7 @@ def _(spark, sf):
 
 @query("rho_quadtree_events", rho_sql("P_events", 5.0))
 def _(spark, sf):
-    return tree_query.rho(quadtree.build(pts(spark, sf, "P_events"), 64), 5.0)
+    return pipeline.tree_rho(pts(spark, sf, "P_events"), 5.0, "quadtree", 64)
 
 
 @query("rho_rtree_orders", rho_sql("P_orders", 50.0))

@@ -54,6 +54,7 @@ PRUNED = {
     "pair_scores_tau_docs": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "stream_reindex": lambda m: once(m, rtree, "build"),
     "pair_scores_truth_docs": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "rho_quadtree_events": lambda m: m.setattr(tree_query, "_range", never),
 }
 
 
