@@ -775,7 +775,7 @@ def _(spark, sf):
 @query("isolated_objects", f"WITH {pairs(BLOB)}, {rho_part(6.0)} SELECT id FROM r WHERE rho = 0")
 def _(spark, sf):
     p = pts(spark, sf, BLOB)
-    return p.select("id").join(grid.eps_join(p, p, 6.0).select("id"), "id", "left_anti")
+    return density.rho(p, 6.0, method="rtree").where("rho = 0").select("id")
 
 
 @query("orphans", f"WITH {pairs(BLOB)}, {rho_part(D_BLOB)}, {dep_part(tau=20.0, cap=diagonal())} SELECT id, rho FROM dep WHERE is_capped")

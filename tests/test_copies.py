@@ -55,6 +55,7 @@ PRUNED = {
     "stream_reindex": lambda m: once(m, rtree, "build"),
     "pair_scores_truth_docs": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "rho_quadtree_events": lambda m: m.setattr(tree_query, "_range", never),
+    "isolated_objects": lambda m: m.setattr(grid, "eps_join", never),
 }
 
 
