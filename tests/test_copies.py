@@ -56,6 +56,7 @@ PRUNED = {
     "pair_scores_truth_docs": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "rho_quadtree_events": lambda m: m.setattr(tree_query, "_range", never),
     "isolated_objects": lambda m: m.setattr(grid, "eps_join", never),
+    "dbscan_labels": lambda m: once(m, grid, "eps_join"),
 }
 
 
