@@ -312,8 +312,9 @@ def _(spark, sf):
 
 
 def _ablation(spark, sf, **off) -> DataFrame:
-    tree = rtree.build(pts(spark, sf))
-    return dep_out(tree_query.delta(tree, cut(tree_query.rho(tree, D_PART)), **off))
+    same = spots.merge(pts(spark, sf))
+    tree = pipeline.over_spots(same)
+    return dep_out(same.dependent(tree_query.delta(tree, cut(tree_query.rho(tree, D_PART)), **off)))
 
 
 @query("delta_no_density_prune", dep_sql(PART, D_PART))

@@ -57,6 +57,7 @@ PRUNED = {
     "rho_quadtree_events": lambda m: m.setattr(tree_query, "_range", never),
     "isolated_objects": lambda m: m.setattr(grid, "eps_join", never),
     "dbscan_labels": lambda m: once(m, grid, "eps_join"),
+    "delta_no_distance_prune": lambda m: once(m, rtree, "build"),
 }
 
 
