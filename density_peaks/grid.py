@@ -12,6 +12,7 @@ from itertools import product
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from density_peaks import spots
 from density_peaks.iterate import cut
 from density_peaks.metrics import box_max, box_min, dist
 from density_peaks.schemas import PLANE, Space, points
@@ -49,9 +50,14 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
 
 
 def rho(pts: DataFrame, d_c: float, space: Space = PLANE, count_self: bool = False, hot: int = HOT_CELL) -> DataFrame:
-    """id, rho for one cutoff by a distance join."""
-    near = eps_join(pts, pts, d_c, space, hot).groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    return pts.select(F.col("id").cast("long").alias("id")).join(near, "id", "left").select("id", (F.coalesce("n", F.lit(0)) + F.lit(int(count_self))).cast("long").alias("rho"))
+    """id, rho for one cutoff by a distance join of spots, whose own other points are as near as can be."""
+    same = spots.merge(pts, space)
+    weight = same.spots.select(F.col("id").alias("nbr"), F.col(spots.WEIGHT).alias("n"))
+    near = eps_join(same.spots, same.spots, d_c, space, hot).join(weight, "nbr").groupBy("id").agg(F.sum("n").alias("n"))
+    # a point is near those of its own spot, unless no distance is below the cutoff or there is none
+    own = F.when(dist(space.of(), space.of(), space) < F.lit(float(d_c)), F.col(spots.WEIGHT) - 1).otherwise(0)
+    found = same.spots.join(near, "id", "left").select("id", (F.coalesce("n", F.lit(0)) + own + F.lit(int(count_self))).cast("long").alias("rho"))
+    return same.rho(found)
 
 
 def rho_contained(pts: DataFrame, d_c: float, k: int = 4, space: Space = PLANE, count_self: bool = False) -> DataFrame:

@@ -58,6 +58,7 @@ PRUNED = {
     "isolated_objects": lambda m: m.setattr(grid, "eps_join", never),
     "dbscan_labels": lambda m: once(m, grid, "eps_join"),
     "delta_no_distance_prune": lambda m: once(m, rtree, "build"),
+    "delta_peak_scan": lambda m: once(m, grid, "eps_join"),
 }
 
 
