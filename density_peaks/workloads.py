@@ -274,9 +274,9 @@ def _(spark, sf):
 
 
 def _local(spark, sf, order: str, kind: str) -> DataFrame:
-    p = pts(spark, sf, PART)
-    tree = quadtree.build(p) if kind == "quadtree" else rtree.build(p)
-    return rounded(tree_query.delta_local(tree, cut(tree_query.rho(tree, D_PART)), order=order).select("id", "delta", "mu"), "delta")
+    same = spots.merge(pts(spark, sf, PART))
+    tree = pipeline.over_spots(same, kind)
+    return rounded(same.spread(tree_query.delta_local(tree, cut(tree_query.rho(tree, D_PART)), order=order)).select("id", "delta", "mu"), "delta")
 
 
 _LOCAL = f"WITH {pairs(PART)}, {rho_part(D_PART)}, {dep_part()} SELECT id, CASE WHEN mu IS NOT NULL THEN round(delta, 6) END AS delta, mu FROM dep"
