@@ -814,7 +814,7 @@ def _(spark, sf):
 
 @query("density_percentiles")
 def _(spark, sf):
-    r = density.rho(pts(spark, sf, BLOB), D_BLOB)
+    r = density.rho(pts(spark, sf, BLOB), D_BLOB, method="rtree")
     return r.agg(F.percentile_approx("rho", [0.25, 0.5, 0.75, 0.99]).alias("quantiles"), F.approx_count_distinct("rho").alias("levels"))
 
 

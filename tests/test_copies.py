@@ -90,3 +90,9 @@ def test_points_without_a_place_are_not_merged(spark):
     p = spark.createDataFrame(odd, "id long, x double, y double")
     assert {(r.id, r.weight) for r in spots.merge(p).spots.collect()} == {(1, 1), (2, 1), (3, 1), (4, 1), (5, 2)}
     assert {(r.id, r.rho) for r in grid.rho(p, 1.0).collect()} == {(1, 0), (2, 0), (3, 0), (4, 0), (5, 1), (6, 1)}
+
+
+def test_percentiles_by_the_tree(spark, copies, monkeypatch):
+    want = exact.rho(points.view(spark, copies, "P_blob15"), 20.0).agg(F.percentile_approx("rho", [0.25, 0.5, 0.75, 0.99]), F.approx_count_distinct("rho")).first()
+    monkeypatch.setattr(grid, "eps_join", never)
+    assert tuple(entry.queries()["density_percentiles"](spark, copies).first()) == tuple(want)
