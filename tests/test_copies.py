@@ -60,6 +60,7 @@ PRUNED = {
     "delta_no_distance_prune": lambda m: once(m, rtree, "build"),
     "delta_peak_scan": lambda m: once(m, grid, "eps_join"),
     "delta_rtree_stack": lambda m: once(m, rtree, "build"),
+    "rho_chebyshev": lambda m: once(m, grid, "eps_join"),
 }
 
 
