@@ -61,6 +61,7 @@ PRUNED = {
     "delta_peak_scan": lambda m: once(m, grid, "eps_join"),
     "delta_rtree_stack": lambda m: once(m, rtree, "build"),
     "rho_chebyshev": lambda m: once(m, grid, "eps_join"),
+    "rho_grid_part": lambda m: once(m, grid, "eps_join"),
 }
 
 
