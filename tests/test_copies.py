@@ -62,6 +62,7 @@ PRUNED = {
     "delta_rtree_stack": lambda m: once(m, rtree, "build"),
     "rho_chebyshev": lambda m: once(m, grid, "eps_join"),
     "rho_grid_part": lambda m: once(m, grid, "eps_join"),
+    "rho_grid_salted": lambda m: once(m, grid, "eps_join"),
 }
 
 
