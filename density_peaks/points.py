@@ -80,6 +80,6 @@ def view(spark: SparkSession, sf_dir: str, name: str, where: str = "") -> DataFr
         text = text.replace(f"FROM {t}", f"FROM parquet.`{sf_dir}/{t}.parquet`")
     df = spark.sql(text)
     if name == "P_lineitem":  # the table has no key: rows are numbered in the order of all columns, without one task that sorts them
-        df = global_rank(df, [F.col(c) for c in _LINE.split(", ")], "id")
+        df = global_rank(df, [F.col(c) for c in _LINE.split(", ")], "id", keep=["l_quantity", "l_extendedprice"])
         df = df.select("id", (F.col("l_quantity") * 20.0).alias("x"), F.round(F.col("l_extendedprice") / 100.0, 4).alias("y"))
     return df.where(where) if where else df

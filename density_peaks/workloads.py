@@ -174,7 +174,7 @@ _CELLS = f"p AS ({points.sql('P_lineitem')}), a AS (SELECT *, floor(x / 5e0)::BI
 
 @query("rho_rtree_lineitem", f"WITH {_CELLS}, n AS (SELECT b.id, count(*) AS n FROM b JOIN a ON a.i = b.ni AND a.j = b.nj AND a.id <> b.id AND sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) < 5e0 GROUP BY b.id) SELECT p.id, coalesce(n, 0)::BIGINT AS rho FROM p LEFT JOIN n USING (id)")
 def _(spark, sf):
-    return tree_query.rho(rtree.build(pts(spark, sf, "P_lineitem"), 256), 5.0)
+    return pipeline.tree_rho(pts(spark, sf, "P_lineitem"), 5.0, capacity=256)
 
 
 @query("rho_count_self", rho_sql(PART, D_PART, count_self=True))

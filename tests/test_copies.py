@@ -63,6 +63,7 @@ PRUNED = {
     "rho_chebyshev": lambda m: once(m, grid, "eps_join"),
     "rho_grid_part": lambda m: once(m, grid, "eps_join"),
     "rho_grid_salted": lambda m: once(m, grid, "eps_join"),
+    "rho_rtree_lineitem": lambda m: once(m, rtree, "build"),
 }
 
 
