@@ -73,13 +73,13 @@ def score_select(g: str, c: str) -> str:
 
 
 def spark_rho(view: str, d_c: float, count_self: bool = False) -> str:
-    """Spark SQL for density over a registered view of points, by an equality join on grid cells."""
+    """Spark SQL for density over a registered view of points, by an equality join on grid cells; equal points are joined once, with their number."""
     side = d_c * (1 + 1e-6)
     return f"""
-    WITH a AS (SELECT id, x, y, floor(x / {side!r}D) AS cx, floor(y / {side!r}D) AS cy FROM {view}),
-    b AS (SELECT a.id AS nbr, x, y, cx + ox AS cx, cy + oy AS cy FROM a LATERAL VIEW explode(array(-1, 0, 1)) o1 AS ox LATERAL VIEW explode(array(-1, 0, 1)) o2 AS oy),
-    n AS (SELECT a.id, count(*) AS n FROM a JOIN b ON a.cx = b.cx AND a.cy = b.cy WHERE a.id <> b.nbr AND sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) < {d_c!r}D GROUP BY a.id)
-    SELECT v.id, CAST(coalesce(n, 0) + {int(count_self)} AS BIGINT) AS rho FROM {view} v LEFT JOIN n ON v.id = n.id
+    WITH a AS (SELECT x, y, count(*) AS w, floor(x / {side!r}D) AS cx, floor(y / {side!r}D) AS cy FROM {view} GROUP BY x, y),
+    b AS (SELECT x, y, w, cx + ox AS cx, cy + oy AS cy FROM a LATERAL VIEW explode(array(-1, 0, 1)) o1 AS ox LATERAL VIEW explode(array(-1, 0, 1)) o2 AS oy),
+    n AS (SELECT a.x, a.y, sum(b.w) AS n FROM a JOIN b ON a.cx = b.cx AND a.cy = b.cy WHERE sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y)) < {d_c!r}D GROUP BY a.x, a.y)
+    SELECT v.id, CAST(coalesce(n, 1) - 1 + {int(count_self)} AS BIGINT) AS rho FROM {view} v LEFT JOIN n ON v.x = n.x AND v.y = n.y
     """
 
 

@@ -100,3 +100,10 @@ def test_percentiles_by_the_tree(spark, copies, monkeypatch):
     want = exact.rho(points.view(spark, copies, "P_blob15"), 20.0).agg(F.percentile_approx("rho", [0.25, 0.5, 0.75, 0.99]), F.approx_count_distinct("rho")).first()
     monkeypatch.setattr(grid, "eps_join", never)
     assert tuple(entry.queries()["density_percentiles"](spark, copies).first()) == tuple(want)
+
+
+def test_sql_of_density_joins_places_once(spark, copies):
+    points.view(spark, copies, "P_part").createOrReplaceTempView("all_points")
+    places = spark.table("all_points").select("x", "y").distinct().count()
+    assert places < spark.table("all_points").count() and "GROUP BY x, y" in sqltext.spark_rho("all_points", 4.0)
+    same_as_sql(spark, copies, "sql_rho")
