@@ -729,9 +729,13 @@ def _(spark, sf):
 
 @query("visit_orders")
 def _(spark, sf):
-    tree = rtree.build(pts(spark, sf, BLOB))
-    r = cut(tree_query.rho(tree, D_BLOB))
-    return union([tree_query.delta_local(tree, r, order=o).agg(F.lit(o).alias("order"), F.sum("visited").alias("visited"), F.sum("distances").alias("distances")) for o in ("stack", "heap")])
+    same = spots.merge(pts(spark, sf, BLOB))
+    tree = pipeline.over_spots(same)
+    r, out = cut(tree_query.rho(tree, D_BLOB)), []
+    for o in ("stack", "heap"):  # points of a spot go the same way
+        found = tree_query.delta_local(tree, r, order=o).join(same.spots.select("id", spots.WEIGHT), "id")
+        out.append(found.agg(F.lit(o).alias("order"), *[F.sum(F.col(c) * F.col(spots.WEIGHT)).alias(c) for c in ("visited", "distances")]))
+    return union(out)
 
 
 # ---- other clusterings -----------------------------------------------------------------

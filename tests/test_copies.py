@@ -107,3 +107,18 @@ def test_sql_of_density_joins_places_once(spark, copies):
     places = spark.table("all_points").select("x", "y").distinct().count()
     assert places < spark.table("all_points").count() and "GROUP BY x, y" in sqltext.spark_rho("all_points", 4.0)
     same_as_sql(spark, copies, "sql_rho")
+
+
+def test_local_descent_of_many_nodes(spark):
+    p = spark.range(300).select("id", (F.col("id") % 17 * 1.0).alias("x"), (F.col("id") % 23 * 1.0).alias("y"))
+    tree = rtree.build(p, 4)
+    tree.n_nodes = 50_003  # the count of 1.2 million points
+    rho = iterate.cut(tree_query.rho(tree, 3.0))
+    want = {(r.id, r.delta, r.mu) for r in tree_query.delta(tree, rho).collect() if r.mu is not None}
+    for order in ("stack", "heap"):
+        assert {(r.id, r.delta, r.mu) for r in tree_query.delta_local(tree, rho, order=order).collect() if r.mu is not None} == want
+
+
+def test_visits_of_places_count_for_all_their_points(spark, copies):
+    got = {r.order: r for r in entry.queries()["visit_orders"](spark, copies).collect()}
+    assert 0 < got["heap"].visited <= got["stack"].visited and got["heap"].distances > 0
