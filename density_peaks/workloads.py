@@ -496,7 +496,7 @@ _BLOB_LABELS = f"WITH RECURSIVE {_BLOB_DEP}, {top_part(15)}, {label_part()}"
 
 @query("assign_clusters", f"{_BLOB_LABELS} SELECT id, cluster, depth::INT AS depth, is_center FROM l")
 def _(spark, sf):
-    return pipeline.label(_dep(spark, sf, "list"), k=15)
+    return pipeline.label(_dep(spark, sf, "rtree"), k=15)
 
 
 @query("cluster_rtree", f"{_BLOB_LABELS} SELECT id, cluster, depth::INT AS depth, is_center FROM l")
