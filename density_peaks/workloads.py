@@ -879,11 +879,15 @@ def _(spark, sf):
 
 @query("bisect_udf", rho_sql(PART, D_PART))
 def _(spark, sf):
+    # lists of spots, which hold every distance below a radius above the cutoff, with the weights at them
     @F.pandas_udf("long")
-    def below(dists: pd.Series) -> pd.Series:
-        return dists.map(lambda d: int(np.searchsorted(d, D_PART, "left")))
+    def below(dists: pd.Series, weights: pd.Series) -> pd.Series:
+        return pd.Series([int(np.sum(w[: np.searchsorted(d, D_PART, "left")])) for d, w in zip(dists, weights, strict=True)], dtype="int64")
 
-    return nlist.build(pts(spark, sf)).select("id", below("dists").alias("rho"))
+    same = spots.merge(pts(spark, sf))
+    long = rnlist.long(same.spots, D_PART + 1).join(same.spots.select(F.col("id").alias("nbr"), F.col(spots.WEIGHT).alias("n")), "nbr")
+    lists = long.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("dist", "nbr", "n"))).alias("l")).select("id", below("l.dist", "l.n").alias("near"))
+    return same.rho(same.spots.join(lists, "id", "left").select("id", (F.coalesce("near", F.lit(0)) + F.col(spots.WEIGHT) - 1).alias("rho")))
 
 
 @query("disc_cells", f"WITH p AS ({points.sql('P_supp')}), o AS (SELECT unnest([-1, 0, 1]) AS o) SELECT id, floor(x / 500e0)::BIGINT + a.o AS cx, floor(y / 500e0)::BIGINT + b.o AS cy FROM p, o a, o b")

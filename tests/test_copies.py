@@ -65,6 +65,7 @@ PRUNED = {
     "rho_grid_salted": lambda m: once(m, grid, "eps_join"),
     "rho_rtree_lineitem": lambda m: once(m, rtree, "build"),
     "assign_clusters": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "bisect_udf": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
 }
 
 
