@@ -846,7 +846,7 @@ _TWO = f"WITH {pairs(BLOB)}, {rho_part(12.0, name='r1')}, {dep_part(r='r1', name
 
 
 def _two(spark, sf):
-    index = pipeline.build(pts(spark, sf, BLOB), "list")
+    index = pipeline.build(pts(spark, sf, BLOB), "rtree")
     return [cut(decide.centers_top(pipeline.dependent(index, d), 15)) for d in (12.0, 20.0)]
 
 

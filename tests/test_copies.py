@@ -66,6 +66,7 @@ PRUNED = {
     "rho_rtree_lineitem": lambda m: once(m, rtree, "build"),
     "assign_clusters": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "bisect_udf": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "centers_common": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
 }
 
 
