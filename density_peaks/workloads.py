@@ -478,7 +478,7 @@ def _(spark, sf):
 
 @query("centers_threshold", f"WITH {_BLOB_DEP} SELECT id FROM dep WHERE rho >= 20 AND delta >= 40e0")
 def _(spark, sf):
-    return decide.centers(_dep(spark, sf, "list"), 20, 40.0)
+    return decide.centers(_dep(spark, sf, "rtree"), 20, 40.0)
 
 
 @query("centers_topk", f"WITH {_BLOB_DEP}, {top_part(15)} SELECT id FROM c")

@@ -67,6 +67,7 @@ PRUNED = {
     "assign_clusters": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "bisect_udf": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
     "centers_common": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
+    "centers_threshold": lambda m: m.setattr(nlist, "MOST_POINTS", 0),
 }
 
 
