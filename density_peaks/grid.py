@@ -45,7 +45,8 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
         left = left.join(crowded, names, "left").withColumn("salt", F.pmod(F.xxhash64("id"), F.coalesce("spread", F.lit(1))).cast("int")).drop("spread")
         right = right.join(crowded, names, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("spread", F.lit(1)) - 1))).drop("spread")
         names = [*names, "salt"]
-    near = left.join(right, names).withColumn("dist", dist(space.of("a_"), space.of("b_"), space))
+    # by size of files Spark takes these tables for small, and would send all points to all tasks by way of the driver
+    near = left.join(right.hint("merge"), names).withColumn("dist", dist(space.of("a_"), space.of("b_"), space))
     return near.where((F.col("dist") < F.lit(float(r))) & (F.col("id") != F.col("nbr"))).select("id", "nbr", "dist")
 
 
@@ -53,10 +54,10 @@ def rho(pts: DataFrame, d_c: float, space: Space = PLANE, count_self: bool = Fal
     """id, rho for one cutoff by a distance join of spots, whose own other points are as near as can be."""
     same = spots.merge(pts, space)
     weight = same.spots.select(F.col("id").alias("nbr"), F.col(spots.WEIGHT).alias("n"))
-    near = eps_join(same.spots, same.spots, d_c, space, hot).join(weight, "nbr").groupBy("id").agg(F.sum("n").alias("n"))
+    near = eps_join(same.spots, same.spots, d_c, space, hot).join(weight.hint("merge"), "nbr").groupBy("id").agg(F.sum("n").alias("n"))
     # a point is near those of its own spot, unless no distance is below the cutoff or there is none
     own = F.when(dist(space.of(), space.of(), space) < F.lit(float(d_c)), F.col(spots.WEIGHT) - 1).otherwise(0)
-    found = same.spots.join(near, "id", "left").select("id", (F.coalesce("n", F.lit(0)) + own + F.lit(int(count_self))).cast("long").alias("rho"))
+    found = same.spots.join(near.hint("merge"), "id", "left").select("id", (F.coalesce("n", F.lit(0)) + own + F.lit(int(count_self))).cast("long").alias("rho"))
     return same.rho(found)
 
 

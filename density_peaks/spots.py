@@ -37,9 +37,10 @@ class Merged:
     def spread(self, values: DataFrame) -> DataFrame:
         """Values of spots (id and more) for every point: id, spot and the same columns."""
         named = [f"s_{c}" for c in self.space.coords]
-        s = self.spots.select(F.col("id").alias("spot"), F.col("alone").alias("s_alone"), *[F.col(c).alias(n) for c, n in zip(self.space.coords, named, strict=True)]).join(values.withColumnRenamed("id", "spot"), "spot")
+        s = self.spots.select(F.col("id").alias("spot"), F.col("alone").alias("s_alone"), *[F.col(c).alias(n) for c, n in zip(self.space.coords, named, strict=True)]).join(values.withColumnRenamed("id", "spot").hint("merge"), "spot")
         same = [self.points[c].eqNullSafe(s[n]) for c, n in zip((*self.space.coords, "alone"), (*named, "s_alone"), strict=True)]
-        return self.points.join(s, same).drop(*self.space.coords, "alone", *named, "s_alone")
+        # tables of points are never broadcast: their estimated size is that of their files
+        return self.points.join(s.hint("merge"), same).drop(*self.space.coords, "alone", *named, "s_alone")
 
     def rho(self, of_spots: DataFrame) -> DataFrame:
         """id, rho of all points."""

@@ -126,3 +126,23 @@ def test_local_descent_of_many_nodes(spark):
 def test_visits_of_places_count_for_all_their_points(spark, copies):
     got = {r.order: r for r in entry.queries()["visit_orders"](spark, copies).collect()}
     assert 0 < got["heap"].visited <= got["stack"].visited and got["heap"].distances > 0
+
+
+def plan_nodes(df):
+    """Runs df; each node of the plan as it ran: its name, and the rows of a stage."""
+    df.collect()
+    seen, todo = [], [df._jdf.queryExecution().executedPlan()]
+    while todo:
+        node = todo.pop()
+        kind = node.getClass().getSimpleName()
+        seen.append((kind, node.getRuntimeStatistics().rowCount().get() if kind == "ShuffleQueryStageExec" else 0))
+        inner = node.executedPlan() if kind == "AdaptiveSparkPlanExec" else node.plan() if kind.endswith("QueryStageExec") else None
+        todo += [inner] if inner else [node.children().apply(i) for i in range(node.children().size())]
+    return seen
+
+
+@pytest.mark.parametrize("name", ["rho_chebyshev"])
+def test_points_are_never_broadcast(spark, copies, name):
+    kinds = [k for k, _ in plan_nodes(entry.queries()[name](spark, copies))]
+    assert "SortMergeJoinExec" in kinds
+    assert "BroadcastHashJoinExec" not in kinds
