@@ -26,8 +26,8 @@ def cells(space: Space, side: float, prefix: str = "") -> list[Column]:
     return [F.floor(c / F.lit(float(side))).cast("long") for c in space.of(prefix)]
 
 
-def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: int = HOT_CELL) -> DataFrame:
-    """id, nbr, dist of all pairs of a and b strictly closer than r, a pair of equal ids excluded.
+def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: int = HOT_CELL, keep: str | None = None) -> DataFrame:
+    """id, nbr, dist of all pairs of a and b strictly closer than r, a pair of equal ids excluded. keep names one more column of b.
 
     Cells that hold more than `hot` points of a are spread over as many keys as they hold
     multiples of it, and only what meets them is copied to these keys.
@@ -36,9 +36,10 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
     names = [f"cell_{c}" for c in space.coords]
     left = points(a, space)
     left = left.select("id", *[F.col(c).alias(f"a_{c}") for c in space.coords], *[c.alias(n) for c, n in zip(cells(space, side), names, strict=True)])
-    right = points(b, space).select(F.col("id").alias("nbr"), *[F.col(c).alias(f"b_{c}") for c in space.coords])
+    more = [keep] if keep else []
+    right = points(b, space, keep=keep).select(F.col("id").alias("nbr"), *[F.col(c).alias(f"b_{c}") for c in space.coords], *more)
     around = F.array(*[F.struct(*[(c + F.lit(o)).alias(n) for c, o, n in zip(cells(space, side, "b_"), offsets, names, strict=True)]) for offsets in product((-1, 0, 1), repeat=len(names))])
-    right = right.withColumn("at", F.explode(around)).select("nbr", *[f"b_{c}" for c in space.coords], *[F.col(f"at.{n}").alias(n) for n in names])
+    right = right.withColumn("at", F.explode(around)).select("nbr", *[f"b_{c}" for c in space.coords], *more, *[F.col(f"at.{n}").alias(n) for n in names])
     # one row a hot cell: at most a `hot`-th of the points
     crowded = cut(left.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select(*names, F.ceil(F.col("n") / F.lit(hot)).cast("int").alias("spread")))
     if not crowded.isEmpty():
@@ -47,14 +48,16 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
         names = [*names, "salt"]
     # by size of files Spark takes these tables for small, and would send all points to all tasks by way of the driver
     near = left.join(right.hint("merge"), names).withColumn("dist", dist(space.of("a_"), space.of("b_"), space))
-    return near.where((F.col("dist") < F.lit(float(r))) & (F.col("id") != F.col("nbr"))).select("id", "nbr", "dist")
+    return near.where((F.col("dist") < F.lit(float(r))) & (F.col("id") != F.col("nbr"))).select("id", "nbr", "dist", *more)
 
 
 def rho(pts: DataFrame, d_c: float, space: Space = PLANE, count_self: bool = False, hot: int = HOT_CELL) -> DataFrame:
-    """id, rho for one cutoff by a distance join of spots, whose own other points are as near as can be."""
+    """id, rho for one cutoff by a distance join of spots, whose own other points are as near as can be.
+
+    Weights travel with the spots, so pairs are added up where they meet and never shuffled.
+    """
     same = spots.merge(pts, space)
-    weight = same.spots.select(F.col("id").alias("nbr"), F.col(spots.WEIGHT).alias("n"))
-    near = eps_join(same.spots, same.spots, d_c, space, hot).join(weight.hint("merge"), "nbr").groupBy("id").agg(F.sum("n").alias("n"))
+    near = eps_join(same.spots, same.spots, d_c, space, hot, spots.WEIGHT).groupBy("id").agg(F.sum(spots.WEIGHT).alias("n"))
     # a point is near those of its own spot, unless no distance is below the cutoff or there is none
     own = F.when(dist(space.of(), space.of(), space) < F.lit(float(d_c)), F.col(spots.WEIGHT) - 1).otherwise(0)
     found = same.spots.join(near.hint("merge"), "id", "left").select("id", (F.coalesce("n", F.lit(0)) + own + F.lit(int(count_self))).cast("long").alias("rho"))

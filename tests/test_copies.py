@@ -141,8 +141,24 @@ def plan_nodes(df):
     return seen
 
 
-@pytest.mark.parametrize("name", ["rho_chebyshev"])
+@pytest.mark.parametrize("name", ["rho_chebyshev", "rho_grid_part"])
 def test_points_are_never_broadcast(spark, copies, name):
     kinds = [k for k, _ in plan_nodes(entry.queries()[name](spark, copies))]
     assert "SortMergeJoinExec" in kinds
     assert "BroadcastHashJoinExec" not in kinds
+
+
+def dense(spark):
+    """400 places, each nearer than 1 to all others, in one cell or two."""
+    return iterate.cut(spark.range(400).select("id", (0.1 + F.col("id") % 20 / 50).alias("x"), (0.1 + F.floor(F.col("id") / 20) / 50).alias("y")))
+
+
+def test_pairs_of_density_are_not_shuffled(spark):
+    own = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # as where tables are too large for it
+    try:
+        found = grid.rho(dense(spark), 1.0)
+        assert {r.rho for r in found.collect()} == {399}
+        assert max(n for _, n in plan_nodes(found)) <= 9 * 400
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", own)
