@@ -20,6 +20,8 @@ from density_peaks.schemas import PLANE, Space, points
 SLACK = 1 + 1e-6
 #: Points of a cell beyond which it is spread.
 HOT_CELL = 20_000
+#: Hot cells up to which their table is sent to all tasks.
+MOST_SENT = 50_000
 
 
 def cells(space: Space, side: float, prefix: str = "") -> list[Column]:
@@ -30,7 +32,9 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
     """id, nbr, dist of all pairs of a and b strictly closer than r, a pair of equal ids excluded. keep names one more column of b.
 
     Cells that hold more than `hot` points of a are spread over as many keys as they hold
-    multiples of it, and only what meets them is copied to these keys.
+    multiples of it, but no more than a shuffle has partitions. The keys of a cell are a
+    square: a point of a has a row of it, one that meets the cell a column, and each is
+    copied along its own. So copies grow with the root of the keys.
     """
     side = r * SLACK
     names = [f"cell_{c}" for c in space.coords]
@@ -41,11 +45,17 @@ def eps_join(a: DataFrame, b: DataFrame, r: float, space: Space = PLANE, hot: in
     around = F.array(*[F.struct(*[(c + F.lit(o)).alias(n) for c, o, n in zip(cells(space, side, "b_"), offsets, names, strict=True)]) for offsets in product((-1, 0, 1), repeat=len(names))])
     right = right.withColumn("at", F.explode(around)).select("nbr", *[f"b_{c}" for c in space.coords], *more, *[F.col(f"at.{n}").alias(n) for n in names])
     # one row a hot cell: at most a `hot`-th of the points
-    crowded = cut(left.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select(*names, F.ceil(F.col("n") / F.lit(hot)).cast("int").alias("spread")))
-    if not crowded.isEmpty():
-        left = left.join(crowded, names, "left").withColumn("salt", F.pmod(F.xxhash64("id"), F.coalesce("spread", F.lit(1))).cast("int")).drop("spread")
-        right = right.join(crowded, names, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("spread", F.lit(1)) - 1))).drop("spread")
-        names = [*names, "salt"]
+    most = int(a.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    keys = F.least(F.ceil(F.col("n") / F.lit(hot)), F.lit(most))
+    crowded = left.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).withColumn("rows", F.ceil(F.sqrt(keys)).cast("int"))
+    crowded = cut(crowded.select(*names, "rows", F.ceil(keys / F.col("rows")).cast("int").alias("columns")))
+    n_crowded = crowded.count()
+    if n_crowded:
+        crowded = crowded.hint("broadcast" if n_crowded <= MOST_SENT else "merge")
+        rows, columns = (F.coalesce(c, F.lit(1)) for c in ("rows", "columns"))
+        left = left.join(crowded, names, "left").withColumn("row", F.pmod(F.xxhash64("id"), rows).cast("int")).withColumn("column", F.explode(F.sequence(F.lit(0), columns - 1))).drop("rows", "columns")
+        right = right.join(crowded, names, "left").withColumn("column", F.pmod(F.xxhash64("nbr"), columns).cast("int")).withColumn("row", F.explode(F.sequence(F.lit(0), rows - 1))).drop("rows", "columns")
+        names = [*names, "row", "column"]
     # by size of files Spark takes these tables for small, and would send all points to all tasks by way of the driver
     near = left.join(right.hint("merge"), names).withColumn("dist", dist(space.of("a_"), space.of("b_"), space))
     return near.where((F.col("dist") < F.lit(float(r))) & (F.col("id") != F.col("nbr"))).select("id", "nbr", "dist", *more)

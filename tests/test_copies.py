@@ -141,11 +141,11 @@ def plan_nodes(df):
     return seen
 
 
-@pytest.mark.parametrize("name", ["rho_chebyshev", "rho_grid_part"])
+@pytest.mark.parametrize("name", ["rho_chebyshev", "rho_grid_part", "rho_grid_salted"])
 def test_points_are_never_broadcast(spark, copies, name):
     kinds = [k for k, _ in plan_nodes(entry.queries()[name](spark, copies))]
     assert "SortMergeJoinExec" in kinds
-    assert "BroadcastHashJoinExec" not in kinds
+    assert kinds.count("BroadcastHashJoinExec") == (2 if name == "rho_grid_salted" else 0)  # its counted table of hot cells, to both sides
 
 
 def dense(spark):
@@ -162,3 +162,12 @@ def test_pairs_of_density_are_not_shuffled(spark):
         assert max(n for _, n in plan_nodes(found)) <= 9 * 400
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", own)
+
+
+def test_hot_cells_are_copied_by_the_root_of_their_keys(spark):
+    p = dense(spark)
+    found = grid.rho(p, 1.0, hot=3)
+    assert {r.rho for r in found.collect()} == {399}
+    assert max(n for _, n in plan_nodes(found)) <= 2 * 9 * 400
+    pairs = grid.eps_join(p, p, 1.0, hot=3).groupBy("id", "nbr").count()
+    assert pairs.count() == 400 * 399 and pairs.where("count > 1").isEmpty()
