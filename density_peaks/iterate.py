@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -31,6 +33,26 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def parked(df: DataFrame) -> DataFrame:
+    """df written as compressed Parquet in the shared folder, for tables whose checkpoint, of whole uncompressed rows, would be several times as large.
+
+    The files go when the driver ends.
+    """
+    spark = df.sparkSession
+    path = f"{shared_dir(spark).rstrip('/')}/parked-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(at)
+    return spark.read.parquet(path)
+
+
+def released(spark: SparkSession) -> None:
+    """Has the shuffles of tables that nothing refers to any more removed now, not when the driver happens to collect its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def settled(df: DataFrame) -> DataFrame:
     """df itself where its plan is a bare scan already, else df cut, so that a nested loop does not evaluate its columns for each pair."""
     kind = df._jdf.queryExecution().optimizedPlan().getClass().getSimpleName()

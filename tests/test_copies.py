@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from density_peaks import exact, grid, iterate, pipeline, points, spots, sqltext
+from density_peaks import exact, grid, iterate, pipeline, points, rank, spots, sqltext
 from density_peaks.index import descent, nlist, rtree, tree_query
 
 
@@ -171,3 +171,11 @@ def test_hot_cells_are_copied_by_the_root_of_their_keys(spark):
     assert max(n for _, n in plan_nodes(found)) <= 2 * 9 * 400
     pairs = grid.eps_join(p, p, 1.0, hot=3).groupBy("id", "nbr").count()
     assert pairs.count() == 400 * 399 and pairs.where("count > 1").isEmpty()
+
+
+def test_lineitem_is_numbered_without_a_checkpoint(spark, copies, monkeypatch):
+    monkeypatch.setattr(rank, "cut", never)  # of whole rows, uncompressed
+    p = points.view(spark, copies, "P_lineitem")
+    want = duckdb.sql(points.sql("P_lineitem").replace("FROM lineitem", f"FROM '{copies}/lineitem.parquet'")).fetchall()
+    assert sorted(map(tuple, p.collect())) == sorted(want)
+    assert all("parked-" in f for f in p.inputFiles())
