@@ -28,6 +28,10 @@ MOST_NODES = 500_000
 AT_ONCE = 2048
 #: Points (or spots) of a tree, of under 50 bytes each, are sent to tasks up to so many.
 MOST_SENT = 2_000_000
+#: Density sends its points up to so many; of more, the driver holds none and tasks count by tiles.
+MOST_COUNTED = 500_000
+#: Points of a tile at most, besides those of other tiles that it needs.
+TILE = 400_000
 #: Query leaves whose points are measured at once, and distances in a block of vectors.
 LEAVES, BLOCK = 256, 1 << 18
 
@@ -137,7 +141,11 @@ class Held:
     @classmethod
     def of(cls, nodes: Nodes, rows: DataFrame, space: Space, tie: str | None = None) -> Held:
         """rows: leaf, id, coordinates, weight if there is one, and rho if a tie rule is given; key is then the rank of density."""
-        t = rows.toArrow()
+        return cls.at(nodes, rows.toArrow(), space, tie)
+
+    @classmethod
+    def at(cls, nodes: Nodes, t: pa.Table, space: Space, tie: str | None = None) -> Held:
+        """The same of rows that are here."""
         place = nodes.at(t.column("leaf").to_numpy())
         order = np.argsort(place, kind="stable")
         col = lambda c: t.column(c).to_numpy()[order]
@@ -262,6 +270,61 @@ class Count:
 COUNT = "id long, n long"
 
 
+class Tiles:
+    """Parts of a tree: the highest nodes of at most so many rows, and the leaves that each needs for density.
+
+    tile is that of each leaf's place; needs are the places of leaves (sorted) and the tiles
+    that need them. A node wholly within or beyond the cutoff of a tile's box is so for all
+    of its leaves, so none of them opens it.
+    """
+
+    def __init__(self, nodes: Nodes, rows: np.ndarray, d_c: float, contain: bool, most: int):
+        own, tile = rows.copy(), np.full(len(nodes), -1, dtype=np.int64)
+        for level in range(int(nodes.level.max(initial=0)), 0, -1):
+            here = np.flatnonzero(nodes.level == level)
+            np.add.at(own, nodes.up[here], own[here])
+        for level in range(int(nodes.level.max(initial=0)) + 1):
+            here = np.flatnonzero(nodes.level == level)
+            above = np.where(nodes.up[here] >= 0, tile[nodes.up[here]], -1)
+            tile[here] = np.where(above >= 0, above, np.where((own[here] <= most) | nodes.leaf[here], here, -1))
+        _, _, _, q, n = Range(nodes, d_c, contain).descend(tops := np.unique(tile[nodes.leaf]))
+        leaves = np.flatnonzero(nodes.leaf)
+        pairs = np.unique(np.stack((np.concatenate((n, leaves)), np.concatenate((tops[q], tile[leaves])))), axis=1)
+        self.tile, self.place, self.needs = tile, pairs[0], pairs[1]
+
+
+def counted(tree: Tree, points: DataFrame, d_c: float, contain: bool) -> DataFrame:
+    """id, n: what Count gives, from tiles whose points and needed neighbours meet in a task each. points: leaf, id, coordinates, weight if there is one."""
+    nodes, space, sc = tree.arrays(), tree.space, points.sparkSession.sparkContext
+    size = points.groupBy("leaf").count().toArrow()
+    rows = np.zeros(len(nodes), dtype=np.int64)
+    rows[nodes.at(size.column("leaf").to_numpy())] = size.column("count").to_numpy()
+    sent = sc.broadcast((nodes, Tiles(nodes, rows, d_c, contain, TILE)))
+    columns = points.columns
+
+    def dealt(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        nodes, tiles = sent.value
+        for b in batches:
+            place = nodes.at(b.column("leaf").to_numpy())
+            first, end = (np.searchsorted(tiles.place, place, side=s) for s in ("left", "right"))
+            came = np.repeat(np.arange(len(place)), end - first)
+            inside = np.arange(len(came)) - np.repeat(np.cumsum(end - first) - (end - first), end - first)
+            tile = pa.array(tiles.needs[first[came] + inside])
+            for at in range(0, len(came), 1 << 16):
+                some = b.take(pa.array(came[at : at + (1 << 16)]))
+                yield pa.RecordBatch.from_arrays([tile[at : at + (1 << 16)], *some.columns], names=["tile", *columns])
+
+    def count(key: tuple, t: pa.Table) -> pa.Table:
+        nodes, tiles = sent.value
+        held = Held.at(nodes, t, space)
+        own = np.unique(nodes.at(t.column("leaf").to_numpy()))
+        found = Count(nodes, held, d_c, contain)(own[tiles.tile[own] == key[0].as_py()])
+        return pa.table({c: pa.array(v, pa.int64()) for c, v in found.items()})
+
+    kinds = ", ".join(f"{c} {k}" for c, k in points.dtypes)
+    return points.mapInArrow(dealt, f"tile long, {kinds}").groupBy("tile").applyInArrow(count, COUNT)
+
+
 class Denser:
     """Dependent distance: leaves that may hold the nearest denser point of a query leaf's points.
 

@@ -17,12 +17,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from density_peaks.index.tree import Tree, boxes, merged
-from density_peaks.iterate import cut
+from density_peaks.iterate import cut, parked, released
 from density_peaks.schemas import PLANE, points
 
 
-#: Up to so many points, the driver splits the tree from their distinct keys, of 48 bytes each.
-MOST_KEYS = 1_000_000
+#: Up to so many points, the driver splits the tree from their distinct keys, of 56 bytes each.
+MOST_KEYS = 250_000
+#: Of more points, the driver splits the upper levels down to this one, and tasks split what is below.
+UPPER = 9
+#: Points that a task splits, about.
+SPLIT_AT_ONCE = 250_000
 
 
 def morton(pts: DataFrame, region: tuple[float, float, float], depth: int) -> DataFrame:
@@ -53,36 +57,71 @@ def build(pts: DataFrame, capacity: int = 32, max_depth: int = 16, weight: str |
     With weight, a column of pts, nc is its sum; capacity is of rows all the same.
     """
     p = points(pts, keep=weight)
-    return _tree(cut(morton(p, region := square(p), max_depth)), capacity, max_depth, region, weight)
+    keyed = morton(p, region := square(p), max_depth)
+    # spots are held already, and their keys are made faster than read
+    return _tree(keyed if weight else cut(keyed), capacity, max_depth, region, weight)
 
 
 def _tree(keyed: DataFrame, capacity: int, depth: int, region: tuple[float, float, float], weight: str | None = None) -> Tree:
     about = {"kind": "quadtree", "capacity": capacity, "depth": depth, "region": region}
     size = [F.count(F.lit(1)).alias("rows"), (F.sum(weight) if weight else F.count(F.lit(1))).alias("nc")]
     own = [weight] if weight else []
-    if keyed.count() <= MOST_KEYS:
+    n = keyed.count()
+    if n <= MOST_KEYS:
         cells = keyed.groupBy("key").agg(*size, *boxes(PLANE)).toArrow()
         nodes, height, starts, numbers = _split(cells, capacity, depth)
         spark = keyed.sparkSession
         leaf_points = cut(_routed(keyed, spark.sparkContext.broadcast((starts, numbers)), weight))
         return Tree(spark.createDataFrame(nodes), leaf_points, PLANE, nodes.num_rows, height, about, bool(weight))
-    per_key = keyed.groupBy("key").agg(*size, *boxes(PLANE))
-    level = F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("level")
-    every = per_key.select("*", level).withColumn("node", _number(depth))
-    counts = cut(every.groupBy("node", "level").agg(F.sum("rows").cast("long").alias("rows"), F.sum("nc").cast("long").alias("nc"), *merged(PLANE)))
-    full = counts.where((F.col("rows") > capacity) & (F.col("level") < depth)).select(F.col("node").alias("parent"))
-    with_parent = counts.withColumn("parent", F.when(F.col("level") > 0, F.shiftright("node", 2)))
-    nodes = with_parent.join(full, "parent", "left_semi").unionByName(with_parent.where("level = 0"))
-    nodes = cut(nodes.withColumn("is_leaf", (F.col("rows") <= capacity) | (F.col("level") == depth)).select("node", "parent", "level", "lo_x", "lo_y", "hi_x", "hi_y", "nc", "is_leaf"))
-    leaves = nodes.where("is_leaf").select(F.col("node").alias("leaf"))
-    of_key = every.select("key", F.col("node").alias("leaf")).join(leaves, "leaf")
-    leaf_points = cut(keyed.join(of_key, "key").select("leaf", "id", "x", "y", *own))
-    n, height = nodes.agg(F.count(F.lit(1)), F.coalesce(F.max("level"), F.lit(0))).first()
-    return Tree(nodes, leaf_points, PLANE, n, height, about, bool(weight))
-
+    leaf_points = parked(_split_below(keyed, capacity, depth, n, weight))
+    released(keyed.sparkSession)
+    leaves = leaf_points.groupBy(F.col("leaf").alias("node")).agg(size[1], *boxes(PLANE))
+    # each node on the way from a leaf to the root, counted from all leaves below it
+    level = (F.length(F.bin("node")) - 1) / 2
+    up = leaves.withColumn("back", F.explode(F.sequence(F.lit(0), level.cast("int")))).withColumn("node", F.expr("shiftright(node, 2 * back)"))
+    nodes = up.groupBy("node").agg(F.sum("nc").cast("long").alias("nc"), *merged(PLANE), F.max(F.col("back") == 0).alias("is_leaf"))
+    nodes = nodes.withColumn("level", level.cast("int")).withColumn("parent", F.when(F.col("node") > 1, F.shiftright("node", 2)))
+    nodes = cut(nodes.select("node", "parent", "level", "lo_x", "lo_y", "hi_x", "hi_y", "nc", "is_leaf"))
+    count, height = nodes.agg(F.count(F.lit(1)), F.coalesce(F.max("level"), F.lit(0))).first()
+    return Tree(nodes, leaf_points, PLANE, count, height, about, bool(weight))
+
+
+def _split_below(keyed: DataFrame, capacity: int, depth: int, n: int, weight: str | None) -> DataFrame:
+    """leaf, id, x, y and weight of many points: cells of the level UPPER meet in a task each, which splits those that are too full."""
+    spark, upper = keyed.sparkSession, min(UPPER, depth)
+    cell = F.shiftright("key", 2 * (depth - upper)).alias("key")
+    counts = keyed.groupBy(cell).agg(F.count(F.lit(1)).alias("rows"), F.lit(0).cast("long").alias("nc"), *boxes(PLANE)).toArrow()
+    _, _, starts, numbers = _split(counts, capacity, upper)
+    full = np.sort(counts.column("key").to_numpy()[counts.column("rows").to_numpy() > capacity])
+    sent = spark.sparkContext.broadcast((starts, numbers, full))
+    own = ["id", "x", "y", *([weight] if weight else [])]
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n // SPLIT_AT_ONCE))
 
-def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, np.ndarray, np.ndarray]:
-    """The node table over keyed cells that the driver holds, its height, and the first key and number of each leaf in key order."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        starts, numbers, full = sent.value
+        batches = list(batches)
+        if not batches:
+            return
+        t = pa.Table.from_batches(batches)
+        key = t.column("key").to_numpy().astype(np.int64)
+        at = key >> (2 * (depth - upper))
+        leaf = numbers[np.searchsorted(starts, at, side="right") - 1]
+        deep = np.flatnonzero(np.isin(at, full)) if upper < depth else np.empty(0, dtype=np.int64)
+        if len(deep):
+            x, y = (t.column(c).to_numpy()[deep] for c in ("x", "y"))
+            one = np.ones(len(deep), dtype=np.int64)
+            cells = pa.table({"key": key[deep], "rows": one, "nc": one, "lo_x": x, "hi_x": x, "lo_y": y, "hi_y": y})
+            _, _, below, named = _split(cells, capacity, depth, upper)
+            leaf[deep] = named[np.searchsorted(below, key[deep], side="right") - 1]
+        for b in pa.table([pa.array(leaf, pa.int64()), *(t.column(c) for c in own)], names=["leaf", *own]).to_batches(1 << 16):
+            yield b
+
+    dealt = keyed.select("key", *own).repartition(parts, F.shiftright("key", 2 * (depth - upper)))
+    return dealt.mapInArrow(run, "leaf long, id long, x double, y double" + (f", {weight} long" if weight else ""))
+
+
+def _split(cells: pa.Table, capacity: int, depth: int, opened: int = -1) -> tuple[pa.Table, int, np.ndarray, np.ndarray]:
+    """The node table over keyed cells that the driver holds, its height, and the first key and number of each leaf in key order. Nodes down to the level opened are split whatever they hold."""
     key = cells.column("key").to_numpy().astype(np.int64)
     order = np.argsort(key, kind="stable")
     key, names = key[order], ["lo_x", "lo_y", "hi_x", "hi_y"]
@@ -96,7 +135,7 @@ def _split(cells: pa.Table, capacity: int, depth: int) -> tuple[pa.Table, int, n
         at = np.flatnonzero(np.diff(prefix, prepend=-1))
         level_of = {c: fold[c[:2]].reduceat(v[open_], at) for c, v in held.items()}
         node = (1 << (2 * level)) + prefix[at]
-        leaf = (level_of.pop("rows") <= capacity) | (level == depth)
+        leaf = (level > opened) & ((level_of.pop("rows") <= capacity) | (level == depth))
         made.append({"node": node, "parent": np.where(level > 0, node >> 2, -1), "level": np.full(len(node), level), "is_leaf": leaf, **level_of})
         starts.append(prefix[at][leaf] << (2 * (depth - level)))
         numbers.append(node[leaf])

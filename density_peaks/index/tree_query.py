@@ -54,8 +54,9 @@ def rho(tree: Tree, d_c: float, count_self: bool = False, contain: bool = True,
     p = _points(tree)
     if d_c <= 0:
         return p.select("id", F.lit(int(count_self)).cast("long").alias("rho"))
-    sent = tree.arrays() is not None and stats is None and tree.rows() <= descent.MOST_SENT
-    if sent:
+    if tree.arrays() is not None and stats is None:
+        if tree.rows() > descent.MOST_COUNTED:
+            return descent.counted(tree, p, d_c, contain).select("id", (F.col("n") - F.lit(0 if count_self else 1)).alias("rho"))
         nodes = tree.arrays()
         work = descent.Count(nodes, descent.Held.of(nodes, p, tree.space), d_c, contain)
         return descent.over_leaves(tree, np.flatnonzero(nodes.leaf), work, descent.COUNT).select("id", (F.col("n") - F.lit(0 if count_self else 1)).alias("rho"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from density_peaks import exact, grid, iterate, pipeline, points, rank, spots, sqltext
-from density_peaks.index import descent, nlist, rtree, tree_query
+from density_peaks.index import descent, nlist, quadtree, rtree, tree_query
 
 
 @pytest.fixture(scope="module")
@@ -179,3 +179,25 @@ def test_lineitem_is_numbered_without_a_checkpoint(spark, copies, monkeypatch):
     want = duckdb.sql(points.sql("P_lineitem").replace("FROM lineitem", f"FROM '{copies}/lineitem.parquet'")).fetchall()
     assert sorted(map(tuple, p.collect())) == sorted(want)
     assert all("parked-" in f for f in p.inputFiles())
+
+
+@pytest.mark.parametrize("kind", ["quadtree", "rtree"])
+def test_density_of_many_places_by_tiles(spark, monkeypatch, kind):
+    places = [(i % 83 * 1.5, (i * i) % 97 * 1.1) for i in range(900)] + [(3.0 + i / 500, 4.0 + i % 9 / 700) for i in range(300)]
+    p = iterate.cut(spark.createDataFrame([(i, x, y) for i, (x, y) in enumerate(places)], "id long, x double, y double"))
+    monkeypatch.setattr(descent, "TILE", 100)
+    for most, upper in ((0, 2), (10**6, 9)):
+        monkeypatch.setattr(descent, "MOST_COUNTED", most)
+        monkeypatch.setattr(quadtree, "MOST_KEYS", most)
+        monkeypatch.setattr(quadtree, "UPPER", upper)
+        if not most:
+            monkeypatch.setattr(descent.Held, "of", never)  # the driver holds no points
+        tree = (quadtree if kind == "quadtree" else rtree).build(p, 8)
+        nodes = sorted(map(tuple, tree.nodes.select("node", "parent", "level", "nc", "is_leaf", *tree.bounds).collect()), key=repr)
+        leaves = sorted(map(tuple, tree.leaf_points.select("leaf", "id").collect()))
+        found = [sorted(map(tuple, tree_query.rho(tree, d, contain=c).collect())) for d in (0.4, 3.0, 40.0) for c in (True, False)]
+        if not most:
+            first = nodes, leaves, found
+            monkeypatch.undo()
+    assert first == (nodes, leaves, found)
+    assert found[2] == sorted(map(tuple, exact.rho(p, 3.0).collect()))
