@@ -49,9 +49,13 @@ def build(pts: DataFrame, kind: str = "rtree", space: Space = PLANE, w: float |
         hist = cut(chist.packed(lists, width))
         return Index(kind, lambda d: chist.rho_packed(hist, d, width), lambda r, tie: rnlist.delta(lists, r, cap, tie), {"lists": lists, "hist": hist, "w": width, "cap": cap})
     if kind in ("quadtree", "rtree"):
-        same = spots.merge(p, space)
+        same, nowhere = spots.placed(spots.merge(p, space))
         tree = over_spots(same, kind, capacity)
-        return Index(kind, lambda d: same.rho(tree_query.rho(tree, d)), lambda r, tie: same.dependent(tree_query.delta(tree, cut(same.of_spots(r)), tie), tie), {"tree": tree})
+        density = lambda d: same.rho(tree_query.rho(tree, d))
+        parents = lambda r, tie: same.dependent(tree_query.delta(tree, cut(same.of_spots(r)), tie), tie)
+        if nowhere is None:
+            return Index(kind, density, parents, {"tree": tree})
+        return Index(kind, lambda d: nowhere.rho(density(d)), lambda r, tie: nowhere.dependent(parents(r, tie), r, tie), {"tree": tree})
     raise ValueError(f"index is one of {INDICES}")
 
 

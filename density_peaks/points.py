@@ -51,9 +51,9 @@ _TWO = {
         "SELECT * FROM lineitem",
         "SELECT row_number() OVER (ORDER BY {all}) - 1 AS id, l_quantity * 20e0 AS x, round(l_extendedprice / 100e0, 4) AS y FROM lineitem",
     ),
-    "P_docs": (
+    "P_docs": (  # an empty text has NaN for x, where Spark would raise an error
         ("documents",),
-        "SELECT doc_id AS id, round(100e0 * length(regexp_replace(text, '[\\\\x00-\\\\x7F]', '')) / length(text), 3) AS x, round(10e0 * length(text) / (1 + length(text) - length(replace(text, ' ', ''))), 3) AS y, lang AS truth FROM documents",
+        "SELECT doc_id AS id, round(CASE WHEN length(text) = 0 THEN double('NaN') ELSE 100e0 * length(regexp_replace(text, '[\\\\x00-\\\\x7F]', '')) / length(text) END, 3) AS x, round(10e0 * length(text) / (1 + length(text) - length(replace(text, ' ', ''))), 3) AS y, lang AS truth FROM documents",
         "SELECT doc_id AS id, round(100e0 * length(regexp_replace(text, '[\\x00-\\x7F]', '', 'g')) / length(text), 3) AS x, round(10e0 * length(text) / (1 + length(text) - length(replace(text, ' ', ''))), 3) AS y, lang AS truth FROM documents",
     ),
     "P_emb": (

@@ -56,6 +56,49 @@ class Merged:
         return every.select(of_spots.columns)
 
 
+@dataclass
+class Nowhere:
+    """points: id and gap, the distance to anything, of points that have a null (gap null) or NaN coordinate (gap NaN).
+
+    Nothing is within a cutoff of them. A tree cannot hold them, as NaN would spread to all boxes above.
+    """
+
+    points: DataFrame
+
+    def rho(self, of_others: DataFrame) -> DataFrame:
+        """id, rho with these points."""
+        return of_others.unionByName(self.points.select("id", F.lit(0).cast("long").alias("rho")))
+
+    def dependent(self, of_others: DataFrame, rho_table: DataFrame, tie: str) -> DataFrame:
+        """The dependent table with these points: any denser one is as far as another, so the smallest id is the parent."""
+        zero = F.col("rho") == 0
+        n, dense, flat = rho_table.agg(F.count(F.lit(1)), F.min(F.when(~zero, F.col("id"))), F.min(F.when(zero, F.col("id")))).first()
+        least, far = self.points.agg(F.min(F.struct("id", "gap")), F.max("gap")).first()
+        number = lambda v: F.lit(v).cast("long")
+        before = F.when(number(flat) < F.col("id"), number(flat)) if tie == "by_id" else number(None)
+        own = self.points.withColumn("mu", F.least(number(dense), before))
+        peak = F.when(F.isnan("gap") & F.lit(n > 1), F.col("gap")).otherwise(F.lit(0.0))
+        own = own.select("id", F.lit(0).cast("long").alias("rho"), F.when(F.col("mu").isNull(), peak).otherwise(F.col("gap")).alias("delta"), "mu", F.col("mu").isNull().alias("is_top"), F.lit(False).alias("is_capped"))
+        # another point depends on one of these where nothing else is before it, and a peak is as far from them as they are
+        after = F.lit(tie == "by_id") & F.col("is_top") & zero & (F.col("id") > number(least.id))
+        farther = F.when(F.col("is_top") & F.lit(far is not None), F.lit(far).cast("double")).otherwise(F.col("delta"))
+        others = of_others.select("id", "rho", F.when(after, F.lit(least.gap).cast("double")).otherwise(farther).alias("delta"), F.when(after, number(least.id)).otherwise(F.col("mu")).alias("mu"), (F.col("is_top") & ~after).alias("is_top"), "is_capped")
+        return others.unionByName(own)
+
+
+def placed(same: Merged) -> tuple[Merged, Nowhere | None]:
+    """same without points that have no place, and these, None if there are none."""
+    null, nan = F.lit(False), F.lit(False)
+    for c in same.space.coords:
+        null, nan = null | F.col(c).isNull(), nan | F.isnan(c)
+    odd = null | nan
+    held = same.spots.where(odd)
+    if held.isEmpty():
+        return same, None
+    gap = F.when(~null, F.lit(float("nan"))).alias("gap")
+    return Merged(same.points.where(~odd), same.spots.where(~odd), same.space), Nowhere(cut(held.select("id", gap)))
+
+
 def merge(pts: DataFrame, space: Space = PLANE, apart: bool = False) -> Merged:
     """Spots of points; with apart, each point is one of its own."""
     p = points(pts, space)
