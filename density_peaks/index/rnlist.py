@@ -68,7 +68,7 @@ def delta(idx: DataFrame, rho_table: DataFrame, cap: float, tie: str = "strict")
 
 def from_dependent(dep: DataFrame, tau: float, cap: float) -> DataFrame:
     """What lists cut at tau answer, from the exact dependent table of their densities: no parent at tau or beyond."""
-    lost = F.col("mu").isNull() | (F.col("delta") >= float(tau))
+    lost = F.col("mu").isNull() | F.col("delta").isNull() | (F.col("delta") >= float(tau))
     return dep.select("id", "rho", F.when(lost, F.lit(float(cap))).otherwise(F.col("delta")).alias("delta"), F.when(~lost, F.col("mu")).alias("mu"), lost.alias("is_top"), lost.alias("is_capped"))
 
 
