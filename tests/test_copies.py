@@ -203,7 +203,7 @@ def test_density_of_many_places_by_tiles(spark, monkeypatch, kind):
     assert found[2] == sorted(map(tuple, exact.rho(p, 3.0).collect()))
 
 
-@pytest.mark.parametrize("name", ["cutoff_clusters", "pair_scores_tau_docs"])
+@pytest.mark.parametrize("name", ["cutoff_clusters", "pair_scores_tau_docs", "pair_scores_truth_docs"])
 def test_empty_texts(spark, tmp_path, name):
     odd = "UNION ALL SELECT -2, '', 'en', 's', 0 UNION ALL SELECT 5000, '', 'en', 's', 0"
     duckdb.sql(f"COPY (SELECT * FROM '/root/testdata/sf0.001/documents.parquet' {odd}) TO '{tmp_path}/documents.parquet' (FORMAT parquet)")
